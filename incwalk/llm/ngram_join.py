@@ -22,7 +22,7 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from incwalk.llm.common import part_count, save
@@ -234,6 +234,7 @@ def _link_groups(num: int, den: int):
 def ngram_jaccard_join(docs: DataFrame, size: int = 5, num: int = 80, den: int = 100, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row for each row of ``docs``: ``doc_id``, ``n_shingles`` and ``component_id``.
 
+    ``row_hash`` tells rows apart by id and text; ``is_first`` marks the row that stands for its group.
     Two documents link when ``den * |A and B| >= num * |A or B|`` over their sets of ``size``-word
     n-grams; a text with fewer words is one n-gram as a whole. ``component_id`` is the smallest id
     that links reach, the row's own included. Texts that are null or hold no word have an empty set
@@ -266,5 +267,21 @@ def ngram_jaccard_join(docs: DataFrame, size: int = 5, num: int = 80, den: int =
 
     keyed = profile.select("rid", "doc_id", "n", "s1", "s2").join(classes, ["s1", "s2"], "left")
     keyed = keyed.join(found.withColumnRenamed("node", "cls"), "cls", "left").select("rid", "doc_id", "n", F.when(F.col("n") > 0, F.coalesce("component", "cls")).alias("grp"))
-    smallest = keyed.where(F.col("grp").isNotNull()).groupBy("grp").agg(F.min("doc_id").alias("least_id"))
-    return keyed.join(smallest, "grp", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("grp").isNull(), F.col("doc_id")).otherwise(F.col("least_id")).alias("component_id"))
+    first = F.min(F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id"), F.col("rid").alias("first_rid")))
+    smallest = keyed.where(F.col("grp").isNotNull()).groupBy("grp").agg(first.alias("least"))
+    alone = F.col("grp").isNull()
+    return keyed.join(smallest, "grp", "left").select(
+        "doc_id",
+        F.col("n").alias("n_shingles"),
+        F.when(alone, F.col("doc_id")).otherwise(F.col("least.doc_id")).alias("component_id"),
+        F.col("rid").alias("row_hash"),
+        (alone | (F.col("rid") == F.col("least.first_rid"))).alias("is_first"),
+    )
+
+
+def keep_one_of_each(docs: DataFrame, size: int = 5, num: int = 80, den: int = 100, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``docs`` with one row of each group of linked documents: the smallest id's; rows without words all stay, once each."""
+    found = ngram_jaccard_join(docs.select(id_col, text_col), size, num, den, id_col, text_col).where("is_first").select(F.col("row_hash").alias("__rid"))
+    rows = docs.withColumn("__rid", F.xxhash64(F.col(id_col).cast("long"), F.col(text_col).cast("string"))).join(found, "__rid", "left_semi")
+    once = F.row_number().over(Window.partitionBy("__rid").orderBy("__rid"))
+    return rows.withColumn("__once", once).where(F.col("__once") == 1).select(*docs.columns)
