@@ -24,7 +24,7 @@ def _measured(docs: DataFrame) -> DataFrame:
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     rules = quality.learn_list(docs, table(spark, sf_dir, "labels"))
-    return quality.judge(docs.select(*COLUMNS), rules).where("kept").select(*COLUMNS)
+    return quality.keep_good(docs.select(*COLUMNS), rules)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -184,3 +184,14 @@ def judge(docs: DataFrame, rules: list[Rule], least_words: int = 50, most_repeat
     """``docs`` with the statistics, ``base_failed`` and ``kept``. Null or empty texts fail the base. No rows are lost."""
     base = (F.col("n_words") < least_words) | (F.col("n_repeat_words") * 100 > F.col("n_words") * most_repeats)
     return text_statistics(docs).withColumn("base_failed", base).withColumn("kept", ~base & list_expression(rules))
+
+
+def keep_good(docs: DataFrame, rules: list[Rule]) -> DataFrame:
+    """The rows of ``docs`` that are kept.
+
+    Rows are dropped by exploding an array of one or none. A filter on ``kept`` would be pushed below
+    the projections, where every reference to a statistic becomes a copy of its expression, and
+    copies of copies take the optimizer minutes.
+    """
+    one = F.when(F.col("kept"), F.array(F.lit(True))).otherwise(F.array().cast("array<boolean>"))
+    return judge(docs, rules).select(*docs.columns, F.explode(one).alias("__kept")).drop("__kept")
