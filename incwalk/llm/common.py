@@ -47,11 +47,14 @@ def plan_bytes(df: DataFrame) -> int:
     return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
 
 
-def part_count(df: DataFrame, bytes_each: int = 1 << 20, most: int = 1 << 16) -> int:
-    """How many key ranges to deal out: grows with the input, several for each shuffle partition."""
+def part_count(df: DataFrame, bytes_each: int = 16 << 20, most: int = 1 << 16) -> int:
+    """How many key ranges to deal out: one for each shuffle partition, more for a larger input.
+
+    A document's entries cost an id in each range that has one of them, so ranges are few and large.
+    """
     n = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     size = plan_bytes(df)
-    return max(32, min(most, max(4 * n, size // bytes_each if size < 1 << 60 else 0)))
+    return max(32, min(most, max(n, size // bytes_each if size < 1 << 60 else 0)))
 
 
 def planes(a: np.ndarray, keep: int | None = None) -> bytes:
