@@ -7,7 +7,6 @@ of a task do not grow with the corpus; a group wastes less than one sequence bey
 from __future__ import annotations
 
 import os
-import re
 import zlib
 
 import numpy as np
@@ -20,14 +19,19 @@ from incwalk.llm.common import save
 MEMO = 600_000
 #: Pieces packed together in one task.
 GROUP = 20_000
-#: A run of signs between a letter and white space is a token of its own for the pre-tokenizer, so it may be cut off.
-_SIGNS = re.compile(rb"(?<=[a-z])([.,#$%&*]+)(?=\s)")
+SIGNS = b".,#$%&*"
 _STATE: dict = {}
 
 
 def cut_words(text: bytes) -> list[bytes]:
     """Parts that the tokenizer treats apart. It lower-cases itself; only the strings of special tokens are told by case."""
-    return text.split() if b"<|" in text else _SIGNS.sub(rb" \1", text.lower()).split()
+    return text.split() if b"<|" in text else text.lower().split()
+
+
+def stem_of(word: bytes) -> bytes:
+    """The word without signs at its end, where a letter stands before them: there the pre-tokenizer cuts."""
+    stem = word.rstrip(SIGNS)
+    return stem if stem and 97 <= stem[-1] <= 122 else word
 
 
 def _encoder(path: str):
@@ -48,11 +52,21 @@ def word_ids(path: str, texts: list[bytes]) -> list[bytes]:
     if len(memo) > MEMO:
         memo.clear()
     cut = [cut_words(t) for t in texts]
-    new = list({w for words in cut for w in words if w not in memo})
+    signed = {}
+    new = set()
+    for w in {w for words in cut for w in words if w not in memo}:
+        stem = stem_of(w)
+        if len(stem) < len(w):
+            signed[w] = stem
+            new.update(x for x in (stem, w[len(stem) :]) if x not in memo)
+        else:
+            new.add(w)
+    new = list(new)
     for i in range(0, len(new), 20_000):
         own = new[i : i + 20_000]
         for w, e in zip(own, model.encode_batch_fast([x.decode() for x in own], add_special_tokens=False), strict=True):
             memo[w] = np.array(e.ids, "<u4").tobytes()
+    memo.update((w, memo[stem] + memo[w[len(stem) :]]) for w, stem in signed.items())
     get = memo.__getitem__
     return [b"".join(map(get, words)) for words in cut]
 
