@@ -16,7 +16,8 @@ from pyspark.sql import functions as F
 
 from incwalk.llm.common import save
 
-MEMO = 600_000
+#: Words that a worker remembers, and bytes of them and their ids.
+MEMO, MEMO_BYTES = 1_500_000, 100 << 20
 #: Pieces packed together in one task.
 GROUP = 20_000
 SIGNS = b".,#$%&*"
@@ -42,15 +43,17 @@ def _encoder(path: str):
         model = Tokenizer.from_file(path)
         model.no_truncation()
         model.no_padding()
-        _STATE[path] = (model, {})
+        _STATE[path] = [model, {}, 0]
     return _STATE[path]
 
 
 def word_ids(path: str, texts: list[bytes]) -> list[bytes]:
     """Little-endian 32-bit ids of each text, for lower-casing tokenizers that drop white space: part by part, from a bounded memo."""
-    model, memo = _encoder(path)
-    if len(memo) > MEMO:
+    state = _encoder(path)
+    model, memo, held = state
+    if len(memo) > MEMO or held > MEMO_BYTES:
         memo.clear()
+        state[2] = 0
     cut = [cut_words(t) for t in texts]
     signed = {}
     new = set()
@@ -66,6 +69,7 @@ def word_ids(path: str, texts: list[bytes]) -> list[bytes]:
         own = new[i : i + 20_000]
         for w, e in zip(own, model.encode_batch_fast([x.decode() for x in own], add_special_tokens=False), strict=True):
             memo[w] = np.array(e.ids, "<u4").tobytes()
+    state[2] += sum(len(w) + len(memo[w]) for w in new)
     memo.update((w, memo[stem] + memo[w[len(stem) :]]) for w, stem in signed.items())
     get = memo.__getitem__
     return [b"".join(map(get, words)) for words in cut]
