@@ -19,6 +19,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from incwalk.llm.common import memo as new_memo
+
 MEMO = 400_000
 BUCKETS = 4096
 _STATE: dict = {}
@@ -80,7 +82,7 @@ def _coder(path: str, pattern: str):
         import regex
 
         ranks = load_ranks(path)
-        _STATE[path, pattern] = (regex.compile(pattern), ranks, {b: a for a, b in ranks.items()}, {})
+        _STATE[path, pattern] = (regex.compile(pattern), ranks, {b: a for a, b in ranks.items()}, new_memo())
     return _STATE[path, pattern]
 
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 
@@ -57,6 +58,22 @@ def part_count(df: DataFrame, bytes_each: int = 16 << 20, most: int = 1 << 16) -
     return max(32, min(most, max(n, size // bytes_each if size < 1 << 60 else 0)))
 
 
+_MEMOS: list[dict] = []
+
+
+def memo() -> dict:
+    """A table that a worker keeps between tasks, until an operator that needs the memory calls ``forget``."""
+    _MEMOS.append({})
+    return _MEMOS[-1]
+
+
+def forget() -> None:
+    if any(_MEMOS):
+        for m in _MEMOS:
+            m.clear()
+        gc.collect()
+
+
 def planes(a: np.ndarray, keep: int | None = None) -> bytes:
     """An array byte plane by byte plane: equal high bytes then lie together and compress."""
     a = np.ascontiguousarray(a)

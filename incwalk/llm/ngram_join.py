@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from incwalk.llm.common import part_count, save
+from incwalk.llm.common import forget, part_count, save
 from incwalk.llm.components import connected_components
 from incwalk.llm.packed import SCHEMA, Packer, _runs, by_document, count_ranges, exchange
 
@@ -73,6 +73,7 @@ def prefix_length(n, num: int, den: int):
 
 def _map(size: int, parts: int, doc_parts: int):
     def run(batches):
+        forget()
         packer = Packer(parts, doc_parts, CAP, has_lvl=True)
         for batch in batches:
             texts = batch.column("text").cast(pa.large_binary())

@@ -18,13 +18,13 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from incwalk.llm.common import planes, unplanes
+from incwalk.llm.common import forget, planes, unplanes
 
 SCHEMA = "part int, kind int, rid binary, run binary, key binary, aux binary, pos binary, lvl binary"
 ARROW = pa.schema([("part", pa.int32()), ("kind", pa.int32())] + [(c, pa.binary()) for c in ("rid", "run", "key", "aux", "pos", "lvl")])
 ENTRY, MARKER, HIT, HEAD = 0, 1, 2, 3
 #: Entries held by a task before it packs them or compacts them.
-BUFFER = 2_000_000
+BUFFER = 1_000_000
 
 
 def part_of(keys: np.ndarray, parts: int) -> np.ndarray:
@@ -162,6 +162,14 @@ def hits(rid, key, pos, lvl, doc_parts: int) -> Iterator[pa.RecordBatch]:
         yield _batch(rows)
 
 
+def _rows(batches) -> Iterator[dict]:
+    """Rows as dictionaries, one at a time, so that a batch's blobs aren't held twice."""
+    forget()
+    for batch in batches:
+        for i in range(batch.num_rows):
+            yield {f.name: batch.column(k)[i].as_py() for k, f in enumerate(ARROW)}
+
+
 class _Range:
     """Reducer of one range of keys."""
 
@@ -182,6 +190,15 @@ class _Range:
             return
         names = ["rid", "key", "w", "real"] + ["aux"] * (self.held[0]["aux"] is not None) + ["pos"] * self.has_pos
         x = {c: np.concatenate([h[c] for h in self.held]) for c in names}
+        self.held, self.n = [], 0
+        sub = (x["key"] & np.uint64(7)).astype(np.uint8)
+        for s in range(8):  # an eighth of the keys at a time: what sorting needs stays small
+            at = np.flatnonzero(sub == s)
+            if len(at):
+                yield from self._settle({c: v[at] for c, v in x.items()}, last)
+        self.base = self.n
+
+    def _settle(self, x: dict, last: bool) -> Iterator[pa.RecordBatch]:
         order, group = _group(x["key"], x.get("aux"))
         total = np.minimum(np.bincount(group, weights=x["w"][order]), self.cap).astype(np.uint16)[group]
         x = {c: v[order] for c, v in x.items()}
@@ -189,12 +206,13 @@ class _Range:
         if out.any():
             key = None if "pos" in x else x["key"][out] | np.uint64(self.part & 0xFFFF) << np.uint64(48)
             yield from hits(x["rid"][out], key, x["pos"][out] if "pos" in x else None, total[out] if self.has_lvl else None, self.doc_parts)
-        first = np.r_[True, group[1:] != group[:-1]]
-        stay = (total < self.cap) | first  # of a full group, one marker
-        x["real"] &= total < self.cap
-        x["w"] = np.where(x["real"] | (total < self.cap), x["w"], self.cap).astype(np.uint16)
-        self.held = [] if last else [{c: None for c in ("aux", "pos")} | {c: v[stay] for c, v in x.items()}]
-        self.n = self.base = 0 if last else int(stay.sum())
+        if not last:
+            first = np.r_[True, group[1:] != group[:-1]]
+            stay = (total < self.cap) | first  # of a full group, one marker
+            x["real"] &= total < self.cap
+            x["w"] = np.where(total < self.cap, x["w"], self.cap).astype(np.uint16)
+            self.held.append({c: None for c in ("aux", "pos")} | {c: v[stay] for c, v in x.items()})
+            self.n += int(stay.sum())
 
 
 def count_ranges(cap: int, doc_parts: int, has_lvl: bool, has_pos: bool) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
@@ -203,22 +221,21 @@ def count_ranges(cap: int, doc_parts: int, has_lvl: bool, has_pos: bool) -> Call
     def run(batches):
         own: dict[str, _Range | None] = {"now": None}
         passing = []
-        for batch in batches:
-            for r in batch.to_pylist():
-                if r["kind"] in (HIT, HEAD):
-                    passing.append(tuple(r[f.name] for f in ARROW))
-                    if len(passing) >= 256:
-                        yield _batch(passing)
-                        passing = []
-                    continue
-                now = own["now"]
-                if now is None or now.part != r["part"]:
-                    if now is not None:
-                        yield from now.compact(True)
-                    now = own["now"] = _Range(r["part"], doc_parts, cap, has_lvl, has_pos)
-                now.add(r)
-                if now.n - now.base > BUFFER:
-                    yield from now.compact(False)
+        for r in _rows(batches):
+            if r["kind"] in (HIT, HEAD):
+                passing.append(tuple(r[f.name] for f in ARROW))
+                if len(passing) >= 256:
+                    yield _batch(passing)
+                    passing = []
+                continue
+            now = own["now"]
+            if now is None or now.part != r["part"]:
+                if now is not None:
+                    yield from now.compact(True)
+                now = own["now"] = _Range(r["part"], doc_parts, cap, has_lvl, has_pos)
+            now.add(r)
+            if now.n - now.base > BUFFER:
+                yield from now.compact(False)
         if own["now"] is not None:
             yield from own["now"].compact(True)
         if passing:
@@ -245,17 +262,16 @@ def by_document(finish: Callable[[np.ndarray, list[bytes], dict], Iterator[pa.Re
                 x = {"rid": np.zeros(0, np.uint64)}
             return finish(ids, data, x)
 
-        for batch in batches:
-            for r in batch.to_pylist():
-                if r["part"] != part:
-                    if part is not None:
-                        yield from close()
-                    part, heads, data, found = r["part"], [], [], []
-                if r["kind"] == HEAD:
-                    heads.append(unplanes(r["rid"], np.uint64))
-                    data += [r["key"][i : i + head_bytes] for i in range(0, len(r["key"]), head_bytes)] if head_bytes else []
-                else:
-                    found.append(_unrow(r))
+        for r in _rows(batches):
+            if r["part"] != part:
+                if part is not None:
+                    yield from close()
+                part, heads, data, found = r["part"], [], [], []
+            if r["kind"] == HEAD:
+                heads.append(unplanes(r["rid"], np.uint64))
+                data += [r["key"][i : i + head_bytes] for i in range(0, len(r["key"]), head_bytes)] if head_bytes else []
+            else:
+                found.append(_unrow(r))
         if part is not None:
             yield from close()
 

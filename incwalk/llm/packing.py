@@ -14,6 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from incwalk.llm.common import memo as new_memo
 from incwalk.llm.common import save
 
 #: Words that a worker remembers, and bytes of them and their ids.
@@ -43,7 +44,7 @@ def _encoder(path: str):
         model = Tokenizer.from_file(path)
         model.no_truncation()
         model.no_padding()
-        _STATE[path] = [model, {}, 0]
+        _STATE[path] = [model, new_memo(), 0]
     return _STATE[path]
 
 
@@ -51,7 +52,7 @@ def word_ids(path: str, texts: list[bytes]) -> list[bytes]:
     """Little-endian 32-bit ids of each text, for lower-casing tokenizers that drop white space: part by part, from a bounded memo."""
     state = _encoder(path)
     model, memo, held = state
-    if len(memo) > MEMO or held > MEMO_BYTES:
+    if not memo or len(memo) > MEMO or held > MEMO_BYTES:
         memo.clear()
         state[2] = 0
     cut = [cut_words(t) for t in texts]

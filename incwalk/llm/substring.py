@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from incwalk.llm.common import part_count, planes, save, unplanes
+from incwalk.llm.common import forget, part_count, planes, save, unplanes
 from incwalk.llm.ngram_join import scramble
 from incwalk.llm.packed import SCHEMA, Packer, _runs, by_document, count_ranges, exchange
 
@@ -62,6 +62,7 @@ def _texts(batch):
 
 def _map_anchors(window: int, parts: int, doc_parts: int):
     def run(batches):
+        forget()
         packer = Packer(parts, doc_parts, 2, has_pos=True)
         for batch in batches:
             for rid, text in zip(batch.column("rid").to_pylist(), _texts(batch), strict=True):
@@ -79,6 +80,7 @@ def _map_anchors(window: int, parts: int, doc_parts: int):
 
 def _map_windows(window: int, parts: int, doc_parts: int):
     def run(batches):
+        forget()
         packer = Packer(parts, doc_parts, 2, has_aux=True, has_pos=True)
         for batch in batches:
             for rid, text, places in zip(batch.column("rid").to_pylist(), _texts(batch), batch.column("places").to_pylist(), strict=True):

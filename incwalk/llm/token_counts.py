@@ -14,6 +14,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from incwalk.llm.common import memo
+
 BATCH = 1 << 20
 MEMO = 500_000
 _RUN = re.compile(r" *[^ ]+")
@@ -80,19 +82,19 @@ class JsonCounter:
 
 def _counter(path: str):
     if path not in _STATE:
-        _STATE[path] = (PieceCounter(path) if path.endswith(".model") else JsonCounter(path), {})
+        _STATE[path] = (PieceCounter(path) if path.endswith(".model") else JsonCounter(path), memo())
     return _STATE[path]
 
 
 def count_texts(path: str, texts: list[str]) -> list[int]:
-    counter, memo = _counter(path)
-    if len(memo) > MEMO:
-        memo.clear()
+    counter, known = _counter(path)
+    if len(known) > MEMO:
+        known.clear()
     cut = [counter.pieces(t) for t in texts]
-    new = list({p for pieces in cut for p in pieces if p not in memo})
+    new = list({p for pieces in cut for p in pieces if p not in known})
     for batch in balanced(new):
-        memo.update(zip(batch, counter.count(batch), strict=True))
-    get = memo.__getitem__
+        known.update(zip(batch, counter.count(batch), strict=True))
+    get = known.__getitem__
     return [sum(map(get, pieces)) for pieces in cut]
 
 
