@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
+import ctypes
 import gc
 import tempfile
 import uuid
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 #: Words are maximal runs of anything but space and U+0009 to U+000D; ``bytes.split()`` cuts UTF-8 at exactly these.
@@ -74,6 +76,27 @@ def forget() -> None:
         gc.collect()
 
 
+def release() -> None:
+    """Gives what a task has freed back to the system; workers stay, and would hold it beside the next operator's memory."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    libc = ctypes.CDLL(None)
+    if hasattr(libc, "malloc_trim"):
+        libc.malloc_trim(0)
+
+
+def tidy(run):
+    """A function over batches that releases its memory when the task ends."""
+
+    def wrapped(batches):
+        try:
+            yield from run(batches)
+        finally:
+            release()
+
+    return wrapped
+
+
 def planes(a: np.ndarray, keep: int | None = None) -> bytes:
     """An array byte plane by byte plane: equal high bytes then lie together and compress."""
     a = np.ascontiguousarray(a)

@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from incwalk.llm.common import forget, part_count, save
+from incwalk.llm.common import forget, part_count, save, tidy
 from incwalk.llm.components import connected_components
 from incwalk.llm.packed import SCHEMA, Packer, _runs, by_document, count_ranges, exchange
 
@@ -88,7 +88,7 @@ def _map(size: int, parts: int, doc_parts: int):
                     yield from packer.rows()
         yield from packer.rows()
 
-    return run
+    return tidy(run)
 
 
 PROFILE = "rid long, doc_id long, n long, s1 long, s2 long, tokens binary, levels binary"
@@ -135,7 +135,7 @@ def _postings(num: int, den: int):
             if token:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(token)), pa.array(np.concatenate(rid))], schema=schema)
 
-    return run
+    return tidy(run)
 
 
 def link_block(n: np.ndarray, tokens: list[np.ndarray], levels: list[np.ndarray], num: int, den: int) -> list[tuple[int, int]]:
@@ -229,7 +229,7 @@ def _link_groups(num: int, den: int):
         if (out := close(rows)) is not None:
             yield out
 
-    return run
+    return tidy(run)
 
 
 def ngram_jaccard_join(docs: DataFrame, size: int = 5, num: int = 80, den: int = 100, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

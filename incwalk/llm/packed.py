@@ -18,7 +18,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from incwalk.llm.common import forget, planes, unplanes
+from incwalk.llm.common import forget, planes, tidy, unplanes
 
 SCHEMA = "part int, kind int, rid binary, run binary, key binary, aux binary, pos binary, lvl binary"
 ARROW = pa.schema([("part", pa.int32()), ("kind", pa.int32())] + [(c, pa.binary()) for c in ("rid", "run", "key", "aux", "pos", "lvl")])
@@ -241,7 +241,7 @@ def count_ranges(cap: int, doc_parts: int, has_lvl: bool, has_pos: bool) -> Call
         if passing:
             yield _batch(passing)
 
-    return run
+    return tidy(run)
 
 
 def by_document(finish: Callable[[np.ndarray, list[bytes], dict], Iterator[pa.RecordBatch]], head_bytes: int):
@@ -275,7 +275,7 @@ def by_document(finish: Callable[[np.ndarray, list[bytes], dict], Iterator[pa.Re
         if part is not None:
             yield from close()
 
-    return run
+    return tidy(run)
 
 
 def exchange(df: DataFrame) -> DataFrame:

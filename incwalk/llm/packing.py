@@ -15,10 +15,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from incwalk.llm.common import memo as new_memo
-from incwalk.llm.common import save
+from incwalk.llm.common import save, tidy
 
 #: Words that a worker remembers, and bytes of them and their ids.
-MEMO, MEMO_BYTES = 1_500_000, 100 << 20
+MEMO, MEMO_BYTES = 1_000_000, 80 << 20
 #: Pieces packed together in one task.
 GROUP = 20_000
 SIGNS = b".,#$%&*"
@@ -96,7 +96,7 @@ def tokenized_pieces(docs: DataFrame, tokenizer_path: str, length: int = 4096, e
                 yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], f.type) for k, f in enumerate(schema)], schema=schema)
 
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    return rows.mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long" + ", ids binary" * with_ids)
+    return rows.mapInArrow(tidy(run), "doc_id long, piece int, start long, length long, ids_crc32 long" + ", ids binary" * with_ids)
 
 
 def best_fit(sizes: list[int], room: int) -> list[list[int]]:
@@ -232,7 +232,7 @@ def pack(pieces: DataFrame, room: int = 4096, group: int = GROUP) -> DataFrame:
         if held:
             yield from close(held)
 
-    return dealt.mapInArrow(run, out)
+    return dealt.mapInArrow(tidy(run), out)
 
 
 def pack_documents(docs: DataFrame, tokenizer_path: str, room: int = 4096, end_id: int = 1, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False) -> DataFrame:

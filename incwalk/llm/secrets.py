@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from incwalk.llm.common import save
+from incwalk.llm.common import save, tidy
 
 RULES_VERSION = 1
 # The base patterns and least lengths, in the order of kinds.
@@ -90,7 +90,7 @@ def scan_unseen(versions: DataFrame, ledger: DataFrame | None, key: str = "path"
     rows = versions.select(F.coalesce(F.col(key).cast("string"), F.lit("\0")).alias("k"), address(text).alias("blob"), text.alias("text"))
     one = one.select(F.coalesce(F.col("key").cast("string"), F.lit("\0")).alias("k"), "blob")
     fresh = rows.join(one.hint("shuffle_hash"), ["k", "blob"], "left_semi")
-    return paths, fresh.select("blob", "text").mapInArrow(_scan_blobs, LEDGER)
+    return paths, fresh.select("blob", "text").mapInArrow(tidy(_scan_blobs), LEDGER)
 
 
 def secret_findings(versions: DataFrame, ledger: DataFrame | None = None, key: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -132,4 +132,4 @@ def redact(docs: DataFrame, text_col: str = "text", mark: str = "[secret]", ledg
 
     found = secret_findings(docs.select(id_col, text_col), ledger, id_col, text_col).where("spans <> ''").select(F.col("blob").alias("__blob"), F.col("spans").alias("__spans")).distinct()
     rows = docs.withColumn("__blob", address(F.coalesce(F.col(text_col), F.lit(""))))
-    return rows.join(found, "__blob", "left").select(*docs.columns, "__spans").mapInArrow(run, schema)
+    return rows.join(found, "__blob", "left").select(*docs.columns, "__spans").mapInArrow(tidy(run), schema)

@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from incwalk.llm.common import forget, part_count, planes, save, unplanes
+from incwalk.llm.common import forget, part_count, planes, save, tidy, unplanes
 from incwalk.llm.ngram_join import scramble
 from incwalk.llm.packed import SCHEMA, Packer, _runs, by_document, count_ranges, exchange
 
@@ -75,7 +75,7 @@ def _map_anchors(window: int, parts: int, doc_parts: int):
                         yield from packer.rows()
         yield from packer.rows()
 
-    return run
+    return tidy(run)
 
 
 def _map_windows(window: int, parts: int, doc_parts: int):
@@ -94,7 +94,7 @@ def _map_windows(window: int, parts: int, doc_parts: int):
                     yield from packer.rows()
         yield from packer.rows()
 
-    return run
+    return tidy(run)
 
 
 _PLACES = pa.schema([("rid", pa.int64()), ("places", pa.binary())])
@@ -149,7 +149,7 @@ def _cut(window: int, text_col: str, names: list[str], schema: pa.Schema):
             cols += [pa.array(n_words, pa.int64()), pa.array(n_removed, pa.int64()), pa.array(removed, schema.field("removed").type)]
             yield pa.RecordBatch.from_arrays([c.cast(f.type) for c, f in zip(cols, schema, strict=True)], schema=schema)
 
-    return run
+    return tidy(run)
 
 
 def substring_dedup(docs: DataFrame, window: int = 50, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
