@@ -7,6 +7,7 @@ of a task do not grow with the corpus; a group wastes less than one sequence bey
 from __future__ import annotations
 
 import os
+import struct
 import zlib
 
 import numpy as np
@@ -44,14 +45,16 @@ def _encoder(path: str):
         model = Tokenizer.from_file(path)
         model.no_truncation()
         model.no_padding()
-        _STATE[path] = [model, new_memo(), 0]
+        word = "abcdefghijklmnopqrstuvwxyz"
+        direct = [t.id for t in model.model.tokenize(word)] == model.encode(word, add_special_tokens=False).ids
+        _STATE[path] = [model, new_memo(), 0, model.model.tokenize if direct else None]
     return _STATE[path]
 
 
 def word_ids(path: str, texts: list[bytes]) -> list[bytes]:
     """Little-endian 32-bit ids of each text, for lower-casing tokenizers that drop white space: part by part, from a bounded memo."""
     state = _encoder(path)
-    model, memo, held = state
+    model, memo, held, _ = state
     if not memo or len(memo) > MEMO or held > MEMO_BYTES:
         memo.clear()
         state[2] = 0
@@ -65,12 +68,17 @@ def word_ids(path: str, texts: list[bytes]) -> list[bytes]:
             new.update(x for x in (stem, w[len(stem) :]) if x not in memo)
         else:
             new.add(w)
-    new = list(new)
+    # a run of ASCII letters is one token for the pre-tokenizer: it can go to the merges at once
+    plain = [w for w in new if w.isalpha()] if state[3] else []
+    for w in plain:
+        ids = [t.id for t in state[3](w.decode())]
+        memo[w] = struct.pack(f"<{len(ids)}I", *ids)
+    new = [w for w in new if not w.isalpha() or not plain]
     for i in range(0, len(new), 20_000):
         own = new[i : i + 20_000]
         for w, e in zip(own, model.encode_batch_fast([x.decode() for x in own], add_special_tokens=False), strict=True):
             memo[w] = np.array(e.ids, "<u4").tobytes()
-    state[2] += sum(len(w) + len(memo[w]) for w in new)
+    state[2] += sum(len(w) + len(memo[w]) for own in (plain, new) for w in own)
     memo.update((w, memo[stem] + memo[w[len(stem) :]]) for w, stem in signed.items())
     get = memo.__getitem__
     return [b"".join(map(get, words)) for words in cut]

@@ -127,7 +127,7 @@ def test_token_counts(docs, empty):
 
 
 ODD = list("ab  \n\té'sß0123<|>.,世界 Σſ\x1c\x85")
-FUZZ = ["".join(R.choice(ODD) for _ in range(R.randrange(40))) for _ in range(3000)] + ["<|endoftext|> x", "A<|ENDOFTEXT|>b, c", "  ", "a ", "x" * 3000]
+FUZZ = ["".join(R.choice(ODD) for _ in range(R.randrange(40))) for _ in range(3000)] + ["<|endoftext|> x", "A<|ENDOFTEXT|>b, c", "Plain words, here: and CAPITALS too.", "  ", "a ", "x" * 3000]
 
 
 @pytest.mark.parametrize("name", ["piece_bpe_32k.model", "word_bpe_49k.json", "byte_bpe_50k.json"])
