@@ -11,6 +11,7 @@ from incwalk.functions import theory
 from incwalk.operators.registry_of import Registry
 from incwalk.plans import exact, personal, update
 from incwalk.plans import graph as G
+from incwalk.plans.ranking import numbered
 from incwalk.plans.walks import Spec, build_store
 from incwalk.sources.graphs import edges, edges_sql, trap
 from incwalk.store import save
@@ -112,8 +113,7 @@ R.add("cdf_gap", lambda s, d: degree_cdfs(s, d).agg(F.round(F.max(F.abs(F.col("a
 
 # power laws
 def ranked(scores, by="score"):
-    """Rank over a whole frame without one task: ranks inside score ranges, offset by the sizes of the ranges before."""
-    return scores.withColumn("rank", F.row_number().over(Window.orderBy(F.desc(by), "node")))
+    return numbered(scores, [F.desc(by), F.asc("node")])
 
 
 def powerlaw(scores, low, high, keys=()):

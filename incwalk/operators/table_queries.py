@@ -7,7 +7,9 @@ from pyspark.sql import functions as F
 
 from incwalk.operators.registry_of import Registry
 from incwalk.sources.graphs import edges, edges_sql
-from incwalk.streaming.maintain import windowed_arrivals
+from incwalk.plans.personal import pick_seeds
+from incwalk.plans.ranking import numbered
+from incwalk.streaming.maintain import sessions, windowed_arrivals
 from incwalk.store import table
 
 R = Registry()
@@ -27,7 +29,7 @@ def cb(s, d):
 
 
 add = R.add
-add("scan_orders_cols", lambda s, d: ORD(s, d).select("o_orderkey", "o_custkey").where("o_custkey < 50"), "SELECT o_orderkey, o_custkey FROM orders WHERE o_custkey < 50")
+add("scan_orders_cols", lambda s, d: ORD(s, d).where("o_totalprice > 100000").select("o_orderkey", "o_custkey"), "SELECT o_orderkey, o_custkey FROM orders WHERE o_totalprice > 100000")
 add("scan_lineitem_dates", lambda s, d: LI(s, d).where("l_shipdate >= timestamp_ntz '1998-01-01'").groupBy(F.year("l_shipdate").alias("y")).count(), "SELECT year(l_shipdate)::INT AS y, count(*) AS count FROM lineitem WHERE l_shipdate >= '1998-01-01' GROUP BY 1")
 add("edge_features", lambda s, d: cb(s, d).select("src", "dst", (F.col("mult") > 1).alias("repeat"), F.when(F.col("ord") < CUT, "old").otherwise("new").alias("age")), f"SELECT src, dst, mult > 1 AS repeat, CASE WHEN ord < {CUT} THEN 'old' ELSE 'new' END AS age FROM ({CB})")
 add("recent_edges", lambda s, d: cb(s, d).where(F.col("ord") >= CUT).select("src", "dst"), f"SELECT src, dst FROM ({CB}) WHERE ord >= {CUT}")
@@ -45,7 +47,7 @@ add("labelled_docs", lambda s, d: DO(s, d).select("doc_id").join(LA(s, d), "doc_
 add("unlabelled_docs", lambda s, d: DO(s, d).select("doc_id").join(LA(s, d), "doc_id", "left_anti"), "SELECT doc_id FROM documents ANTI JOIN labels USING (doc_id)")
 add("old_nodes_only", lambda s, d: (lambda e: e.where(F.col("ord") >= CUT).join(e.where(F.col("ord") < CUT).select("src"), "src", "left_semi").select("src", "dst"))(cb(s, d)), f"WITH e AS ({CB}) SELECT src, dst FROM e WHERE ord >= {CUT} AND src IN (SELECT src FROM e WHERE ord < {CUT})")
 add("reciprocal_edges", lambda s, d: (lambda e: e.select("src", "dst").join(e.select(F.col("dst").alias("src"), F.col("src").alias("dst")), ["src", "dst"]).where("src < dst"))(cb(s, d)), f"WITH e AS ({CB}) SELECT a.src, a.dst FROM e a JOIN e b ON a.src = b.dst AND a.dst = b.src WHERE a.src < a.dst")
-add("common_neighbours", lambda s, d: (lambda e: e.where("src < 20").select(F.col("src").alias("a"), "dst").join(e.select(F.col("src").alias("b"), "dst"), "dst").where("a < b").groupBy("a", "b").count())(cb(s, d)), f"WITH e AS ({CB}) SELECT x.src AS a, y.src AS b, count(*) AS count FROM e x JOIN e y ON x.dst = y.dst WHERE x.src < 20 AND x.src < y.src GROUP BY 1, 2")
+add("common_neighbours", lambda s, d: (lambda e: e.join(pick_seeds(e, 20).select(F.col("seed").alias("src")), "src", "left_semi").select(F.col("src").alias("a"), "dst").join(e.select(F.col("src").alias("b"), "dst"), "dst").where("a <> b").groupBy("a", "b").count())(cb(s, d)), f"WITH e AS ({CB}), sd AS (SELECT src FROM (SELECT src, count(*) AS f FROM e GROUP BY src) WHERE f BETWEEN 20 AND 30 ORDER BY md5('seed|' || src), src LIMIT 20) SELECT x.src AS a, y.src AS b, count(*) AS count FROM e x JOIN e y ON x.dst = y.dst WHERE x.src IN (SELECT src FROM sd) AND x.src <> y.src GROUP BY 1, 2")
 add("two_hop_counts", lambda s, d: (lambda e: e.select("src", F.col("dst").alias("mid")).join(e.groupBy(F.col("src").alias("mid")).agg(F.count("*").alias("k")), "mid").groupBy("src").agg(F.sum("k").alias("paths")))(cb(s, d)), f"WITH e AS ({CB}), k AS (SELECT src AS mid, count(*) AS k FROM e GROUP BY 1) SELECT src, sum(k)::BIGINT AS paths FROM e JOIN k ON dst = mid GROUP BY 1")
 
 
@@ -68,9 +70,16 @@ _DEG = f"SELECT src, count(*) AS d FROM ({CB}) GROUP BY 1"
 
 
 def deg_windows(s, d):
-    w = Window.orderBy("d")
+    """Ranks by degree: windows run over the table of distinct degrees, tiles come from numbers by ranges, so no task holds all nodes."""
     x = cb(s, d).groupBy("src").agg(F.count("*").alias("d"))
-    return x.select("src", F.rank().over(w).alias("rank"), F.dense_rank().over(w).alias("dense"), F.round(F.percent_rank().over(w), 9).alias("share"), F.round(F.cume_dist().over(w), 9).alias("cume"), F.ntile(10).over(Window.orderBy("d", "src")).alias("tile"))
+    upto = Window.orderBy("d").rowsBetween(Window.unboundedPreceding, 0)  # as many rows as there are degrees
+    every = Window.partitionBy(F.lit(1))
+    sizes = x.groupBy("d").agg(F.count("*").alias("k")).select("d", "k", F.sum("k").over(upto).alias("run"), F.sum("k").over(every).alias("n"), F.row_number().over(Window.orderBy("d")).alias("dense"))
+    y = numbered(x, [F.asc("d"), F.asc("src")], "row").join(F.broadcast(sizes), "d")
+    rank, q, r = F.col("run") - F.col("k") + 1, F.floor(F.col("n") / 10), F.col("n") % 10
+    row = F.col("row") - 1
+    tile = F.when(row < r * (q + 1), F.floor(row / (q + 1)) + 1).otherwise(r + F.floor((row - r * (q + 1)) / F.greatest(q, F.lit(1))) + 1)
+    return y.select("src", rank.alias("rank"), "dense", F.round((rank - 1) / F.greatest(F.col("n") - 1, F.lit(1)), 9).alias("share"), F.round(F.col("run") / F.col("n"), 9).alias("cume"), tile.cast("int").alias("tile"))
 
 
 add("degree_windows", deg_windows, f"SELECT src, rank() OVER w AS rank, dense_rank() OVER w AS dense, round(percent_rank() OVER w, 9) AS share, round(cume_dist() OVER w, 9) AS cume, ntile(10) OVER (ORDER BY d, src) AS tile FROM ({_DEG}) WINDOW w AS (ORDER BY d)")

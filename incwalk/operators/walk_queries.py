@@ -53,7 +53,7 @@ def pagerank_normalised(spark, sf_dir):
 
 
 R.add("pagerank_normalised", pagerank_normalised, f"WITH RECURSIVE {walks_sql(edges_sql('links'), SPEC)} SELECT node, round(count(*) / (SELECT count(*) FROM w0), 12) AS score FROM w0 GROUP BY node")
-R.add("walks_through_node", lambda s, d: _store(s, d)[1].where("node < 20").groupBy("node").agg(F.count_distinct("src", "rep").alias("walks")), f"{_W} SELECT node, count(DISTINCT (src, rep)) AS walks FROM w0 WHERE node < 20 GROUP BY node")
+R.add("walks_through_node", lambda s, d: _store(s, d)[1].groupBy("node").agg(F.count_distinct("src", "rep").alias("walks")), f"{_W} SELECT node, count(DISTINCT (src, rep)) AS walks FROM w0 GROUP BY node")
 _A = "WITH RECURSIVE " + walks_sql(COBUY, ALT)
 R.add("alt_visits", lambda s, d: _store(s, d, ALT)[1].select("src", "rep", "pos", "node", "role", "ended"), f"{_A} SELECT src, rep, pos, node, role, ended FROM w0")
 
@@ -167,9 +167,9 @@ _CO = _P0 + "d AS (SELECT src, count(*) AS d FROM e GROUP BY 1), h AS (SELECT a.
 R.add("cosine_scores", lambda s, d: (lambda e: exact.cosine_hubs(e, personal.pick_seeds(e, 5)).select("seed", "node", F.round("hub", 10).alias("hub")))(_e(s, d)), _CO + " SELECT seed, node, round(hub, 10) AS hub FROM hub")
 R.add("cosine_authority", lambda s, d: (lambda e: exact.cosine_authorities(e, exact.cosine_hubs(e, personal.pick_seeds(e, 5))).select("seed", "node", F.round("auth", 8).alias("auth")))(_e(s, d)), _CO + " SELECT seed, dst AS node, round(sum(hub), 8) AS auth FROM hub JOIN e ON src = node GROUP BY 1, 2")
 R.add("popularity", lambda s, d: edges(s, d, "buys").groupBy(F.col("dst").alias("node")).agg(F.count("*").alias("links")), f"SELECT dst AS node, count(*) AS links FROM ({edges_sql('buys')}) GROUP BY 1")
-_DP = f"WITH {_WE}, b AS (SELECT node, node AS target, 0.2::DOUBLE AS s FROM n WHERE node < 5), x0 AS (SELECT * FROM b), " + _rounds(lambda i: f"x{i} AS (SELECT * FROM (SELECT node, target, sum(s) AS s FROM (SELECT src AS node, target, s * ow * 0.8 AS s FROM x{i - 1} JOIN w ON dst = node UNION ALL SELECT * FROM b) GROUP BY 1, 2) WHERE s >= {{keep}})", 3) + " SELECT node, target, round(s, 10) AS score FROM x3"
-R.add("neighbour_dp", lambda s, d: (lambda e: exact.neighbour_mean(e, G.nodes(e).where("node < 5"), depth=3).select("node", "target", F.round("score", 10).alias("score")))(_e(s, d)), _DP.format(keep="0"))
-R.add("rounded_dp", lambda s, d: (lambda e: exact.neighbour_mean(e, G.nodes(e).where("node < 5"), depth=3, keep=0.0005).select("node", "target", F.round("score", 10).alias("score")))(_e(s, d)), _DP.format(keep="0.0005"))
+_DP = f"WITH {_WE}, b AS (SELECT node, node AS target, 0.2::DOUBLE AS s FROM (SELECT src AS node FROM (SELECT src, count(*) AS f FROM e GROUP BY src) WHERE f BETWEEN 20 AND 30 ORDER BY md5('seed|' || src), src LIMIT 5)), x0 AS (SELECT * FROM b), " + _rounds(lambda i: f"x{i} AS (SELECT * FROM (SELECT node, target, sum(s) AS s FROM (SELECT src AS node, target, s * ow * 0.8 AS s FROM x{i - 1} JOIN w ON dst = node UNION ALL SELECT * FROM b) GROUP BY 1, 2) WHERE s >= {{keep}})", 3) + " SELECT node, target, round(s, 10) AS score FROM x3"
+R.add("neighbour_dp", lambda s, d: (lambda e: exact.neighbour_mean(e, personal.pick_seeds(e, 5).select(F.col("seed").alias("node")), depth=3).select("node", "target", F.round("score", 10).alias("score")))(_e(s, d)), _DP.format(keep="0"))
+R.add("rounded_dp", lambda s, d: (lambda e: exact.neighbour_mean(e, personal.pick_seeds(e, 5).select(F.col("seed").alias("node")), depth=3, keep=0.0005).select("node", "target", F.round("score", 10).alias("score")))(_e(s, d)), _DP.format(keep="0.0005"))
 R.add("aitken_power", lambda s, d: exact.aitken(_e(s, d)).select("node", F.round("score", 9).alias("score")))
 
 
@@ -189,7 +189,7 @@ def lumped_update(spark, sf_dir):
     base, ch = _scenario(spark, sf_dir)
     new, _, _ = update.changed_edges(base, ch)
     old = save(exact.power_iteration(base, rounds=15).select("node", "score"), "old")
-    return exact.lumped_update(save(new, "edges"), old, ch.select(F.col("src").alias("node")).distinct().limit(5))
+    return exact.lumped_update(save(new, "edges"), old, ch.select(F.col("src").alias("node")).distinct())
 
 
 R.add("warm_start_gain", warm_start_gain)

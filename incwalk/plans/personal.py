@@ -116,7 +116,8 @@ def waves(visits: DataFrame, edges: DataFrame, seeds: DataFrame, length: int, sp
     """``(seed, pos, node, how)`` of walks of ``length`` visits, by joins alone (policy ``lazy``, forward walks)."""
     usable = segments(visits).where((F.size("path") > 1) & (F.col("rep") < spec.reps))
     usable = save(usable.select(F.col("src").alias("node"), F.row_number().over(Window.partitionBy("src").orderBy("rep")).alias("k"), F.slice("path", 2, 1 << 30).alias("tail")), "usable")
-    adj = save(G.slots(edges).select(F.col("src").alias("node"), "slot", "dst"), "adj")
+    number = G.slots if spec.coin == "portable" else G.salted_slots
+    adj = save(number(edges).select(F.col("src").alias("node"), "slot", "dst"), "adj")
     deg = save(adj.groupBy("node").agg(F.count("*").alias("deg")), "deg")
     many = math.ceil(1.3 * length * spec.eps) + 20
     frontier = seeds.select("seed", F.explode(F.sequence(F.lit(0), F.lit(many - 1))).alias("exc"), F.col("seed").alias("node"), F.lit(0).alias("at"), F.lit("reset").alias("how"))

@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 
 from incwalk.functions import coins
 from incwalk.plans import graph as G
+from incwalk.plans.ranking import numbered
 from incwalk.plans.walks import Spec, grow, heads, walk_key
 from incwalk.store import save
 
@@ -93,8 +94,7 @@ def gate(counter: DataFrame) -> DataFrame:
 
 def replay(edges: DataFrame, spec: Spec, cuts: list[int]) -> DataFrame:
     """Builds on the first ``cuts[0]`` arrivals, then applies the others in batches that end at the further cuts; one ledger row a batch, with the bound of the theory."""
-    order = Window.orderBy("ord", "src", "dst")
-    e = save(edges.select("src", "dst", "ord").withColumn("t", F.row_number().over(order)), "history")
+    e = save(numbered(edges.select("src", "dst", "ord"), [F.asc("ord"), F.asc("src"), F.asc("dst")], "t"), "history")
     now = e.where(F.col("t") <= cuts[0]).select("src", "dst", "ord")
     from incwalk.plans.walks import build_store
 

@@ -77,10 +77,11 @@ def _step(frontier: DataFrame, adj: DataFrame, deg: DataFrame, spec: Spec, epoch
 
 
 def both_ways(edges: DataFrame, spec: Spec) -> tuple[DataFrame, DataFrame]:
-    """Slot and degree tables by the way of the step, as the role names it."""
-    adj = G.slots(edges).withColumn("way", F.lit("hub"))
+    """Slot and degree tables by the way of the step, as the role names it. Fast coins go with salted numbering, so that no task sorts a whole hub; portable ones with the order of arrival, which SQL shares."""
+    number = G.slots if spec.coin == "portable" else G.salted_slots
+    adj = number(edges).withColumn("way", F.lit("hub"))
     if spec.alternating:
-        adj = adj.unionByName(G.slots(G.reverse(edges)).withColumn("way", F.lit("auth")))
+        adj = adj.unionByName(number(G.reverse(edges)).withColumn("way", F.lit("auth")))
     return adj, adj.groupBy("src", "way").agg(F.count("*").alias("deg"))
 
 

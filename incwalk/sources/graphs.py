@@ -36,8 +36,8 @@ def dedup(raw: DataFrame) -> DataFrame:
 def lag_over_time(df: DataFrame, keys: list[str], value: str, order: list[str], day: Column) -> DataFrame:
     """Adds ``prev``, the value of the row before in ``order`` within ``keys``, without one task per key.
 
-    Windows run inside days; a day's first row takes the last value of the last day before it that
-    has rows, from a table with a row for each key and day.
+    Windows run inside periods (``day``: a day, a month); a period's first row takes the last value
+    of the last period before it that has rows, from a table with a row for each key and period.
     """
     rows = df.withColumn("__day", day)
     inside = Window.partitionBy(*keys, "__day").orderBy(*order)
@@ -55,8 +55,8 @@ def _purchases(spark, sf_dir) -> DataFrame:
 
 
 def cobuy(spark, sf_dir):
-    w = Window.partitionBy("l_partkey").orderBy("o_orderdate", "o_orderkey", "l_linenumber")
-    return dedup(_purchases(spark, sf_dir).withColumn("dst", F.lag("o_custkey").over(w)).select(F.col("o_custkey").alias("src"), "dst", "ord"))
+    p = lag_over_time(_purchases(spark, sf_dir), ["l_partkey"], "o_custkey", ["o_orderdate", "o_orderkey", "l_linenumber"], F.trunc("o_orderdate", "month"))
+    return dedup(p.select(F.col("o_custkey").alias("src"), F.col("prev").alias("dst"), "ord"))
 
 
 def buys(spark, sf_dir):
@@ -93,7 +93,7 @@ def links(spark, sf_dir):
     return dedup(p.select("page_id", "pos", "href").select(F.col("page_id").alias("src"), text_id("href").alias("dst"), (F.col("page_id") * 1_000_000 + F.col("pos")).alias("ord")))
 
 
-def pref(spark, sf_dir, n: int = 2000, out: int = 8, mix: float = 0.7, seed: int = 5, hops: int = 24):
+def pref(spark, sf_dir, n: int = 2000, out: int = 8, mix: float = 0.7, seed: int = 5, hops: int = 120):
     """Preferential attachment without a sequential loop: an edge either goes to a uniform node or copies the target of a uniform earlier edge.
 
     The copy is a pointer; pointers double until all rest at an edge that chose for itself. Edge t
