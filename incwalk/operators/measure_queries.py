@@ -66,7 +66,7 @@ _Q = 1 / math.log(1 / 0.8)
 R.add("cost_table", cost_table, "WITH g AS (" + " UNION ALL ".join(f"SELECT '{g}' AS graph, count(DISTINCT node) AS n, (SELECT count(*) FROM ({edges_sql(g)})) AS m FROM (SELECT src AS node FROM ({edges_sql(g)}) UNION ALL SELECT dst FROM ({edges_sql(g)}))" for g in ("cobuy", "buys", "handoff")) + f") SELECT graph, n, m, round(m::DOUBLE * m / 2 * {_Q!r}::DOUBLE, 2) AS power, round(m::DOUBLE * n / 0.2, 2) AS monte_carlo, round(n::DOUBLE / 0.04 * (ln(m) + 1), 2) AS incremental, round(m::DOUBLE * m / {math.sqrt(0.2)!r}::DOUBLE, 2) AS scan_stitching FROM g")
 R.add("choose_r_table", lambda s, d: s.createDataFrame([(r, n, theory.choose_r(n, 0.2, r)) for r in ("one", "log", "fetch", "level") for n in (1000, 10**6, 10**9)], "rule string, n long, r long"), "SELECT rule, n::BIGINT AS n, CASE rule WHEN 'one' THEN 1 WHEN 'log' THEN ceil(ln(n / 0.2)) WHEN 'fetch' THEN floor(ln(n)) + 1 ELSE ceil(ln(n)) END::BIGINT AS r FROM (VALUES ('one'), ('log'), ('fetch'), ('level')) a(rule), (VALUES (1000), (1000000), (1000000000)) b(n)")
 R.add("update_bounds", lambda s, d: s.createDataFrame([(m, round(theory.update_bound(1500, 2, 0.2, 50_000, m), 3)) for m in ("random", "alternating", "dirichlet", "deletion")], "model string, steps double"), "WITH h AS (SELECT sum(1 / t::DOUBLE) AS h FROM range(1, 50001) x(t)) SELECT m AS model, round(CASE m WHEN 'random' THEN 75000 * h WHEN 'alternating' THEN 1200000 * h WHEN 'dirichlet' THEN 75000 * ln(51500 / 1500::DOUBLE) ELSE 75000 / 50000::DOUBLE END, 3) AS steps FROM h, (VALUES ('random'), ('alternating'), ('dirichlet'), ('deletion')) v(m)")
-R.add("tail_bounds", lambda s, d: s.createDataFrame([(x, theory.tail_constant(x, 0.2)) for x in (0.1, 0.25, 0.5, 1.0, 2.0)], "delta double, exponent double"))
+R.add("tail_bounds", lambda s, d: s.createDataFrame([(x, round(theory.tail_constant(x, 0.2), 9)) for x in (0.1, 0.25, 0.5, 1.0, 2.0)], "delta double, exponent double"), "SELECT delta, round(greatest(0, max(t * (1 + delta) + 1 - 0.2::DOUBLE * exp(t * 0.2::DOUBLE) / (1 - 0.8::DOUBLE * exp(t * 0.2::DOUBLE)))), 9) AS exponent FROM (SELECT -ln(0.8::DOUBLE) / 0.2::DOUBLE * i / 2000 AS t FROM range(1, 2000) r(i)), (SELECT unnest([0.1, 0.25, 0.5, 1.0, 2.0])::DOUBLE AS delta) GROUP BY delta")
 
 
 # statistics of arrivals
@@ -133,11 +133,16 @@ def exp_w03(spark, sf_dir):
     return part(indeg, "in-degree", 10, 1000).union(part(pr, "pagerank", 10, 1000)).union(part(pr, "pagerank", 10, 10000))
 
 
-R.add("exp_w03", exp_w03)
-R.add("exponent_pagerank", lambda s, d: exp_w03(s, d).where("vector = 'pagerank'"))
+_WO = edges_sql("words")
+_WW = f"e AS ({_WO}), w AS (SELECT src, dst, 1 / count(*) OVER (PARTITION BY src) AS ow FROM e)"
+_FIT = "round(-regr_slope(ln(score), ln(rank)), 6) AS alpha, round(regr_r2(ln(score), ln(rank)), 6) AS r2, count(*) AS points"
+_W03 = f"WITH {_WW}, n AS (SELECT src AS node FROM e UNION SELECT dst FROM e), x0 AS (SELECT node, 1 / (SELECT count(*) FROM n) AS s FROM n), " + ", ".join(f"x{i} AS (SELECT node, sum(s) AS s FROM (SELECT dst AS node, s * ow * 0.8 AS s FROM x{i - 1} JOIN w ON src = node UNION ALL SELECT node, 0.2 * s FROM x0) GROUP BY node)" for i in range(1, 11)) + ", r AS (SELECT 'in-degree' AS vector, score, row_number() OVER (ORDER BY score DESC) AS rank FROM (SELECT count(*) AS score FROM e GROUP BY dst) UNION ALL SELECT 'pagerank', s, row_number() OVER (ORDER BY s DESC) FROM x10), o AS (SELECT * FROM (VALUES ('in-degree', 10, 1000), ('pagerank', 10, 1000), ('pagerank', 10, 10000)) v(vector, low, high))"
+_W03 += f" SELECT vector, low, high, {_FIT} FROM r JOIN o USING (vector) WHERE rank BETWEEN low AND high{{}} GROUP BY 1, 2, 3"
+R.add("exp_w03", exp_w03, _W03.format(""))
+R.add("exponent_pagerank", lambda s, d: exp_w03(s, d).where("vector = 'pagerank'"), _W03.format(" AND vector = 'pagerank'"))
 
 
-def exponents_by_seed(spark, sf_dir, how_many=20):
+def exponents_by_seed(spark, sf_dir, how_many=100):
     e = _e(spark, sf_dir, "words")
     seeds = save(personal.pick_seeds(e, how_many), "seeds")
     x = exact.power_iteration(e, rounds=5, seeds=seeds).where("node <> seed")
@@ -146,10 +151,16 @@ def exponents_by_seed(spark, sf_dir, how_many=20):
     return powerlaw(x, 1, 10**9, ("seed", "friends"))
 
 
-R.add("exponents_by_seed", exponents_by_seed)
-R.add("exp_w04", lambda s, d: exponents_by_seed(s, d, 6))
-R.add("exponent_summary", lambda s, d: exponents_by_seed(s, d).agg(F.avg("alpha").alias("mean"), F.stddev_pop("alpha").alias("sd"), F.avg((F.col("alpha") > 1).cast("double")).alias("above_one"), F.count("*").alias("seeds")))
-R.add("exp_w05", lambda s, d: exponents_by_seed(s, d, 20).withColumn("place", F.row_number().over(Window.orderBy("alpha", "seed"))))
+def _exponents_sql(how_many=100):
+    x = ", ".join(f"x{i} AS (SELECT seed, node, sum(s) AS s FROM (SELECT seed, dst AS node, s * ow * 0.8 AS s FROM x{i - 1} JOIN w ON src = node UNION ALL SELECT seed, node, 0.2 * s FROM x0) GROUP BY 1, 2)" for i in range(1, 6))
+    return f"WITH {_WW}, sd AS (SELECT src AS seed, friends FROM (SELECT src, count(*) AS friends FROM e GROUP BY src) WHERE friends BETWEEN 20 AND 30 ORDER BY md5('seed|' || src), src LIMIT {how_many}), x0 AS (SELECT seed, seed AS node, 1.0::DOUBLE AS s FROM sd), {x}, r AS (SELECT seed, s AS score, row_number() OVER (PARTITION BY seed ORDER BY s DESC) AS rank FROM x5 WHERE node <> seed), f AS (SELECT seed, friends, {_FIT} FROM r JOIN sd USING (seed) WHERE rank BETWEEN 2 * friends AND 20 * friends GROUP BY 1, 2)"
+
+
+R.add("exponents_by_seed", exponents_by_seed, _exponents_sql() + " SELECT * FROM f")
+R.add("exp_w04", lambda s, d: exponents_by_seed(s, d, 6), _exponents_sql(6) + " SELECT * FROM f")
+R.add("exponent_summary", lambda s, d: exponents_by_seed(s, d).agg(F.round(F.avg("alpha"), 5).alias("mean"), F.round(F.stddev_pop("alpha"), 5).alias("sd"), F.round(F.avg((F.col("alpha") > 1).cast("double")), 6).alias("above_one"), F.count("*").alias("seeds")), _exponents_sql() + " SELECT round(avg(alpha), 5) AS mean, round(stddev_pop(alpha), 5) AS sd, round(avg((alpha > 1)::INT), 6) AS above_one, count(*) AS seeds FROM f")
+# one row a seed, whose number is stated
+R.add("exp_w05", lambda s, d: exponents_by_seed(s, d).withColumn("place", F.row_number().over(Window.orderBy("alpha", "seed"))), _exponents_sql() + " SELECT *, row_number() OVER (ORDER BY alpha, seed) AS place FROM f")
 
 
 # short walks against long ones; fetches against bounds
@@ -195,7 +206,8 @@ def exp_w07(spark, sf_dir):
 
 
 R.add("exp_w07", exp_w07)
-R.add("fetch_bound_summed", lambda s, d: (lambda e: exact.power_iteration(e, rounds=6, seeds=save(personal.pick_seeds(e, 5), "seeds")).groupBy("seed").agg(F.round(1 + F.sum(F.when(F.col("score") * 1000 > 2.5, F.col("score") * 1000).otherwise(0.0)), 6).alias("bound")))(_e(s, d, "cobuy")))
+_FBS = f"WITH e AS ({_CB}), w AS (SELECT src, dst, 1 / count(*) OVER (PARTITION BY src) AS ow FROM e), x0 AS (SELECT src AS seed, src AS node, 1.0::DOUBLE AS s FROM (SELECT src, count(*) AS f FROM e GROUP BY src) WHERE f BETWEEN 20 AND 30 ORDER BY md5('seed|' || src), src LIMIT 5), " + ", ".join(f"x{i} AS (SELECT seed, node, sum(s) AS s FROM (SELECT seed, dst AS node, s * ow * 0.8 AS s FROM x{i - 1} JOIN w ON src = node UNION ALL SELECT seed, node, 0.2 * s FROM x0) GROUP BY 1, 2)" for i in range(1, 7)) + " SELECT seed, round(1 + sum(CASE WHEN s * 1000 > 2.5 THEN s * 1000 ELSE 0 END), 6) AS bound FROM x6 GROUP BY seed"
+R.add("fetch_bound_summed", lambda s, d: (lambda e: exact.power_iteration(e, rounds=6, seeds=save(personal.pick_seeds(e, 5), "seeds")).groupBy("seed").agg(F.round(1 + F.sum(F.when(F.col("score") * 1000 > 2.5, F.col("score") * 1000).otherwise(0.0)), 6).alias("bound")))(_e(s, d, "cobuy")), _FBS)
 
 
 # link prediction
@@ -245,11 +257,12 @@ def exp_w10(spark, sf_dir):
     gone = e.where(F.substring(F.md5(F.concat_ws("|", "src", "dst")), 1, 2) == "7f").select(F.lit("-").alias("op"), "src", "dst", "ord")
     _, _, ledger = update.apply_changes(save(build_store(e, spec), "visits"), e, gone, spec, 1)
     n, m = G.nodes(e).count(), e.count()
-    return ledger.select("edges_gone", "walks_rerouted", "steps_redone", (F.col("edges_gone") * (n * spec.reps / (m * spec.eps**2))).alias("bound_steps"))
+    return ledger.select("edges_gone", "walks_rerouted", "steps_redone", F.round(F.col("edges_gone") * (n * spec.reps / (m * spec.eps**2)), 6).alias("bound_steps"))
 
 
-R.add("exp_w10", exp_w10)
-R.add("deletion_bound", exp_w10)
+_W10 = "WITH RECURSIVE " + update.update_sql(f"SELECT src, dst, ord FROM ({_CB})", f"SELECT '-' AS op, src, dst, ord FROM ({_CB}) WHERE substr(md5(src || '|' || dst), 1, 2) = '7f'", Spec(reps=2, seed=10)) + " SELECT (SELECT count(*) FROM gone) AS edges_gone, (SELECT count(*) FROM c1) AS walks_rerouted, (SELECT count(*) FROM r1) AS steps_redone, round((SELECT count(*) FROM gone) * ((SELECT count(*) FROM n0) * 2 / ((SELECT count(*) FROM e0) * 0.04::DOUBLE)), 6) AS bound_steps"
+R.add("exp_w10", exp_w10, _W10)
+R.add("deletion_bound", exp_w10, _W10)
 
 
 def exp_w12(spark, sf_dir):
@@ -286,14 +299,23 @@ def exp_w16(spark, sf_dir):
     for r in (1, 2, 5, 10, 20):
         c = build_store(e, Spec(reps=r, seed=16)).groupBy("node").agg((F.count("*") * 0.2 / (n * r)).alias("score"))
         x = truth.join(c, "node", "left").na.fill(0.0)
-        row = x.agg(F.sum(F.abs(F.col("score") - F.col("t"))).alias("l1"), F.max(F.abs(F.col("score") - F.col("t"))).alias("linf"), F.corr("score", "t").alias("corr"), F.avg((F.abs(F.col("score") / F.col("t") - 1) > 0.5).cast("double")).alias("share_off_by_half")).withColumn("r", F.lit(r))
+        row = x.agg(F.round(F.sum(F.abs(F.col("score") - F.col("t"))), 9).alias("l1"), F.round(F.max(F.abs(F.col("score") - F.col("t"))), 10).alias("linf"), F.round(F.corr("score", "t"), 9).alias("corr"), F.round(F.avg((F.abs(F.col("score") / F.col("t") - 1) > 0.5).cast("double")), 9).alias("share_off_by_half")).withColumn("r", F.lit(r))
         out = row if out is None else out.unionByName(row)
     return out
 
 
-R.add("exp_w16", exp_w16)
-R.add("score_errors", exp_w16)
-R.add("tail_share", lambda s, d: exp_w16(s, d).select("r", "share_off_by_half"))
+def _w16_sql():
+    from incwalk.plans.walks import walks_sql
+
+    e = f"SELECT src, dst, ord FROM ({_CB})"
+    truth = f"e AS ({e}), w AS (SELECT src, dst, 1 / count(*) OVER (PARTITION BY src) AS ow FROM e), n AS (SELECT src AS node FROM e UNION SELECT dst FROM e), x0 AS (SELECT node, 1 / (SELECT count(*) FROM n) AS s FROM n), " + ", ".join(f"x{i} AS (SELECT node, sum(s) AS s FROM (SELECT dst AS node, s * ow * 0.8 AS s FROM x{i - 1} JOIN w ON src = node UNION ALL SELECT node, 0.2 * s FROM x0) GROUP BY node)" for i in range(1, 26))
+    counts = " UNION ALL ".join(f"SELECT {r} AS r, * FROM (WITH RECURSIVE {walks_sql(e, Spec(reps=r, seed=16))} SELECT node, count(*) AS k FROM w0 GROUP BY node)" for r in (1, 2, 5, 10, 20))
+    return f"WITH {truth}, c AS ({counts}), j AS (SELECT r, s AS t, coalesce(k, 0) * 0.2 / ((SELECT count(*) FROM n) * r) AS score FROM (SELECT node, s, unnest([1, 2, 5, 10, 20]) AS r FROM x25) LEFT JOIN c USING (node, r)) SELECT r, round(sum(abs(score - t)), 9) AS l1, round(max(abs(score - t)), 10) AS linf, round(corr(score, t), 9) AS corr, round(avg((abs(score / t - 1) > 0.5)::INT), 9) AS share_off_by_half FROM j GROUP BY r"
+
+
+R.add("exp_w16", exp_w16, _w16_sql())
+R.add("score_errors", exp_w16, _w16_sql())
+R.add("tail_share", lambda s, d: exp_w16(s, d).select("r", "share_off_by_half"), f"SELECT r, share_off_by_half FROM ({_w16_sql()})")
 
 
 def lemma7_distance(spark, sf_dir):

@@ -27,7 +27,7 @@ def _store(spark, sf_dir, spec=SPEC, name="cobuy"):
 
 
 for _name in GRAPHS:
-    R.add(f"edges_{_name}", lambda spark, sf_dir, n=_name: edges(spark, sf_dir, n), edges_sql(_name) if _name != "pref" else None)
+    R.add(f"edges_{_name}", lambda spark, sf_dir, n=_name: edges(spark, sf_dir, n), edges_sql(_name))
 
 R.add("adjacency_slots", lambda s, d: G.slots(edges(s, d, "cobuy")).select("src", "slot", "dst"), f"SELECT src, row_number() OVER (PARTITION BY src ORDER BY ord, dst) - 1 AS slot, dst FROM ({COBUY})")
 R.add("degrees", lambda s, d: G.degrees(edges(s, d, "buys")), f"WITH e AS ({edges_sql('buys')}) SELECT node, sum(o)::BIGINT AS outdeg, sum(1 - o)::BIGINT AS indeg FROM (SELECT src AS node, 1 AS o FROM e UNION ALL SELECT dst, 0 FROM e) GROUP BY node")

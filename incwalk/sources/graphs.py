@@ -11,7 +11,8 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from incwalk.store import table
+from incwalk.functions.coins import FULL, coin, slot, sql_a, sql_b, sql_digest, threshold
+from incwalk.store import save, table
 
 PART, SUPPLIER = 10_000_000, 20_000_000
 DAY = 86_400
@@ -93,22 +94,47 @@ def links(spark, sf_dir):
     return dedup(p.select("page_id", "pos", "href").select(F.col("page_id").alias("src"), text_id("href").alias("dst"), (F.col("page_id") * 1_000_000 + F.col("pos")).alias("ord")))
 
 
-def pref(spark, sf_dir, n: int = 2000, out: int = 8, mix: float = 0.7, seed: int = 5, hops: int = 120):
-    """Preferential attachment without a sequential loop: an edge either goes to a uniform node or copies the target of a uniform earlier edge.
+def near(spark, sf_dir, k: int = 10, blocks: int = 16):
+    """Vector to its ``k`` most similar ones by cosine, ties to smaller ids. Every vector is a query against all rows; rows come in blocks, and each query keeps ``k`` of a block before the last ranking."""
+    v = table(spark, sf_dir, "embeddings").select("vec_id", F.expr("transform(embedding, x -> double(x))").alias("v"))
+    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
+    v = save(v.withColumn("norm", F.sqrt(dot("v", "v"))).where("norm > 0").select("vec_id", "v", "norm", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).alias("block")), "vectors")
+    q = v.select(F.col("vec_id").alias("src"), F.col("v").alias("qv"), F.col("norm").alias("qn"), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))).alias("block"))
+    x = q.join(v.withColumnRenamed("vec_id", "dst"), "block").where("src <> dst").select("src", "dst", "block", F.round(dot("qv", "v") / (F.col("qn") * F.col("norm")), 12).alias("sim"))
+    order = [F.desc("sim"), F.asc("dst")]
+    x = x.withColumn("r", F.row_number().over(Window.partitionBy("src", "block").orderBy(*order))).where(F.col("r") <= k)
+    x = x.withColumn("r", F.row_number().over(Window.partitionBy("src").orderBy(*order))).where(F.col("r") <= k)
+    return dedup(x.select("src", "dst", (F.col("src") * k + F.col("r") - 1).alias("ord")))
 
-    The copy is a pointer; pointers double until all rest at an edge that chose for itself. Edge t
-    belongs to node t div ``out``.
-    """
-    from incwalk.functions.coins import coin, slot, threshold
 
-    a, b = coin(seed, "pref", F.col("id"), 0, 0)
-    e = spark.range(n * out).select("id", a.alias("a"), b.alias("b"))
-    copies = (F.col("a") < threshold(mix)) & (F.col("id") > 0)
+def _attached(spark, edges_: int, n: int, share: Column, seed: int, tag: str, hops: int) -> DataFrame:
+    """``(id, pick)``: a node for each of ``edges_`` draws, uniform over ``n`` nodes or, with chance ``share`` (of 2 to the 32), that of a uniform earlier draw.
+
+    The copy is a pointer; pointers double until all rest at a draw that chose for itself.
+    """
+    a, b = coin(seed, tag, F.col("id"), 0, 0)
+    e = spark.range(edges_).select("id", a.alias("a"), b.alias("b"))
+    copies = (F.col("a") < share) & (F.col("id") > 0)
     e = e.select("id", F.when(copies, slot(F.col("b"), F.col("id"))).otherwise(F.col("id")).alias("at"), slot(F.col("b"), F.lit(n)).alias("own"))
     for _ in range(max(1, (hops - 1).bit_length())):
-        e = e.alias("x").join(e.select(F.col("id").alias("at"), F.col("at").alias("next")), "at").select("id", F.col("next").alias("at"), "own")
-    target = e.select(F.col("id").alias("at"), F.col("own").alias("dst"))
-    return dedup(e.join(target, "at").select(F.floor(F.col("id") / out).alias("src"), "dst", F.col("id").alias("ord")))
+        e = save(e, "pointers")
+        e = e.join(e.select(F.col("id").alias("at"), F.col("at").alias("next")), "at").select("id", F.col("next").alias("at"), "own")
+    e = save(e, "pointers")
+    return e.join(e.select(F.col("id").alias("at"), F.col("own").alias("pick")), "at").select("id", "pick")
+
+
+def pref(spark, sf_dir, n: int = 2000, out: int = 8, mix: float = 0.7, seed: int = 5, hops: int = 120):
+    """Preferential attachment without a sequential loop; edge t belongs to node t div ``out``."""
+    e = _attached(spark, n * out, n, F.lit(threshold(mix)), seed, "pref", hops)
+    return dedup(e.select(F.floor(F.col("id") / out).alias("src"), F.col("pick").alias("dst"), F.col("id").alias("ord")))
+
+
+def dirichlet(spark, sf_dir, n: int = 1000, m: int = 10_000, seed: int = 6, hops: int = 1000):
+    """Arrivals whose source has weight degree + 1, which is a uniform node or the source of a uniform earlier edge; targets are uniform."""
+    share = F.floor(F.col("id") * FULL / (F.col("id") + n))
+    to = slot(coin(seed, "to", F.col("id"), 0, 0)[1], F.lit(n))
+    e = _attached(spark, m, n, share, seed, "from", hops)
+    return dedup(e.select(F.col("pick").alias("src"), to.alias("dst"), F.col("id").alias("ord")))
 
 
 def trap(spark, sf_dir, size: int = 100):
@@ -129,10 +155,19 @@ def trap(spark, sf_dir, size: int = 100):
     return dedup(raw.select("e.src", "e.dst", (F.col("id") * 6 + F.col("k")).alias("ord")))
 
 
-GRAPHS: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (cobuy, buys, buysup, handoff, handoff_t, words, links, pref, trap)}
+GRAPHS: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (cobuy, buys, buysup, handoff, handoff_t, words, links, near, pref, dirichlet, trap)}
 
 _TEXT = "('0x' || substr(md5({}), 1, 15))::BIGINT"
 _P = "(SELECT l_orderkey, l_partkey, l_suppkey, l_linenumber, o_custkey, o_orderkey, o_orderdate, epoch(o_orderdate)::BIGINT AS ord FROM lineitem JOIN orders ON l_orderkey = o_orderkey)"
+
+
+def _attached_sql(m: int, n: int, share: str, seed: int, tag: str, src: str, dst: str) -> str:
+    h = sql_digest(seed, tag, "id", "0", "0")
+    draws = f"SELECT id, CASE WHEN {sql_a('h')} < {share} AND id > 0 THEN ({sql_b('h')} * id) >> 32 ELSE id END AS ptr, ({sql_b('h')} * {n}) >> 32 AS own FROM (SELECT id, {h} AS h FROM range({m}) t(id))"
+    walk = f"WITH RECURSIVE p AS ({draws}), c AS (SELECT id, ptr FROM p UNION ALL SELECT c.id, p.ptr FROM c JOIN p ON p.id = c.ptr WHERE p.ptr <> c.ptr) SELECT c.id, p.own AS pick FROM c JOIN p ON p.id = c.ptr AND p.ptr = p.id"
+    return f"SELECT {src} AS src, {dst} AS dst, id AS ord FROM ({walk})"
+
+
 _RAW = {
     "cobuy": f"SELECT o_custkey AS src, lag(o_custkey) OVER (PARTITION BY l_partkey ORDER BY o_orderdate, o_orderkey, l_linenumber) AS dst, ord FROM {_P}",
     "buys": f"SELECT o_custkey AS src, l_partkey + {PART} AS dst, ord FROM {_P}",
@@ -141,6 +176,9 @@ _RAW = {
     "handoff_t": "SELECT user_id AS src, lag(user_id) OVER (PARTITION BY event_type ORDER BY ts, event_id) AS dst, epoch_us(ts) AS ord FROM events",
     "words": f"SELECT {_TEXT.format('w[i]')} AS src, {_TEXT.format('w[i + 1]')} AS dst, doc_id * 1000000 + i - 1 AS ord FROM (SELECT doc_id, w, unnest(range(1, len(w))) AS i FROM (SELECT doc_id, regexp_extract_all(lower(text), '([a-zà-ÿ]+)', 1) AS w FROM documents) WHERE len(w) > 1)",
     "links": f"SELECT page_id AS src, {_TEXT.format('h[i]')} AS dst, page_id * 1000000 + i - 1 AS ord FROM (SELECT page_id, h, unnest(range(1, len(h) + 1)) AS i FROM (SELECT page_id, regexp_extract_all(html, 'href=\"([^\"]*)\"', 1) AS h FROM pages))",
+    "near": "SELECT src, dst, src * 10 + r - 1 AS ord FROM (SELECT a.vec_id AS src, b.vec_id AS dst, row_number() OVER (PARTITION BY a.vec_id ORDER BY round(list_dot_product(a.v, b.v) / (sqrt(list_dot_product(a.v, a.v)) * sqrt(list_dot_product(b.v, b.v))), 12) DESC, b.vec_id) AS r FROM (SELECT vec_id, embedding::DOUBLE[] AS v FROM embeddings) a JOIN (SELECT vec_id, embedding::DOUBLE[] AS v FROM embeddings) b ON a.vec_id <> b.vec_id) WHERE r <= 10",
+    "pref": _attached_sql(16_000, 2000, str(threshold(0.7)), 5, "pref", "id // 8", "pick"),
+    "dirichlet": _attached_sql(10_000, 1000, f"floor(id::DOUBLE * {FULL} / (id + 1000))", 6, "from", "pick", f"({sql_b(sql_digest(6, 'to', 'id', '0', '0'))} * 1000) >> 32"),
     "trap": "SELECT unnest([j, j, 0, j + 100, 1, j + 200]) AS src, unnest([j % 100 + 1, 0, j + 100, 0, j + 200, 1]) AS dst, j * 6 + unnest([0, 1, 2, 3, 4, 5]) AS ord FROM range(1, 101) t(j)",
 }
 
