@@ -2,15 +2,17 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from incwalk.operators.registry_of import Registry
-from incwalk.sources.graphs import edges, edges_sql
+from incwalk.sources.graphs import edges, edges_sql, micros
 from incwalk.plans.personal import pick_seeds
 from incwalk.plans.ranking import numbered
-from incwalk.streaming.maintain import sessions, windowed_arrivals
-from incwalk.store import table
+from incwalk.streaming.maintain import windowed_arrivals
+from incwalk.store import scratch_root, table
 
 R = Registry()
 CB, BU = edges_sql("cobuy"), edges_sql("buys")
@@ -112,3 +114,65 @@ add("reach_within_3", reach_within_3, f"WITH RECURSIVE e AS ({CB}), r AS (SELECT
 add("coin_sample_edges", lambda s, d: cb(s, d).where(F.substring(F.md5(F.concat_ws("|", "src", "dst")), 1, 1) == "0").select("src", "dst"), f"SELECT src, dst FROM ({CB}) WHERE substr(md5(src || '|' || dst), 1, 1) = '0'")
 add("stream_arrivals_tumbling", lambda s, d: windowed_arrivals(EV(s, d), "6 hours"), "SELECT time_bucket(INTERVAL 6 HOUR, ts) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2")
 add("prev_turn", lambda s, d: table(s, d, "conversations").select("conv_id", "turn", F.lag("role").over(Window.partitionBy("conv_id").orderBy("turn")).alias("prev_role")), "SELECT conv_id, turn, lag(role) OVER (PARTITION BY conv_id ORDER BY turn) AS prev_role FROM conversations")
+
+
+# round trips and sinks
+def _through(fmt):
+    def run(s, d):
+        x = cb(s, d).select("src", "dst", "ord")
+        path = f"{scratch_root(s)}/incwalk-graph/trip-{fmt}-{uuid.uuid4().hex}"
+        x.write.format(fmt).save(path)
+        return s.read.schema(x.schema).format(fmt).load(path)
+
+    return run
+
+
+for _fmt in ("csv", "json", "orc"):
+    add(f"roundtrip_{_fmt}", _through(_fmt), f"SELECT src, dst, ord FROM ({CB})")
+
+
+def store_write_read(s, d):
+    """Edges in a folder per version; reading one version prunes the others."""
+    path = f"{scratch_root(s)}/incwalk-graph/versions-{uuid.uuid4().hex}"
+    x = cb(s, d).select("src", "dst", "ord")
+    for version, rows in enumerate((x.where(F.col("ord") < CUT), x)):
+        rows.withColumn("version", F.lit(version)).write.mode("append").partitionBy("version").parquet(path)
+    return s.read.parquet(path).where("version = 1").select("src", "dst")
+
+
+add("store_write_read", store_write_read, f"SELECT src, dst FROM ({CB})")
+add("tokens", lambda s, d: DO(s, d).select(F.explode(F.regexp_extract_all(F.lower("text"), F.lit("([a-zà-ÿ]+)"), 1)).alias("token")).groupBy("token").count(), "SELECT token, count(*) AS count FROM (SELECT unnest(regexp_extract_all(lower(text), '([a-zà-ÿ]+)', 1)) AS token FROM documents) GROUP BY 1")
+add("href_targets", lambda s, d: PA(s, d).select(F.explode(F.regexp_extract_all("html", F.lit('href="([^"]*)"'), 1)).alias("href")).groupBy("href").count(), "SELECT href, count(*) AS count FROM (SELECT unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS href FROM pages) GROUP BY 1")
+add("first_last_seen", lambda s, d: cb(s, d).groupBy("src").agg(F.min("ord").alias("first"), F.max("ord").alias("last"), F.max_by("dst", F.struct("ord", "dst")).alias("newest")), f"SELECT src, min(ord) AS first, max(ord) AS last, arg_max(dst, (ord, dst)) AS newest FROM ({CB}) GROUP BY 1")
+add("exists_reciprocal", lambda s, d: (lambda e: e.join(e.select(F.col("dst").alias("src"), F.col("src").alias("dst")), ["src", "dst"], "left_semi").groupBy("src").agg(F.count("*").alias("mutual")))(cb(s, d)), f"WITH e AS ({CB}) SELECT src, count(*) AS mutual FROM e a WHERE EXISTS (SELECT 1 FROM e b WHERE b.src = a.dst AND b.dst = a.src) GROUP BY 1")
+
+
+def degree_le(s, d):
+    """Nodes of at most each degree: a range condition answered by a running sum over the table of degrees instead of a nested loop."""
+    k = cb(s, d).groupBy("src").agg(F.count("*").alias("d")).groupBy("d").agg(F.count("*").alias("k"))
+    return k.select("d", F.sum("k").over(Window.orderBy("d").rowsBetween(Window.unboundedPreceding, 0)).alias("nodes"))  # a row a degree
+
+
+add("degree_le", degree_le, f"WITH g AS ({_DEG}) SELECT a.d, count(*) AS nodes FROM (SELECT DISTINCT d FROM g) a JOIN g b ON b.d <= a.d GROUP BY 1")
+
+
+def order_before_event(s, d):
+    """As-of join: for each event the user's latest order at or before the event's clock, shifted to the orders' years; a union sorted per user and year, the last order carried forward, and over year ends the last of the years before."""
+    o = ORD(s, d).select(F.col("o_custkey").alias("user_id"), (micros("o_orderdate")).alias("at"), F.lit(0).alias("kind"), F.col("o_orderkey").alias("id"))
+    e = EV(s, d).select("user_id", (micros("ts") - SHIFT).alias("at"), F.lit(1).alias("kind"), F.col("event_id").alias("id"))
+    x = o.unionByName(e).withColumn("block", F.floor(F.col("at") / (30 * 86_400_000_000)))
+    w = Window.partitionBy("user_id", "block").orderBy("at", "kind", "id").rowsBetween(Window.unboundedPreceding, 0)
+    x = x.withColumn("here", F.last(F.when(F.col("kind") == 0, F.col("id")), ignorenulls=True).over(w))
+    last = x.groupBy("user_id", "block").agg(F.max(F.when(F.col("kind") == 0, F.struct("at", "id")))["id"].alias("z"))
+    b = Window.partitionBy("user_id").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
+    carried = last.select("user_id", "block", F.last("z", ignorenulls=True).over(b).alias("carry"))
+    return x.where("kind = 1").join(carried, ["user_id", "block"]).select(F.col("id").alias("event_id"), F.coalesce("here", "carry").alias("o_orderkey"))
+
+
+SHIFT = 25 * 365 * 86_400 * 1_000_000
+add("order_before_event", order_before_event, f"WITH e AS (SELECT event_id, user_id, epoch_us(ts) - {SHIFT} AS at FROM events) SELECT event_id, (SELECT max((epoch_us(o_orderdate), o_orderkey))[2] FROM orders WHERE o_custkey = user_id AND epoch_us(o_orderdate) <= e.at) AS o_orderkey FROM e")
+add("arrivals_grouping_sets", lambda s, d: EV(s, d).groupingSets([["event_type"], ["user_id"], []], "event_type", "user_id").agg(F.count("*").alias("n")), "SELECT event_type, user_id, count(*) AS n FROM events GROUP BY GROUPING SETS ((event_type), (user_id), ())")
+add("visit_maps", lambda s, d: EV(s, d).groupBy("user_id", "event_type").count().groupBy("user_id").agg(F.map_from_entries(F.array_sort(F.collect_list(F.struct("event_type", "count")))).alias("m")).select("user_id", F.coalesce(F.col("m")["click"], F.lit(0)).alias("clicks"), F.size("m").alias("kinds")), "SELECT user_id, count(*) FILTER (event_type = 'click') AS clicks, count(DISTINCT event_type)::INT AS kinds FROM events GROUP BY 1")
+add("event_struct", lambda s, d: EV(s, d).select("event_id", F.from_json("props", "k long").alias("p")).select("event_id", F.to_json("p").alias("json"), F.col("p.k").alias("k")), "SELECT event_id, '{\"k\":' || json_extract_string(props, '$.k') || '}' AS json, json_extract_string(props, '$.k')::BIGINT AS k FROM events")
+add("approx_degree", lambda s, d: cb(s, d).groupBy("src").agg(F.approx_count_distinct("dst", 0.02).alias("about"), F.count("*").alias("deg")))
+add("hinted_joins", lambda s, d: (lambda e, c: e.join(c.hint("merge"), "src").groupBy("seg").count().withColumn("way", F.lit("merge")).unionByName(e.join(c.hint("shuffle_hash"), "src").groupBy("seg").count().withColumn("way", F.lit("hash"))))(cb(s, d).select("src"), CU(s, d).select(F.col("c_custkey").alias("src"), F.col("c_mktsegment").alias("seg"))), f"SELECT c_mktsegment AS seg, count(*) AS count, way FROM ({CB}) JOIN customer ON c_custkey = src, (VALUES ('merge'), ('hash')) v(way) GROUP BY ALL")
