@@ -51,7 +51,7 @@ def low_rank_scores(edges: DataFrame, seeds: DataFrame, rank: int = 8) -> DataFr
 
 
 def block_start(edges: DataFrame, blocks: DataFrame, eps: float = 0.2, rounds: int = 10) -> DataFrame:
-    """``(seed, node, score)``: scores inside each block times the score of the block, to start a power iteration from. ``blocks``: node, block."""
+    """``(seed, node, score)``: scores inside each block times the score of the block, to start a power iteration from. Jumps reach a block by its share of the nodes, as those of the whole graph do. ``blocks``: node, block."""
     b = save(blocks.join(G.nodes(edges), "node", "left_semi").select("node", "block"), "blocks")
     tagged = edges.select("src", "dst").join(b.select(F.col("node").alias("src"), F.col("block").alias("src_block")), "src").join(b.select(F.col("node").alias("dst"), F.col("block").alias("dst_block")), "dst")
     tagged = save(tagged, "tagged")
@@ -62,8 +62,8 @@ def block_start(edges: DataFrame, blocks: DataFrame, eps: float = 0.2, rounds: i
     local = save(local.join(total, "seed").select(F.col("seed").alias("block"), "node", (F.col("score") / F.col("sum")).alias("local")), "local")
     out = tagged.groupBy("src").agg((1 / F.count("*")).alias("out_w"))
     moves = tagged.join(out, "src").join(local.select(F.col("node").alias("src"), "local"), "src").groupBy("src_block", "dst_block").agg(F.sum(F.col("out_w") * F.col("local")).alias("w"))
-    moves, n = save(moves, "moves"), b.agg(F.count_distinct("block").alias("n"))
-    base = save(b.select("block").distinct().crossJoin(n).select("block", (1 / F.col("n")).alias("tele")), "block-teleport")
+    moves, n = save(moves, "moves"), b.agg(F.count("*").alias("n"))
+    base = save(b.groupBy("block").agg(F.count("*").alias("k")).crossJoin(n).select("block", (F.col("k") / F.col("n")).alias("tele")), "block-teleport")
     x = base.withColumnRenamed("tele", "score")
     for i in range(1, rounds + 1):
         x = x.join(moves, x.block == moves.src_block).select(F.col("dst_block").alias("block"), (F.col("score") * F.col("w") * (1 - eps)).alias("score")).unionByName(base.select("block", (F.col("tele") * eps).alias("score"))).groupBy("block").agg(F.sum("score").alias("score"))
