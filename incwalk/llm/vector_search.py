@@ -2,8 +2,9 @@
 
 Each tree halves a bounded sample by the hyperplane between two of its vectors, at the median. All
 rows are routed to their leaves. A query walks all trees through one queue by the widest margin it
-has crossed and takes leaves until they hold ``share`` of the rows; leaves are scored as blocks of
-a matrix product. Inner products become angles by one extra coordinate that makes all norms equal.
+has crossed and takes leaves until they hold ``share`` of the rows and ``LEAST`` times the vectors
+asked for; leaves are scored as blocks of a matrix product. Inner products become angles by one
+extra coordinate that makes all norms equal.
 Equal vectors are searched once and named by their smallest ids, which are all that can rank.
 """
 
@@ -20,6 +21,8 @@ from incwalk.llm.common import save
 
 #: Vectors that trees are fitted on, at most.
 SAMPLE = 20_000
+#: Different vectors met by each query, for each one of its list and itself; smaller tables are searched whole.
+LEAST = 4
 #: Rows of a leaf that one task scores at a time.
 BLOCK = 8192
 
@@ -54,6 +57,12 @@ class Tree:
         self.size.append(len(own))
         return me
 
+    def hold(self, x: np.ndarray) -> None:
+        """Notes which of the sampled rows each leaf holds, as they are routed."""
+        leaf = self.route(x)
+        order = np.argsort(leaf, kind="stable")
+        self.rows = np.split(order.astype(np.int32), np.searchsorted(leaf[order], np.arange(1, len(self.size))))
+
     def route(self, x: np.ndarray) -> np.ndarray:
         """Leaf numbers of rows."""
         at = np.zeros(len(x), np.int64)
@@ -64,13 +73,13 @@ class Tree:
         return -1 - self.left[at]
 
 
-def probes(trees: list[Tree], x: np.ndarray, share: float) -> list[tuple[int, int]]:
-    """``(tree, leaf)`` in the order of the shared queue, until the leaves hold ``share`` of the sample, counting overlap between trees as chance has it."""
+def probes(trees: list[Tree], x: np.ndarray, share: float, least: int) -> list[tuple[int, int]]:
+    """``(tree, leaf)`` in the order of the shared queue, until the leaves hold ``share`` of the sample, counting overlap between trees as chance has it, and at least ``least`` different rows of it, counted exactly, or are all taken."""
     margins = [t.normal @ x - t.offset for t in trees]
     heap = [(0.0, k, 0) for k in range(len(trees))]
     out, missed, total = [], 1.0, sum(trees[0].size)
-    held = [0] * len(trees)
-    while heap and 1 - missed < share:
+    held, seen = [0] * len(trees), set()
+    while heap and (1 - missed < share or len(seen) < least):
         p, k, n = heapq.heappop(heap)
         t = trees[k]
         while t.left[n] >= 0:
@@ -81,6 +90,8 @@ def probes(trees: list[Tree], x: np.ndarray, share: float) -> list[tuple[int, in
         leaf = -1 - int(t.left[n])
         out.append((k, leaf))
         held[k] += t.size[leaf]
+        if len(seen) < least:
+            seen.update(t.rows[leaf].tolist())
         missed = float(np.prod([1 - h / total for h in held]))
     return out
 
@@ -94,7 +105,7 @@ def _matrix(column) -> np.ndarray:
 _DEALT = pa.schema([("tree", pa.int32()), ("leaf", pa.int32()), ("sub", pa.int32()), ("query", pa.bool_()), ("cls", pa.int64()), ("v", pa.list_(pa.float64()))])
 
 
-def _deal(trees, widest: float, subs: int, share: float):
+def _deal(trees, widest: float, subs: int, share: float, least: int):
     def run(batches):
         for batch in batches:
             for s in range(0, batch.num_rows, 2000):
@@ -113,7 +124,7 @@ def _deal(trees, widest: float, subs: int, share: float):
                     sub.append((cls.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(40)).astype(np.int64) % subs)
                     query.append(np.zeros(len(x), bool))
                 for i in np.flatnonzero(is_query):
-                    found = probes(trees, np.r_[x[i] / max(np.linalg.norm(x[i]), 1e-300) * widest, 0].astype(np.float32), share)
+                    found = probes(trees, np.r_[x[i] / max(np.linalg.norm(x[i]), 1e-300) * widest, 0].astype(np.float32), share, least)
                     for z in range(subs):
                         tree.append(np.array([k for k, _ in found]))
                         leaf.append(np.array([n for _, n in found]))
@@ -207,11 +218,14 @@ def nearest(vectors: DataFrame, k: int = 20, query_every: int = 20, trees: int =
     x = _matrix(some.column("v"))
     wide = np.c_[x, np.sqrt(np.maximum(0, widest**2 - (x**2).sum(1)))].astype(np.float32)
     rng = np.random.default_rng(seed)
-    forest = spark.sparkContext.broadcast([Tree(wide, max(8, -(-len(wide) // leaves)), rng) for _ in range(trees)])
+    grown = [Tree(wide, max(8, -(-len(wide) // leaves)), rng) for _ in range(trees)]
+    for t in grown:
+        t.hold(wide)
+    forest = spark.sparkContext.broadcast(grown)
     subs = max(1, -(-shape["n"] // (leaves * BLOCK)))
 
     def deal(batches):
-        yield from _deal(forest.value, widest, subs, share)(batches)
+        yield from _deal(forest.value, widest, subs, share, LEAST * (k + 1))(batches)
 
     dealt = classes.repartition("cls").select("cls", "is_query", "v").mapInArrow(deal, "tree int, leaf int, sub int, query boolean, cls long, v array<double>")
     found = dealt.repartition("tree", "leaf", "sub").sortWithinPartitions("tree", "leaf", "sub", "query").mapInArrow(_score(k + 1), "qcls long, cls long, score double")

@@ -295,6 +295,21 @@ def test_vector_search(spark):
     assert [(r["rank"], r["query_id"]) for r in sorted(few, key=lambda r: r["rank"])] == [(1, 0), (2, 0), (3, 0)]
 
 
+@pytest.mark.parametrize("n", [12, 15, 25, 100])
+def test_vector_search_on_tables_of_few_leaves(spark, n):
+    x = np.random.default_rng(n).normal(size=(n, 16)).astype(np.float32)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>")
+    want = vector_search.brute_force(x.astype(float), np.arange(n), 20, 1)
+    got = defaultdict(list)
+    for r in sorted(vector_search.nearest(df, query_every=1).collect(), key=lambda r: r["rank"]):
+        got[r["query_id"]].append(r["vec_id"])
+        assert r["score"] == pytest.approx(float(x[r["query_id"]].astype(float) @ x[r["vec_id"]].astype(float)))
+    assert all(len(got[q]) == min(20, n - 1) for q in want)
+    if n <= 84:
+        assert got == want
+    assert sum(len(set(got[q]) & set(want[q])) for q in want) >= 0.9 * sum(map(len, want.values()))
+
+
 def test_pipeline_stages(spark):
     import corpus_pipeline as cp
 
