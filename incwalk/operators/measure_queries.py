@@ -284,9 +284,13 @@ R.add("exp_w14", R.queries["cost_table"], R.sql["cost_table"])
 
 
 def exp_w15(spark, sf_dir):
-    e = _e(spark, sf_dir, "handoff")
-    m = e.count()
-    return update.replay(e, Spec(reps=1, seed=15, kind="alternating"), [m - 40, m - 20, m])
+    """Maintenance of alternating walks over the whole history of two graphs."""
+    out = None
+    for name in ("cobuy", "buys"):
+        e = _e(spark, sf_dir, name)
+        row = update.replay(e, Spec(reps=1, seed=15, kind="alternating"), update.whole_history(e.count())).select(F.lit(name).alias("graph"), "*")
+        out = row if out is None else out.unionByName(row)
+    return out
 
 
 R.add("exp_w15", exp_w15)

@@ -109,8 +109,7 @@ R.add("alt_arrive_batch", lambda s, d: _applied(s, d, spec=ALT)[0].groupBy("role
 
 def replay_ledger(spark, sf_dir):
     e = _e(spark, sf_dir, "handoff")
-    m = e.count()
-    return update.replay(e, Spec(reps=2, seed=3), [m - 30, m - 20, m - 10, m])
+    return update.replay(e, Spec(reps=2, seed=3), update.whole_history(e.count()))
 
 
 R.add("replay_ledger", replay_ledger)

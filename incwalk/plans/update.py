@@ -12,7 +12,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from incwalk.functions import coins
+from incwalk.functions import coins, theory
 from incwalk.plans import graph as G
 from incwalk.plans.ranking import numbered
 from incwalk.plans.walks import Spec, grow, heads, walk_key
@@ -92,6 +92,11 @@ def gate(counter: DataFrame) -> DataFrame:
     return counter.select("node", F.round(1 - F.pow(1 - 1 / d, F.col("w_segments")), 9).alias("p_segments"), F.round(1 - F.pow(1 - 1 / d, F.col("continuing")), 9).alias("p_visits"))
 
 
+def whole_history(m: int, batches: int = 6) -> list[int]:
+    """Cuts of all ``m`` arrivals from the empty graph on: each batch after the first is as large as all before it."""
+    return [0, *sorted({-(-m >> i) for i in range(batches)})] if m else [0]
+
+
 def replay(edges: DataFrame, spec: Spec, cuts: list[int]) -> DataFrame:
     """Builds on the first ``cuts[0]`` arrivals, then applies the others in batches that end at the further cuts; one ledger row a batch, with the bound of the theory."""
     e = save(numbered(edges.select("src", "dst", "ord"), [F.asc("ord"), F.asc("src"), F.asc("dst")], "t"), "history")
@@ -104,7 +109,7 @@ def replay(edges: DataFrame, spec: Spec, cuts: list[int]) -> DataFrame:
         batch = e.where((F.col("t") > a) & (F.col("t") <= b)).select(F.lit("+").alias("op"), "src", "dst", "ord")
         visits, now, ledger = apply_changes(visits, now, batch, spec, epoch)
         visits = save(visits, "visits")
-        bound = n * spec.reps / spec.eps**2 * sum(1 / t for t in range(a + 1, b + 1)) * (16 if spec.alternating else 1)
+        bound = n * spec.reps / spec.eps**2 * (theory.harmonic(b) - theory.harmonic(a)) * (16 if spec.alternating else 1)
         row = ledger.select("epoch", F.lit(a).alias("from_t"), F.lit(b).alias("to_t"), "walks_rerouted", "steps_redone", F.lit(round(bound, 3)).alias("bound_steps"))
         out = row if out is None else out.unionByName(row)
     return out

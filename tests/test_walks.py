@@ -91,3 +91,23 @@ def test_closed_forms():
 def test_salted_slots_are_gapless(tri):
     rows = G.salted_slots(tri).collect()
     assert sorted((r["src"], r["slot"]) for r in rows) == sorted((r["src"], r["slot"]) for r in G.slots(tri).collect())
+
+
+def test_replay_applies_every_arrival(spark):
+    import __spark_entry__
+    from incwalk.sources.graphs import edges
+
+    sf = "/root/testdata/sf0.001"
+    m = edges(spark, sf, "handoff").count()
+    rows = sorted(__spark_entry__.queries()["replay_ledger"](spark, sf).collect(), key=lambda r: r["epoch"])
+    assert rows[0]["from_t"] == 0 and rows[-1]["to_t"] == m
+    assert all(a["to_t"] == b["from_t"] for a, b in zip(rows, rows[1:], strict=False))
+    assert sum(r["steps_redone"] for r in rows) > 0 and all(r["walks_rerouted"] >= 0 for r in rows)
+
+
+@pytest.mark.parametrize("kind", ["pagerank", "alternating"])
+def test_whole_history_starts_at_the_empty_graph(spark, tri, kind):
+    spec = Spec(reps=2, kind=kind)
+    assert update.whole_history(5) == [0, 1, 2, 3, 5] and update.whole_history(5000)[-1] == 5000 and len(update.whole_history(10**9)) == 7
+    rows = update.replay(tri, spec, update.whole_history(5)).collect()
+    assert [(r["from_t"], r["to_t"]) for r in sorted(rows, key=lambda r: r["epoch"])] == [(0, 1), (1, 2), (2, 3), (3, 5)]
