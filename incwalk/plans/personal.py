@@ -113,33 +113,42 @@ def stitched_walk(visits: DataFrame | None, edges: DataFrame, seeds: DataFrame,
 
 
 def waves(visits: DataFrame, edges: DataFrame, seeds: DataFrame, length: int, spec: Spec) -> DataFrame:
-    """``(seed, pos, node, how)`` of walks of ``length`` visits, by joins alone (policy ``lazy``, forward walks)."""
+    """``(seed, pos, node, how)`` of walks of ``length`` visits, by joins alone (policy ``lazy``, forward walks).
+
+    Seeds whose excursions fall short of ``length``, as beside nodes without out-edges, start as many again until none does.
+    """
     usable = segments(visits).where((F.size("path") > 1) & (F.col("rep") < spec.reps))
     usable = save(usable.select(F.col("src").alias("node"), F.row_number().over(Window.partitionBy("src").orderBy("rep")).alias("k"), F.slice("path", 2, 1 << 30).alias("tail")), "usable")
     number = G.slots if spec.coin == "portable" else G.salted_slots
     adj = save(number(edges).select(F.col("src").alias("node"), "slot", "dst"), "adj")
     deg = save(adj.groupBy("node").agg(F.count("*").alias("deg")), "deg")
     many = math.ceil(1.3 * length * spec.eps) + 20
-    frontier = seeds.select("seed", F.explode(F.sequence(F.lit(0), F.lit(many - 1))).alias("exc"), F.col("seed").alias("node"), F.lit(0).alias("at"), F.lit("reset").alias("how"))
     used = edges.sparkSession.createDataFrame([], "seed long, node long, used long")
-    done = None
+    done, short, begun = None, seeds.select("seed"), 0
     while True:
-        a, b = coins.coin(spec.seed, "wave", F.concat_ws(":", F.col("seed").cast("string"), F.col("exc").cast("string")), F.lit(0), F.col("at"), spec.coin)
-        x = frontier.withColumn("alive", a >= coins.threshold(spec.eps)).withColumn("b", b)
-        turn = Window.partitionBy("seed", "node").orderBy("exc")
-        alive = x.where("alive").join(used, ["seed", "node"], "left").withColumn("k", (F.row_number().over(turn) + F.coalesce("used", F.lit(0))).cast("int"))
-        alive = alive.join(usable, ["node", "k"], "left").join(deg, "node", "left")
-        slot = F.when(F.col("tail").isNull() & F.col("deg").isNotNull(), coins.slot(F.col("b"), F.col("deg")))
-        alive = save(alive.withColumn("slot", slot).join(adj, ["node", "slot"], "left").select("seed", "exc", "node", "at", "how", "tail", "dst"), "wave")
-        here = save(x.where("NOT alive").select("seed", "exc", "at", "node", "how").unionByName(alive.select("seed", "exc", "at", "node", "how")), "here")
-        tails = alive.where("tail IS NOT NULL").select("seed", "exc", "at", F.posexplode("tail").alias("i", "node")).select("seed", "exc", (F.col("at") + F.col("i") + 1).alias("at"), "node", F.lit("segment").alias("how"))
-        seen = here.unionByName(tails)
-        done = seen if done is None else done.unionByName(seen)
-        took = alive.where("tail IS NOT NULL").groupBy("seed", "node").agg(F.count("*").alias("more"))
-        used = save(used.join(took, ["seed", "node"], "full").select("seed", "node", (F.coalesce("used", F.lit(0)) + F.coalesce("more", F.lit(0))).cast("long").alias("used")), "used")
-        frontier = alive.where("dst IS NOT NULL").select("seed", "exc", F.col("dst").alias("node"), (F.col("at") + 1).alias("at"), F.lit("step").alias("how"))
-        if frontier.isEmpty():
+        frontier = short.select("seed", F.explode(F.sequence(F.lit(begun), F.lit(begun + many - 1))).alias("exc"), F.col("seed").alias("node"), F.lit(0).alias("at"), F.lit("reset").alias("how"))
+        while True:
+            a, b = coins.coin(spec.seed, "wave", F.concat_ws(":", F.col("seed").cast("string"), F.col("exc").cast("string")), F.lit(0), F.col("at"), spec.coin)
+            x = frontier.withColumn("alive", a >= coins.threshold(spec.eps)).withColumn("b", b)
+            turn = Window.partitionBy("seed", "node").orderBy("exc")
+            alive = x.where("alive").join(used, ["seed", "node"], "left").withColumn("k", (F.row_number().over(turn) + F.coalesce("used", F.lit(0))).cast("int"))
+            alive = alive.join(usable, ["node", "k"], "left").join(deg, "node", "left")
+            slot = F.when(F.col("tail").isNull() & F.col("deg").isNotNull(), coins.slot(F.col("b"), F.col("deg")))
+            alive = save(alive.withColumn("slot", slot).join(adj, ["node", "slot"], "left").select("seed", "exc", "node", "at", "how", "tail", "dst"), "wave")
+            here = save(x.where("NOT alive").select("seed", "exc", "at", "node", "how").unionByName(alive.select("seed", "exc", "at", "node", "how")), "here")
+            tails = alive.where("tail IS NOT NULL").select("seed", "exc", "at", F.posexplode("tail").alias("i", "node")).select("seed", "exc", (F.col("at") + F.col("i") + 1).alias("at"), "node", F.lit("segment").alias("how"))
+            seen = here.unionByName(tails)
+            done = seen if done is None else done.unionByName(seen)
+            took = alive.where("tail IS NOT NULL").groupBy("seed", "node").agg(F.count("*").alias("more"))
+            used = save(used.join(took, ["seed", "node"], "full").select("seed", "node", (F.coalesce("used", F.lit(0)) + F.coalesce("more", F.lit(0))).cast("long").alias("used")), "used")
+            frontier = alive.where("dst IS NOT NULL").select("seed", "exc", F.col("dst").alias("node"), (F.col("at") + 1).alias("at"), F.lit("step").alias("how"))
+            if frontier.isEmpty():
+                break
+        full = done.groupBy("seed").count().where(F.col("count") >= length)
+        short = save(short.join(full, "seed", "left_anti"), "short")
+        if short.isEmpty():
             break
+        begun, many = begun + many, begun + many
     place = Window.partitionBy("seed").orderBy("exc", "at")
     return done.withColumn("pos", F.row_number().over(place) - 1).where(F.col("pos") < length).select("seed", F.col("pos").cast("long").alias("pos"), "node", "how")
 

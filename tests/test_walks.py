@@ -111,3 +111,15 @@ def test_whole_history_starts_at_the_empty_graph(spark, tri, kind):
     assert update.whole_history(5) == [0, 1, 2, 3, 5] and update.whole_history(5000)[-1] == 5000 and len(update.whole_history(10**9)) == 7
     rows = update.replay(tri, spec, update.whole_history(5)).collect()
     assert [(r["from_t"], r["to_t"]) for r in sorted(rows, key=lambda r: r["epoch"])] == [(0, 1), (1, 2), (2, 3), (3, 5)]
+
+
+def test_waves_reach_their_length_beside_dangling_nodes(spark):
+    star = spark.createDataFrame([(0, 1, 1), (0, 2, 2), (3, 0, 3)], "src long, dst long, ord long")
+    seeds = spark.createDataFrame([(0,), (1,), (3,)], "seed long")
+    spec = Spec(reps=5)
+    w = personal.waves(build_store(star, spec), star, seeds, 400, spec).collect()
+    for s in (0, 1, 3):
+        own = sorted((r["pos"], r["node"]) for r in w if r["seed"] == s)
+        assert [p for p, _ in own] == list(range(400)) and own[0][1] == s
+        if s == 0:
+            assert sum(n == 0 for _, n in own) / 400 == pytest.approx(1 / 1.8, abs=0.06)
