@@ -116,10 +116,14 @@ R.add("replay_ledger", replay_ledger)
 
 
 # personalised walks
-def _personal(spark, sf_dir, policy="lazy", fetch="full", length=400, reps=5, how_many=10, kind="pagerank", name="cobuy"):
+TOP = 10
+
+
+def _personal(spark, sf_dir, policy="lazy", fetch="full", length: int | None = 400, reps=5, how_many=10, kind="pagerank", name="cobuy"):
     spec = Spec(reps=reps, seed=4, kind=kind)
     e, v = _store(spark, sf_dir, spec, name)
     seeds = save(personal.pick_seeds(e, how_many), "seeds")
+    length = personal.topk_length(e, seeds, TOP, spec) if length is None else length
     return e, seeds, personal.stitched_walk(v if reps else None, e, seeds, length, spec, policy, fetch)
 
 
@@ -127,16 +131,17 @@ for _p in ("lazy", "once", "literal"):
     R.add(f"stitched_counts_{_p}", lambda s, d, p=_p: personal.frequencies(_personal(s, d, p)[2]).select("seed", "node", "visits"))
 for _f in ("full", "edge"):
     R.add(f"fetch_ledger_{_f}", lambda s, d, f=_f: _personal(s, d, fetch=f)[2].groupBy("seed").agg(F.max("fetches").alias("fetches"), F.count_if(F.col("how") == "segment").alias("segment_steps"), F.count_if(F.col("how") == "step").alias("hand_steps"), F.count_if(F.col("how") == "reset").alias("resets")))
-R.add("ppr_topk", lambda s, d: personal.top(personal.frequencies(_personal(s, d)[2]), 10))
-R.add("ppr_topk_no_friends", lambda s, d: (lambda x: personal.top(personal.exclude_known(personal.frequencies(x[2]), x[0]), 10))(_personal(s, d)))
-R.add("alt_ppr_topk", lambda s, d: personal.top(personal.frequencies(_personal(s, d, kind="alternating", reps=2)[2].where("role = 'auth'")), 10))
-R.add("recommend_alt", lambda s, d: (lambda x: personal.top(personal.exclude_known(personal.frequencies(x[2].where("role = 'auth'")), x[0]), 10))(_personal(s, d, kind="alternating", reps=2, name="buys")))
+R.add("ppr_topk", lambda s, d: personal.top(personal.frequencies(_personal(s, d, length=None, how_many=100)[2]), TOP))
+R.add("ppr_topk_no_friends", lambda s, d: (lambda x: personal.top(personal.exclude_known(personal.frequencies(x[2]), x[0]), TOP))(_personal(s, d, length=None, how_many=100)))
+R.add("alt_ppr_topk", lambda s, d: personal.top(personal.frequencies(_personal(s, d, length=None, how_many=100, kind="alternating", reps=2)[2].where("role = 'auth'")), TOP))
+R.add("recommend_alt", lambda s, d: (lambda x: personal.top(personal.exclude_known(personal.frequencies(x[2].where("role = 'auth'")), x[0]), TOP))(_personal(s, d, length=None, how_many=100, kind="alternating", reps=2, name="buys")))
 
 
 def waves_counts(spark, sf_dir):
     spec = Spec(reps=5, seed=4)
     e, v = _store(spark, sf_dir, spec)
-    return personal.waves(save(v, "visits"), e, save(personal.pick_seeds(e, 10), "seeds"), 400, spec).groupBy("seed", "node").agg(F.count("*").alias("visits"))
+    seeds = save(personal.pick_seeds(e, 100), "seeds")
+    return personal.waves(save(v, "visits"), e, seeds, personal.topk_length(e, seeds, TOP, spec), spec).groupBy("seed", "node").agg(F.count("*").alias("visits"))
 
 
 R.add("waves_counts", waves_counts)

@@ -14,7 +14,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from incwalk.functions import coins
+from incwalk.functions import coins, theory
+from incwalk.plans import exact
 from incwalk.plans import graph as G
 from incwalk.plans.walks import LOCAL_EDGES, Adjacency, Spec, segments
 from incwalk.store import save
@@ -169,6 +170,31 @@ def top(scores: DataFrame, k: int, by: str = "score") -> DataFrame:
     return scores.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
 
 
+def fitted_alpha(edges: DataFrame, seeds: DataFrame, alternating: bool = False, rounds: int = 5) -> float | None:
+    """Mean exponent of the seeds' exact scores (authority scores of alternating walks) against ranks from 2 to 20 times a seed's out-degree; None where no seed has three such ranks."""
+    if alternating:
+        x = exact.alternating_iteration(edges, rounds=rounds, seeds=seeds).select("seed", "node", F.col("auth").alias("score"))
+    else:
+        x = exact.power_iteration(edges, rounds=rounds, seeds=seeds).select("seed", "node", "score")
+    x = x.where((F.col("node") != F.col("seed")) & (F.col("score") > 0))
+    x = x.withColumn("rank", F.row_number().over(Window.partitionBy("seed").orderBy(F.desc("score"), "node"))).join(seeds, "seed")
+    x = x.where(F.col("rank").between(2 * F.col("friends"), 20 * F.col("friends")))
+    fits = x.groupBy("seed").agg((-F.regr_slope(F.log("score"), F.log("rank"))).alias("alpha"), F.count("*").alias("points"))
+    return fits.where("points >= 3").agg(F.avg("alpha")).first()[0]
+
+
+def topk_length(edges: DataFrame, seeds: DataFrame, k: int, spec: Spec, c: float = 5.0) -> int:
+    """Visits after which the k-th node of a seed is expected ``c`` times, by the fitted exponent; 0.75 where that is none of the model's.
+
+    Of the visits of an alternating walk ``(1 - eps) / (2 - eps)`` are to authorities, which are what it ranks.
+    """
+    alpha = fitted_alpha(edges, seeds, spec.alternating)
+    if alpha is None or not 0 < alpha < 1:
+        alpha = 0.75
+    every = (2 - spec.eps) / (1 - spec.eps) if spec.alternating else 1
+    return math.ceil(every * theory.walk_length(max(G.nodes(edges).count(), k), k, c, alpha))
+
+
 def segment_frequency(visits: DataFrame, seeds: DataFrame) -> DataFrame:
     own = visits.join(seeds.select(F.col("seed").alias("src")), "src", "left_semi").where("rep >= 0")
     return own.groupBy(F.col("src").alias("seed"), "node").agg(F.count("*").alias("visits"))

@@ -123,3 +123,15 @@ def test_waves_reach_their_length_beside_dangling_nodes(spark):
         assert [p for p, _ in own] == list(range(400)) and own[0][1] == s
         if s == 0:
             assert sum(n == 0 for _, n in own) / 400 == pytest.approx(1 / 1.8, abs=0.06)
+
+
+def test_topk_walks_grow_with_the_graph(spark):
+    import __spark_entry__
+
+    sf = "/root/testdata/sf0.001"
+    rows = __spark_entry__.queries()["ppr_topk"](spark, sf).collect()
+    assert len({r["seed"] for r in rows}) == 50 and len(rows) == 500
+    small = spark.createDataFrame([(i, (i * j * j + j) % 60, j) for i in range(60) for j in range(1, 26) if (i * j * j + j) % 60 != i], "src long, dst long, ord long").dropDuplicates(["src", "dst"])
+    more = small.unionByName(spark.range(60, 1060).selectExpr("id AS src", "id + 1 AS dst", "id AS ord"))
+    seeds = spark.createDataFrame([(1, 20)], "seed long, friends long")
+    assert personal.topk_length(more, seeds, 10, Spec()) > personal.topk_length(small, seeds, 10, Spec()) > 10
