@@ -5,7 +5,8 @@ for every letter it skips, so a word with gaps or inserted characters stays clos
 digits and marks match nothing and only widen the gap. Letters are compared without case and
 accents. A text is the set of its words (and of its runs of single letters, read as one word); its
 value is that of its worst word. Landmark words give the Nystroem map; the machine is trained on
-the worst word of each toxic text against the worst words of clean ones, chosen again each round.
+the worst word of each toxic text against the worst words of clean ones, chosen again each round,
+and calibrated on texts that it has not seen, fold by fold.
 Since the map is linear in the kernel, the machine folds into one weight for each three letters,
 and a word's value is a sum over its subsequences.
 """
@@ -20,12 +21,17 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from incwalk.llm.common import forget
+from incwalk.llm.common import memo as new_memo
+
 ORDER, SPAN, DECAY = 3, 6, 0.7
 LETTERS = 27  # 0 is for what matches nothing
 LONGEST = 24
 LANDMARKS = 160
 #: Labelled texts of each kind that are learned from, at most; those of least hash are taken.
 TOXIC_SAMPLE, CLEAN_SAMPLE = 1500, 3000
+#: Longer texts, in UTF-8 bytes, aren't learned from, so the sample is bounded in bytes too. They are scored whole.
+LONGEST_LEARNED = 256 << 10
 MEMO = 500_000
 
 
@@ -71,7 +77,7 @@ def subsequences(words: list[str]):
             some = own[i : i + 4000]
             codes = np.array([[_CODES[c] for c in words[n]] for n in some], np.int64)
             a, b, c = (codes[:, at[:, k]] for k in range(3))
-            f = np.where((a > 0) & (b > 0) & (c > 0), (a * LETTERS + b) * LETTERS + c, 0)
+            f = np.where((a > 0) & (b > 0) & (c > 0), (a * LETTERS + b) * LETTERS + c, 0).astype(np.int16)
             yield np.array(some), f, weight, 1 / np.sqrt(np.maximum((f > 0) @ weight**2, 1e-3))
 
 
@@ -90,15 +96,24 @@ class Model:
     bias: float
     slope: float
     shift: float
+    floor: float = 0.0  # how many texts are labelled toxic whatever their words
+
+    @property
+    def wordless(self) -> float:
+        """The value of a text without words: on the clean side of the margin."""
+        return min(-1.0, self.bias)
 
     def values(self, words: list[str]) -> np.ndarray:
-        out = np.full(len(words), self.bias, np.float32)
-        for own, f, w, scale in subsequences(words):
+        return self.values_of(len(words), subsequences(words))
+
+    def values_of(self, n: int, found) -> np.ndarray:
+        out = np.full(n, self.bias, np.float32)
+        for own, f, w, scale in found:
             out[own] += (self.weight[f] @ w) * scale
         return out
 
     def probability(self, value):
-        return 1 / (1 + np.exp(-np.clip(self.slope * value + self.shift, -60, 60)))
+        return self.floor + (1 - self.floor) / (1 + np.exp(-np.clip(self.slope * value + self.shift, -60, 60)))
 
 
 def instances(text: str | None) -> list[str]:
@@ -146,17 +161,26 @@ def _machine(z: np.ndarray, y: np.ndarray, cost: float = 30.0) -> np.ndarray:
     return v
 
 
-def _platt(s: np.ndarray, y: np.ndarray) -> tuple[float, float]:
-    """Logistic slope and shift, by damped Newton steps on smoothed targets."""
+def _calibrate(s: np.ndarray, y: np.ndarray) -> tuple[float, float, float]:
+    """Slope, shift and floor of ``floor + (1 - floor) * logistic``, by Newton steps for slope and shift at each of a grid of floors; the likeliest floor wins."""
     n1, n0 = (y > 0).sum(), (y < 0).sum()
     t = np.where(y > 0, (n1 + 1) / (n1 + 2), 1 / (n0 + 2))
-    x, b = np.c_[s, np.ones(len(s))], np.zeros(2)
-    for _ in range(100):
-        p = 1 / (1 + np.exp(-np.clip(x @ b, -60, 60)))
-        h = (x * (p * (1 - p))[:, None]).T @ x + 1e-3 * np.eye(2)
-        step = np.linalg.solve(h, x.T @ (t - p) - 1e-3 * b)
-        b = b + step * min(1.0, 4 / max(1e-9, np.abs(step).max()))
-    return float(b[0]), float(b[1])
+    x, best = np.c_[s, np.ones(len(s))], None
+    for floor in (n1 / len(y)) * np.array([0.0, 0.05, 0.1, 0.2, 0.3, 0.4, 0.5, 0.7]):
+        b, r = np.array([1.0, 0.0]), t
+        for _ in range(30):  # a label comes from the floor or from the words: shares by the curve so far, then the curve by the shares
+            p = 1 / (1 + np.exp(-np.clip(x @ b, -60, 60)))
+            r = t * p / np.maximum(floor + (1 - floor) * p, 1e-12)
+            for _ in range(5):
+                p = 1 / (1 + np.exp(-np.clip(x @ b, -60, 60)))
+                h = (x * (p * (1 - p))[:, None]).T @ x + 1e-3 * np.eye(2)
+                step = np.linalg.solve(h, x.T @ (r - p) - 1e-3 * b)
+                b = b + step * min(1.0, 4 / max(1e-9, np.abs(step).max()))
+        p = np.clip(floor + (1 - floor) / (1 + np.exp(-np.clip(x @ b, -60, 60))), 1e-9, 1 - 1e-9)
+        fit = (t * np.log(p) + (1 - t) * np.log(1 - p)).sum()
+        if best is None or fit > best[0]:
+            best = fit, float(b[0]), float(b[1]), float(floor)
+    return best[1:]
 
 
 def _cover(bags: list[np.ndarray], odds: np.ndarray, toxic: np.ndarray, most: int) -> tuple[list[int], list[int]]:
@@ -186,23 +210,18 @@ def _cover(bags: list[np.ndarray], odds: np.ndarray, toxic: np.ndarray, most: in
     return out, first
 
 
-def train(texts: list[str], toxic: list[bool], rounds: int = 8, seed: int = 7) -> Model:
-    """Without texts of both kinds, a model that calls nothing toxic."""
+def _fit(own: list[np.ndarray], words: list[str], found: list, y: np.ndarray, fit: np.ndarray, rounds: int, seed: int) -> Model:
+    """A machine without calibration, learned from the texts that ``fit`` marks.
+
+    The first positives are the words that explain toxic texts best; later ones are the worst words
+    under the machine so far. A toxic text whose worst word stays on the clean side counts as
+    unexplained and is left out of that round, so that labels without an insult teach nothing.
+    """
     rng = np.random.default_rng(seed)
-    bags = [sorted(set(instances(t))) for t in texts]
-    y = np.array([1 if t else -1 for t in toxic])
-    if (y > 0).sum() < 2 or (y < 0).sum() < 2:
-        return Model(np.zeros(LETTERS**3, np.float32), 0.0, 0.0, -8.0)
-    fit = np.arange(len(y)) % 3 != 2  # the others calibrate
-    if (y[~fit] > 0).sum() < 2 or (y[~fit] < 0).sum() < 2:
-        fit[:] = True
-    vocabulary = {w: n for n, w in enumerate(sorted({w for b in bags for w in b}))}
-    words = list(vocabulary)
+    none = Model(np.zeros(LETTERS**3, np.float32), 0.0, 0.0, -8.0)
     n1, n0 = np.zeros(len(words)), np.zeros(len(words))
-    own = [np.array([vocabulary[w] for w in b], np.int64) for b in bags]
-    for k, ids in enumerate(own):
-        if fit[k]:
-            (n1 if y[k] > 0 else n0)[ids] += 1
+    for k in np.flatnonzero(fit):
+        (n1 if y[k] > 0 else n0)[own[k]] += 1
     odds = np.log((n1 + 0.5) / ((y[fit] > 0).sum() + 1)) - np.log((n0 + 0.5) / ((y[fit] < 0).sum() + 1))
     odds[(n1 < 2) | (np.array([len(w) for w in words]) < ORDER)] = -9
     marks, worst = _cover(own, odds, fit & (y > 0), LANDMARKS * 3 // 4)
@@ -210,34 +229,64 @@ def train(texts: list[str], toxic: list[bool], rounds: int = 8, seed: int = 7) -
     common = [n for n in range(len(words)) if n0[n] >= 1 and len(words[n]) >= ORDER]
     marks += [words[n] for n in rng.choice(common, min(len(common), LANDMARKS - len(marks)), replace=False)] if common else []
     if not marks:
-        return Model(np.zeros(LETTERS**3, np.float32), 0.0, 0.0, -8.0)
+        return none
     phi = dense(marks).astype(np.float64)
     vals, vecs = np.linalg.eigh(phi @ phi.T)
     root = vecs / np.sqrt(np.maximum(vals, 1e-3 * vals.max()))
     to_map = phi.T @ root  # three letters to Nystroem coordinates
-    model = None
-    z_of = {}
+    to_map[0] = 0
+    model, known = None, {}
 
-    def z(n):
-        if n not in z_of:
-            z_of[n] = (dense([words[n]]).astype(np.float64) @ to_map)[0]
-        return z_of[n]
+    def coordinates(which):
+        new = [n for n in which if n not in known]
+        for some, f, w, scale in subsequences([words[n] for n in new]):
+            for i, row, by in zip(some, f, scale, strict=True):
+                known[new[i]] = (w @ to_map[row]) * by
+        return np.array([known.get(n, nothing) for n in which])
 
+    nothing = np.zeros(to_map.shape[1])
     negatives: set[int] = {int(n) for k in range(len(own)) if fit[k] and y[k] < 0 and len(own[k]) for n in rng.choice(own[k], min(2, len(own[k])), replace=False)}
+    value = None
     for _ in range(rounds):
         if model is not None:
-            value = model.values(words)
+            value = model.values_of(len(words), found)
             worst = [int(ids[np.argmax(value[ids])]) if len(ids) else -1 for ids in own]
-        pos = [worst[k] for k in range(len(own)) if fit[k] and y[k] > 0 and worst[k] >= 0]
+        pos = [worst[k] for k in range(len(own)) if fit[k] and y[k] > 0 and worst[k] >= 0 and (value is None or value[worst[k]] > 0)]
         negatives |= {worst[k] for k in range(len(own)) if fit[k] and y[k] < 0 and worst[k] >= 0}
+        if not pos:
+            break
         neg = sorted(negatives)
-        v = _machine(np.array([z(n) for n in pos + neg]), np.array([1.0] * len(pos) + [-1.0] * len(neg)))
+        v = _machine(coordinates(pos + neg), np.array([1.0] * len(pos) + [-1.0] * len(neg)))
         model = Model((to_map @ v[:-1]).astype(np.float32), float(v[-1]), 1.0, 0.0)
-        model.weight[0] = 0
-    value = model.values(words)
-    use = ~fit if not fit.all() else fit
-    s = np.array([value[own[k]].max() if len(own[k]) else model.bias for k in np.flatnonzero(use)])
-    model.slope, model.shift = _platt(s, y[use])
+    return model or none
+
+
+def train(texts: list[str], toxic: list[bool], rounds: int = 8, seed: int = 7, folds: int = 3) -> Model:
+    """A machine learned from all texts and calibrated on values that each text gets from a machine that has not seen it.
+
+    Without two texts of each kind, a model that calls nothing toxic.
+    """
+    bags = [sorted(set(instances(t))) for t in texts]
+    y = np.array([1 if t else -1 for t in toxic])
+    if (y > 0).sum() < 2 or (y < 0).sum() < 2:
+        return Model(np.zeros(LETTERS**3, np.float32), 0.0, 0.0, -8.0)
+    vocabulary = {w: n for n, w in enumerate(sorted({w for b in bags for w in b}))}
+    words = list(vocabulary)
+    own = [np.array([vocabulary[w] for w in b], np.int64) for b in bags]
+    found = list(subsequences(words))
+    fold = np.zeros(len(y), np.int64)
+    for kind in (1, -1):
+        fold[y == kind] = np.arange((y == kind).sum()) % folds
+
+    def worst(model, which):
+        value = model.values_of(len(words), found)
+        return [value[own[k]].max() if len(own[k]) else model.wordless for k in np.flatnonzero(which)]
+
+    s = np.zeros(len(y))
+    for f in range(folds):
+        s[fold == f] = worst(_fit(own, words, found, y, fold != f, rounds, seed), fold == f)
+    model = _fit(own, words, found, y, np.ones(len(y), bool), rounds, seed)
+    model.slope, model.shift, model.floor = _calibrate(s, y)
     return model
 
 
@@ -246,7 +295,8 @@ def labelled_texts(docs: DataFrame, labels: DataFrame, label_col: str = "toxic",
     ids = labels.where(F.col("doc_id").isNotNull() & F.col(label_col).isNotNull() & (F.crc32(F.col("doc_id").cast("string")) % 4 != 2)).groupBy("doc_id").agg(F.max(label_col).alias("y"))
     order = (F.xxhash64("doc_id"), F.col("doc_id"))
     some = ids.where("y = 1").orderBy(*order).limit(toxic).union(ids.where("y = 0").orderBy(*order).limit(clean))
-    got = docs.select("doc_id", F.col("text").cast("string").alias("text")).join(F.broadcast(some), "doc_id").select("doc_id", "text", "y").collect()
+    texts = docs.select("doc_id", F.col("text").cast("string").alias("text"))
+    got = texts.where(F.coalesce(F.octet_length("text"), F.lit(0)) <= LONGEST_LEARNED).join(F.broadcast(some), "doc_id").select("doc_id", "text", "y").collect()
     got.sort(key=lambda r: (hash_order(r["doc_id"]), r["text"] or ""))
     return [r["text"] or "" for r in got], [r["y"] == 1 for r in got]
 
@@ -255,7 +305,7 @@ def hash_order(n: int) -> int:
     return (n * 0x9E3779B97F4A7C15 & 0xFFFFFFFFFFFFFFFF) >> 7
 
 
-_MEMOS: dict = {}
+_MEMOS: dict = {}  # by model, the words' values of the last one
 
 
 def score_texts(docs: DataFrame, model: Model, threshold: float = 0.3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -269,12 +319,13 @@ def score_texts(docs: DataFrame, model: Model, threshold: float = 0.3, id_col: s
 
     def run(batches):
         if key not in _MEMOS:
+            forget()
             _MEMOS.clear()
-            _MEMOS[key] = {}
+            _MEMOS[key] = new_memo()
         memo = _MEMOS[key]
         for batch in batches:
             texts = batch.column("text")
-            value = np.full(len(texts), min(0.0, model.bias))
+            value = np.full(len(texts), model.wordless)
             for i in range(0, len(texts), 300):
                 bags = [instances(t.as_py()) for t in texts[i : i + 300]]
                 if len(memo) > MEMO:
