@@ -18,8 +18,8 @@ from pyspark.sql import functions as F
 from incwalk.llm.common import save, tidy
 
 RULES_VERSION = 1
-# The base patterns and least lengths, in the order of kinds.
-ASSIGN = re.compile(r"""((?i:password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""")
+# The base patterns and least lengths, in the order of kinds. Cases fold in ASCII alone, so that no look-alike swallows a match.
+ASSIGN = re.compile(r"""((?ai:password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""")
 ACCESS = re.compile(r"AKIA[A-Z0-9]+")
 HEX = re.compile(r"[0-9a-f]{16,}")  # the same as runs of any length that are 16 long at least
 BASE_KINDS = ("assign", "access", "hex")
