@@ -61,7 +61,7 @@ def op9_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return url_filter.judge_urls(table(spark, sf_dir, "pages").select("page_id", "url"))
+    return url_filter.judge_urls(table(spark, sf_dir, "pages").select("page_id", "url")).select("page_id", "host", "path", "rule", "verdict", "url")
 
 
 _QUERIES = (op1_ngram_join, op2_vector_search, op3_sequence_packing, op4_toxicity, op5_substring_dedup, op6_token_counts, op7_byte_bpe, op8_secret_scans, op9_quality_rules, op10_url_filters)
@@ -106,10 +106,10 @@ r AS (SELECT *, CASE
         WHEN ('.' || host) LIKE '%.net' AND path LIKE '/es/%' THEN 'net/es/'
         WHEN ('.' || host) LIKE '%.net' AND path LIKE '/fr/%' THEN 'net/fr/'
         WHEN ('.' || host) LIKE '%.com' AND path LIKE '/%' THEN 'com/' END AS rule FROM u)
-SELECT page_id, url, host, path, rule, CASE
+SELECT page_id, host, path, rule, url, CASE
         WHEN rule IN ('www.example.com/en/', 'com/') THEN 'allow' WHEN rule IS NOT NULL THEN 'block'
         WHEN host || path = '' THEN 'block'
-        WHEN regexp_matches(lower(host || path), '(^|[^a-z0-9])(adult|casino|porn|xxx|sex|viagra|betting|poker|warez|phishing|malware)([^a-z0-9]|$)') THEN 'block'
+        WHEN regexp_matches(lower(host || path), '(^|[^a-z0-9])(adult|porn|xxx|sex|escort|casino|betting|bets|poker|lottery|viagra|cialis|pills|warez|keygen|phishing|malware)([^a-z0-9]|$)') THEN 'block'
         ELSE 'allow' END AS verdict FROM r
 """
 
