@@ -187,12 +187,13 @@ def judge(docs: DataFrame, rules: list[Rule], least_words: int = 50, most_repeat
     return text_statistics(docs).withColumn("base_failed", base).withColumn("kept", ~base & list_expression(rules))
 
 
-def keep_good(docs: DataFrame, rules: list[Rule]) -> DataFrame:
-    """The rows of ``docs`` that are kept.
+def keep_good(docs: DataFrame, rules: list[Rule], text_col: str = "text") -> DataFrame:
+    """The rows of ``docs`` that are kept, their columns untouched whatever their names.
 
     Rows are dropped by exploding an array of one or none. A filter on ``kept`` would be pushed below
     the projections, where every reference to a statistic becomes a copy of its expression, and
     copies of copies take the optimizer minutes.
     """
+    row = docs.select(F.struct(*(F.col(f"`{c}`") for c in docs.columns)).alias("__row"), F.col(f"`{text_col}`").alias("text"))
     one = F.when(F.col("kept"), F.array(F.lit(True))).otherwise(F.array().cast("array<boolean>"))
-    return judge(docs, rules).select(*docs.columns, F.explode(one).alias("__kept")).drop("__kept")
+    return judge(row, rules).select("__row", F.explode(one).alias("__kept")).select("__row.*")
