@@ -13,7 +13,8 @@ on, and an intersection needs n-grams of frequency two or more alone.
    clusters, so that a representative's n-grams are sent once rather than once a pair.
 4. In a cluster, a search over the not yet reached documents finds the links: prefix postings with
    length, positional and suffix filters, then one verification a pair; pairs that are already
-   connected need none. Clusters over a bounded weight are dealt out as pairs of blocks.
+   connected need none. Clusters over a bounded weight are dealt out as blocks and as pairs of
+   blocks; a pair of blocks only meets pairs between the two, so each pair is verified once at most.
 5. Components of the links, joined back to every row.
 """
 
@@ -138,11 +139,12 @@ def _postings(num: int, den: int):
     return tidy(run)
 
 
-def link_block(n: np.ndarray, tokens: list[np.ndarray], levels: list[np.ndarray], num: int, den: int) -> list[tuple[int, int]]:
-    """Links that connect whatever is connected by links among these documents.
+def link_block(n: np.ndarray, tokens: list[np.ndarray], levels: list[np.ndarray], num: int, den: int, side: np.ndarray | None = None, verified: list | None = None) -> list[tuple[int, int]]:
+    """Links that connect whatever is connected by links among these documents, or by links between the two values of ``side``.
 
     Breadth-first over documents not reached so far: a document's prefix postings give candidates,
-    the length, positional and suffix filters drop most, the rest are verified together.
+    the length, positional and suffix filters drop most, the rest are verified together. A document
+    closes before it is looked from, so no pair is verified twice; ``verified`` gathers them.
     """
     size = np.array([len(t) for t in tokens])
     key, inverse = np.unique(np.concatenate(tokens), return_inverse=True)
@@ -177,6 +179,8 @@ def link_block(n: np.ndarray, tokens: list[np.ndarray], levels: list[np.ndarray]
             at = np.repeat(lo - np.r_[0, np.cumsum(many)][:-1], many) + np.arange(many.sum())
             y, py, px = doc[at], place[at], np.repeat(np.arange(len(head)) + lone[x], many)
             on = open_[y] & (den * np.minimum(n[y], n[x]) >= num * np.maximum(n[y], n[x]))  # length filter
+            if side is not None:
+                on &= side[y] != side[x]
             y, first = np.unique(y[on], return_index=True)  # the first common n-gram of each
             if not len(y):
                 continue
@@ -196,6 +200,8 @@ def link_block(n: np.ndarray, tokens: list[np.ndarray], levels: list[np.ndarray]
             y, need = y[on], need[on]
             if not len(y):
                 continue
+            if verified is not None:
+                verified += [(x, int(z)) for z in y]
             marked[own] = True
             many = size[y]
             at = np.repeat(start[y] - np.r_[0, np.cumsum(many)][:-1], many) + np.arange(many.sum())
@@ -211,22 +217,23 @@ def link_block(n: np.ndarray, tokens: list[np.ndarray], levels: list[np.ndarray]
 def _link_groups(num: int, den: int):
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
-    def close(rows):
+    def close(key, rows):
         if len(rows) < 2:
             return None
-        edges = link_block(np.array([r[1] for r in rows]), [np.frombuffer(r[2], np.uint64) for r in rows], [np.frombuffer(r[3], np.uint16) for r in rows], num, den)
+        side = np.array([r[4] for r in rows]) if key[1] != key[2] else None  # pairs inside a block are met where it stands alone
+        edges = link_block(np.array([r[1] for r in rows]), [np.frombuffer(r[2], np.uint64) for r in rows], [np.frombuffer(r[3], np.uint16) for r in rows], num, den, side)
         return pa.RecordBatch.from_arrays([pa.array([rows[a][0] for a, _ in edges], pa.int64()), pa.array([rows[b][0] for _, b in edges], pa.int64())], schema=schema) if edges else None
 
     def run(batches):
         key, rows = None, []
         for batch in batches:
-            for r in zip(*(batch.column(c).to_pylist() for c in ("cluster", "i", "j", "rid", "n", "tokens", "levels")), strict=True):
+            for r in zip(*(batch.column(c).to_pylist() for c in ("cluster", "i", "j", "rid", "n", "tokens", "levels", "own")), strict=True):
                 if r[:3] != key:
-                    if (out := close(rows)) is not None:
+                    if (out := close(key, rows)) is not None:
                         yield out
                     key, rows = r[:3], []
                 rows.append(r[3:])
-        if (out := close(rows)) is not None:
+        if (out := close(key, rows)) is not None:
             yield out
 
     return tidy(run)
@@ -261,7 +268,7 @@ def ngram_jaccard_join(docs: DataFrame, size: int = 5, num: int = 80, den: int =
     weight = member.groupBy("cluster").agg(F.sum(F.length("tokens") / 8).alias("w")).select("cluster", F.ceil(F.col("w") / BLOCK).cast("int").alias("blocks"))
     other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
     dealt = member.join(weight, "cluster").withColumn("own", F.pmod(F.xxhash64("rid"), F.col("blocks")).cast("int")).withColumn("other", other)
-    dealt = dealt.where((F.col("own") != F.col("other")) | (F.col("blocks") == 1)).select("cluster", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "rid", "n", "tokens", "levels")
+    dealt = dealt.select("cluster", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "rid", "n", "tokens", "levels", "own")
     dealt = dealt.repartition("cluster", "i", "j").sortWithinPartitions("cluster", "i", "j", "rid")
     links = dealt.mapInArrow(_link_groups(num, den), "a long, b long")
     found = connected_components(links)
