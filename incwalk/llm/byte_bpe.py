@@ -19,6 +19,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from incwalk.llm.common import LONGEST
 from incwalk.llm.common import memo as new_memo
 
 MEMO = 400_000
@@ -106,11 +107,12 @@ def encode_documents(docs: DataFrame, ranks_path: str, pattern: str, id_col: str
                 words = words_of.findall(text) if text else []
                 if len(memo) > MEMO:
                     memo.clear()
+                long = {}  # not kept
                 for w in set(words):
                     if w not in memo:
                         ids = merge_word(w.encode(), ranks)
-                        memo[w] = (" ".join(map(str, ids)), b"".join([bytes_of[i] for i in ids]))
-                got = [memo[w] for w in words]
+                        (memo if len(w) <= LONGEST else long)[w] = (" ".join(map(str, ids)), b"".join([bytes_of[i] for i in ids]))
+                got = [memo[w] for w in words] if not long else [long[w] if w in long else memo[w] for w in words]
                 said = " ".join([g[0] for g in got])
                 out.append((doc_id, said.count(" ") + 1 if said else 0, said, b"".join([g[1] for g in got])) + ((list(map(int, said.split())),) if with_ids else ()))
                 held += len(said)

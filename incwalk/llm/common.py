@@ -6,6 +6,7 @@ import ctypes
 import gc
 import tempfile
 import uuid
+import weakref
 
 import numpy as np
 import pyarrow as pa
@@ -22,10 +23,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """The folder that the cluster shares; a folder of our own only where none is set, as in tests."""
+    """The folder that the cluster shares; a folder of our own only where none is set and the session is local, as in tests."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if root:
         return root
+    if not spark.conf.get("spark.master", "local").startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
     try:
         return spark.conf.get("spark.incwalk.scratch")
     except Exception:  # not set yet
@@ -34,6 +37,10 @@ def scratch_root(spark: SparkSession) -> str:
         return root
 
 
+#: Where saved tables lie; a table that is no longer referred to is forgotten, not deleted.
+_PATHS: weakref.WeakKeyDictionary = weakref.WeakKeyDictionary()
+
+
 def save(df: DataFrame, name: str, partition_by: list[str] | None = None) -> DataFrame:
     """Writes ``df`` once into the shared folder and reads it back: cuts lineage and survives lost executors."""
     spark = df.sparkSession
@@ -42,7 +49,18 @@ def save(df: DataFrame, name: str, partition_by: list[str] | None = None) -> Dat
     if partition_by:
         writer = writer.partitionBy(*partition_by)
     writer.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    _PATHS[out] = path
+    return out
+
+
+def discard(*tables: DataFrame | None) -> None:
+    """Deletes saved tables that nothing reads any more: those of earlier rounds of a loop."""
+    for df in tables:
+        if df is not None and (path := _PATHS.pop(df, None)):
+            spark = df.sparkSession
+            place = spark._jvm.org.apache.hadoop.fs.Path(path)
+            place.getFileSystem(spark._jsc.hadoopConfiguration()).delete(place, True)
 
 
 def plan_bytes(df: DataFrame) -> int:
@@ -60,11 +78,13 @@ def part_count(df: DataFrame, bytes_each: int = 16 << 20, most: int = 1 << 16) -
     return max(32, min(most, max(n, size // bytes_each if size < 1 << 60 else 0)))
 
 
+#: Longer pieces aren't remembered, so the entries of a memo bound its bytes.
+LONGEST = 64
 _MEMOS: list[dict] = []
 
 
 def memo() -> dict:
-    """A table that a worker keeps between tasks, until an operator that needs the memory calls ``forget``."""
+    """A table that a worker keeps between tasks, until an operator that needs the memory calls ``forget``. Keys have up to ``LONGEST`` characters."""
     _MEMOS.append({})
     return _MEMOS[-1]
 

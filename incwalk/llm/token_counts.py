@@ -1,8 +1,8 @@
 """Token counts of whole texts: lengths only, batches balanced by bytes, texts cut at safe boundaries.
 
 A boundary is safe where the tokenizer cannot merge across it, so that the pieces' counts add up to
-the text's. Pieces repeat: a worker keeps the counts of those it has met, up to ``MEMO`` of them,
-and encodes the others in batches of about ``BATCH`` bytes.
+the text's. Pieces repeat: a worker keeps the counts of the short ones it has met, up to ``MEMO`` of
+them, and encodes the others in batches of about ``BATCH`` bytes.
 """
 
 from __future__ import annotations
@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from incwalk.llm.common import memo
+from incwalk.llm.common import LONGEST, memo
 
 BATCH = 1 << 20
 MEMO = 500_000
@@ -22,15 +22,20 @@ _RUN = re.compile(r" *[^ ]+")
 _STATE: dict = {}
 
 
+def byte_length(text: str) -> int:
+    return len(text) if text.isascii() else len(text.encode())
+
+
 def balanced(items, size=BATCH):
     """Lists of strings of about ``size`` bytes each; a longer string is alone."""
     out, held = [], 0
     for x in items:
-        if out and held + len(x) > size:
+        n = byte_length(x)
+        if out and held + n > size:
             yield out
             out, held = [], 0
         out.append(x)
-        held += len(x)
+        held += n
     if out:
         yield out
 
@@ -91,24 +96,27 @@ def count_texts(path: str, texts: list[str]) -> list[int]:
     if len(known) > MEMO:
         known.clear()
     cut = [counter.pieces(t) for t in texts]
-    new = list({p for pieces in cut for p in pieces if p not in known})
-    for batch in balanced(new):
-        known.update(zip(batch, counter.count(batch), strict=True))
-    get = known.__getitem__
-    return [sum(map(get, pieces)) for pieces in cut]
-
-
-def _by_bytes(texts, size=4 << 20):
-    """Slices of a batch of about ``size`` bytes."""
+    fresh = {p for pieces in cut for p in pieces if p not in known}
+    long = {p: 0 for p in fresh if len(p) > LONGEST}  # counted, and not kept
+    for batch in balanced(fresh):
+        for p, n in zip(batch, counter.count(batch), strict=True):
+            (long if p in long else known)[p] = n
+    if not long:
+        get = known.__getitem__
+        return [sum(map(get, pieces)) for pieces in cut]
+    return [sum(known[p] if p in known else long[p] for p in pieces) for pieces in cut]
+
+
+def _by_bytes(sizes, size=4 << 20):
+    """Slices of a batch of about ``size`` bytes; a longer text is alone."""
     at, held = 0, 0
-    for i, t in enumerate(texts):
-        n = len(t)
+    for i, n in enumerate(sizes):
         if i > at and held + n > size:
             yield at, i
             at, held = i, 0
         held += n
-    if at < len(texts):
-        yield at, len(texts)
+    if at < len(sizes):
+        yield at, len(sizes)
 
 
 def token_counts(docs: DataFrame, tokenizer_path: str, limit: int = 4096, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -123,7 +131,7 @@ def token_counts(docs: DataFrame, tokenizer_path: str, limit: int = 4096, id_col
     def run(batches):
         for batch in batches:
             texts = [t or "" for t in batch.column("text").to_pylist()]
-            n = [x for a, b in _by_bytes(texts) for x in count_texts(tokenizer_path, texts[a:b])]
+            n = [x for a, b in _by_bytes(batch.column("n_bytes").to_pylist()) for x in count_texts(tokenizer_path, texts[a:b])]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("n_bytes"), pa.array(n, pa.int64()), pa.array([x > limit for x in n], pa.bool_())], schema=schema)
 
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
