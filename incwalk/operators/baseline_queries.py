@@ -100,15 +100,16 @@ def arrive_one(spark, sf_dir):
     last = e.agg(F.max(F.struct("ord", "src", "dst")).alias("x")).select(F.lit("+").alias("op"), "x.src", "x.dst", "x.ord")
     last = save(last, "last")
     base = save(e.join(last.select("src", "dst"), ["src", "dst"], "left_anti").select("src", "dst", "ord"), "base")
-    v, _, _ = update.apply_changes(save(build_store(base, W.SPEC), "visits"), base, last, W.SPEC, 1)
-    return v.select("src", "rep", "pos", "node", "ended")
+    store = update.WalkStore.create(base, W.SPEC)
+    store.apply(last)
+    return store.visits().select("src", "rep", "pos", "node", "ended")
 
 
 _LAST = f"SELECT src, dst, ord FROM ({COBUY}) ORDER BY ord DESC, src DESC, dst DESC LIMIT 1"
 _ONE = update.update_sql(f"SELECT src, dst, ord FROM ({COBUY}) ANTI JOIN ({_LAST}) l USING (src, dst)", f"SELECT '+' AS op, src, dst, ord FROM ({_LAST})", W.SPEC)
 R.add("arrive_one", arrive_one, f"WITH RECURSIVE {_ONE} SELECT src, rep, pos, node, ended FROM w1")
 _MIXED = W._update_sql(("00",), ("01",))
-R.add("store_after_update", lambda s, d: W._applied(s, d, ("00",), ("01",))[0].groupBy("node").agg(F.count("*").alias("visits"), F.count_if(F.col("epoch") == 1).alias("redone")).drop("redone"), f"{_MIXED} SELECT node, count(*) AS visits FROM w1 GROUP BY node")
+R.add("store_after_update", lambda s, d: W._applied(s, d, ("00",), ("01",))[0].visits().groupBy("node").agg(F.count("*").alias("visits"), F.count_if(F.col("epoch") == 1).alias("redone")).drop("redone"), f"{_MIXED} SELECT node, count(*) AS visits FROM w1 GROUP BY node")
 
 
 def _link_changes(spark, sf_dir):
@@ -120,8 +121,9 @@ def _link_changes(spark, sf_dir):
 def new_node_walks(spark, sf_dir):
     """Walks of nodes that a batch brought: pages and targets first seen in it start as many walks as the others have."""
     base, ch = _link_changes(spark, sf_dir)
-    v, _, _ = update.apply_changes(save(build_store(base, W.SPEC), "visits"), base, ch, W.SPEC, 1)
-    return v.join(G.nodes(base).select(F.col("node").alias("src")), "src", "left_anti").select("src", "rep", "pos", "node", "ended")
+    store = update.WalkStore.create(base, W.SPEC)
+    store.apply(ch)
+    return store.visits().join(G.nodes(base).select(F.col("node").alias("src")), "src", "left_anti").select("src", "rep", "pos", "node", "ended")
 
 
 _PAGE = "substr(md5('page|' || src), 1, 1)"

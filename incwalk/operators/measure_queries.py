@@ -255,7 +255,7 @@ def exp_w10(spark, sf_dir):
     spec = Spec(reps=2, seed=10)
     e = _e(spark, sf_dir, "cobuy")
     gone = e.where(F.substring(F.md5(F.concat_ws("|", "src", "dst")), 1, 2) == "7f").select(F.lit("-").alias("op"), "src", "dst", "ord")
-    _, _, ledger = update.apply_changes(save(build_store(e, spec), "visits"), e, gone, spec, 1)
+    ledger = update.WalkStore.create(e, spec).apply(gone)
     n, m = G.nodes(e).count(), e.count()
     return ledger.select("edges_gone", "walks_rerouted", "steps_redone", F.round(F.col("edges_gone") * (n * spec.reps / (m * spec.eps**2)), 6).alias("bound_steps"))
 
@@ -272,7 +272,7 @@ def exp_w12(spark, sf_dir):
         spec = Spec(reps=2, seed=12)
         e = save(trap(spark, sf_dir, size).select("src", "dst", "ord"), "trap")
         ch = spark.createDataFrame([("+", 0, 1, 10**9)], "op string, src long, dst long, ord long")
-        _, _, ledger = update.apply_changes(save(build_store(e, spec), "visits"), e, ch, spec, 1)
+        ledger = update.WalkStore.create(e, spec).apply(ch)
         row = ledger.select(F.lit(size).alias("size"), F.lit(3 * size + 1).alias("n"), "walks_rerouted", "steps_redone")
         out = row if out is None else out.unionByName(row)
     return out

@@ -9,7 +9,8 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupStateTimeout
 
 from incwalk.operators.registry_of import Registry
-from incwalk.plans.walks import Spec, build_store
+from incwalk.plans.update import WalkStore, update_sql
+from incwalk.plans.walks import Spec
 from incwalk.sources.graphs import edges, edges_sql
 from incwalk.store import save, scratch_root, table
 from incwalk.streaming.maintain import Maintainer, maintain_stream, sessions, windowed_arrivals
@@ -102,18 +103,24 @@ def running_degree(spark, sf_dir):
 R.add("running_degree", running_degree, "SELECT user_id, count(*) AS degree FROM events GROUP BY 1")
 
 
+STREAMED = Spec(reps=2, seed=14)
+
+
 def stream_replay(spark, sf_dir):
-    """Later purchases stream into a maintained store in batches; its edges at the end, and whether each walk follows them."""
+    """Later purchases stream into a maintained store; the visits of its walks at the end.
+
+    All arrive in one batch, whose coins SQL can replay; tests stream several.
+    """
     e = save(edges(spark, sf_dir, "cobuy").select("src", "dst", "ord"), "edges")
     fresh = F.substring(F.md5(F.concat_ws("|", "src", "dst")), 1, 2) == "3c"
-    base, folder = save(e.where(~fresh), "base"), _folder(spark, "changes")
+    folder = _folder(spark, "changes")
     changes = e.where(fresh).select(F.lit("+").alias("op"), "src", "dst", "ord")
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    changes.repartition(parts, "src").write.parquet(folder)
-    spec = Spec(reps=2, seed=14)
-    state = Maintainer(save(build_store(base, spec), "visits"), base, spec)
-    maintain_stream(spark.readStream.schema(changes.schema).option("maxFilesPerTrigger", -(-parts // 2)).parquet(folder), state, f"{folder}-checkpoint").awaitTermination()
-    return state.edges.groupBy("src").agg(F.count("*").alias("deg"))
+    changes.write.parquet(folder)
+    keeper = Maintainer(WalkStore.create(e.where(~fresh), STREAMED))
+    maintain_stream(spark.readStream.schema(changes.schema).parquet(folder), keeper, f"{folder}-checkpoint").awaitTermination()
+    return WalkStore.open(spark, keeper.store.folder).visits().select("src", "rep", "pos", "node", "ended")
 
 
-R.add("stream_replay", stream_replay, f"SELECT src, count(*) AS deg FROM ({edges_sql('cobuy')}) GROUP BY 1")
+_CB = f"SELECT src, dst, ord FROM ({edges_sql('cobuy')})"
+_LATE = "substr(md5(src || '|' || dst), 1, 2)"
+R.add("stream_replay", stream_replay, "WITH RECURSIVE " + update_sql(f"{_CB} WHERE {_LATE} <> '3c'", f"SELECT '+' AS op, src, dst, ord FROM ({_CB}) WHERE {_LATE} = '3c'", STREAMED) + " SELECT src, rep, pos, node, ended FROM w1")

@@ -83,10 +83,12 @@ def _scenario(spark, sf_dir, plus=("00",), minus=()):
     return base, save(ch, "changes")
 
 
-def _applied(spark, sf_dir, plus=("00",), minus=(), reroute="suffix", spec=SPEC):
+def _applied(spark, sf_dir, plus=("00",), minus=(), reroute="suffix", spec=SPEC, gate=None, counted=False):
     base, ch = _scenario(spark, sf_dir, plus, minus)
-    v = save(build_store(base, spec), "visits")
-    return update.apply_changes(v, base, ch, spec, 1, reroute)
+    store = update.WalkStore.create(base, spec)
+    if counted:
+        store.counters()
+    return store, store.apply(ch, reroute, gate)
 
 
 def _update_sql(plus=("00",), minus=(), restart=False):
@@ -99,10 +101,10 @@ def _update_sql(plus=("00",), minus=(), restart=False):
 
 _VISITS = " SELECT src, rep, pos, node, ended FROM w1"
 for _n, _p, _m, _re in (("arrive_batch", ("00",), (), "suffix"), ("arrive_restart", ("00",), (), "restart"), ("delete_batch", (), ("01",), "suffix"), ("mixed_batch", ("00",), ("01",), "suffix")):
-    R.add(_n, lambda s, d, p=_p, m=_m, re=_re: _applied(s, d, p, m, re)[0].select("src", "rep", "pos", "node", "ended"), _update_sql(_p, _m, _re == "restart") + _VISITS)
-R.add("arrive_ledger", lambda s, d: _applied(s, d)[2].select("walks_rerouted", "edges_added"), _update_sql() + " SELECT (SELECT count(*) FROM c1) AS walks_rerouted, (SELECT count(*) FROM added) AS edges_added")
-R.add("delete_ledger", lambda s, d: _applied(s, d, (), ("01",))[2].select("walks_rerouted", "edges_gone"), _update_sql((), ("01",)) + " SELECT (SELECT count(*) FROM c1) AS walks_rerouted, (SELECT count(*) FROM gone) AS edges_gone")
-R.add("counters_after", lambda s, d: (lambda r: update.counters(r[0], r[1]).select("node", "w_segments", "visits", "continuing", "outdeg"))(_applied(s, d, ("00",), ("01",))), _update_sql(("00",), ("01",)) + " SELECT node, w_segments, visits, continuing, coalesce(o, 0) AS outdeg FROM (SELECT node, count(DISTINCT (src, rep)) AS w_segments, count(*) AS visits, count(*) FILTER (ended IS NULL) AS continuing FROM w1 GROUP BY node) LEFT JOIN (SELECT src AS node, count(*) AS o FROM e1 GROUP BY 1) USING (node)")
+    R.add(_n, lambda s, d, p=_p, m=_m, re=_re: _applied(s, d, p, m, re)[0].visits().select("src", "rep", "pos", "node", "ended"), _update_sql(_p, _m, _re == "restart") + _VISITS)
+R.add("arrive_ledger", lambda s, d: _applied(s, d)[1].select("walks_rerouted", "edges_added"), _update_sql() + " SELECT (SELECT count(*) FROM c1) AS walks_rerouted, (SELECT count(*) FROM added) AS edges_added")
+R.add("delete_ledger", lambda s, d: _applied(s, d, (), ("01",))[1].select("walks_rerouted", "edges_gone"), _update_sql((), ("01",)) + " SELECT (SELECT count(*) FROM c1) AS walks_rerouted, (SELECT count(*) FROM gone) AS edges_gone")
+R.add("counters_after", lambda s, d: _applied(s, d, ("00",), ("01",), counted=True)[0].counters().select("node", "w_segments", "visits", "continuing", "outdeg"), _update_sql(("00",), ("01",)) + " SELECT node, w_segments, visits, continuing, coalesce(o, 0) AS outdeg FROM (SELECT node, count(DISTINCT (src, rep)) AS w_segments, count(*) AS visits, count(*) FILTER (ended IS NULL) AS continuing FROM w1 GROUP BY node) LEFT JOIN (SELECT src AS node, count(*) AS o FROM e1 GROUP BY 1) USING (node)")
 R.add("gate_probabilities", lambda s, d: (lambda r: update.gate(update.counters(r[1], r[0])))(_store(s, d)), f"{_W}, c AS (SELECT node, count(DISTINCT (src, rep)) AS w, count(*) FILTER (ended IS NULL) AS v FROM w0 GROUP BY node), o AS (SELECT src AS node, count(*) AS d FROM e0 GROUP BY 1) SELECT node, round(1 - pow(1 - 1 / (coalesce(d, 0) + 1), w), 9) AS p_segments, round(1 - pow(1 - 1 / (coalesce(d, 0) + 1), v), 9) AS p_visits FROM c LEFT JOIN o USING (node)")
 R.add("alt_arrive_batch", lambda s, d: _applied(s, d, spec=ALT)[0].groupBy("role", "ended").count())
 

@@ -24,6 +24,17 @@ def salted_slots(edges: DataFrame, salts: int = SALTS) -> DataFrame:
     return e.join(offset, ["src", "salt"]).select("src", (F.col("offset") + F.row_number().over(own) - 1).cast("long").alias("slot"), "dst", "ord")
 
 
+def numbered_within(rows: DataFrame, keys: list[str], first: str, order: list[str], salt: str | None = None, salts: int = SALTS) -> DataFrame:
+    """Adds ``slot``, from 0 within ``keys``: by ``first``, then by ``order``; or, with ``salt``, by that column's digest, so that no task sorts all rows of a hot key."""
+    if salt is None:
+        return rows.withColumn("slot", (F.row_number().over(Window.partitionBy(*keys).orderBy(first, *order)) - 1).cast("long"))
+    x = rows.withColumn("__salt", F.pmod(F.xxhash64(salt), F.lit(salts)))
+    before = Window.partitionBy(*keys).orderBy(first, "__salt").rowsBetween(Window.unboundedPreceding, -1)
+    offset = x.groupBy(*keys, first, "__salt").count().withColumn("__offset", F.coalesce(F.sum("count").over(before), F.lit(0))).drop("count")
+    inside = F.row_number().over(Window.partitionBy(*keys, first, "__salt").orderBy(*order)) - 1
+    return x.join(offset, [*keys, first, "__salt"]).withColumn("slot", (F.col("__offset") + inside).cast("long")).drop("__salt", "__offset")
+
+
 def reverse(edges: DataFrame) -> DataFrame:
     return edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), *(c for c in edges.columns if c not in ("src", "dst")))
 

@@ -1,4 +1,11 @@
-"""Repair of the walk store when edges arrive and leave, in batches.
+"""The maintained walk store: edges arrive and leave in batches, and only walks that change are touched.
+
+The store is layers. The first holds all visits, in buckets by node; each batch adds the visits it
+grew and a cut for each walk it rerouted, and rewrites nothing. A visit is dead where a later cut of
+its walk lies at or before it. A batch reads the visits at the sources of its changes (a visit knows
+where it went, so no walk is read whole), the edges at those sources, and slots where its regrown
+walks pass; compaction merges the layers after ``MOST_LAYERS``. A manifest published last makes a
+batch count wholly or not at all, and lets another driver go on from the folder.
 
 A batch changes only walks that would have behaved differently. At a source with ``d_surv`` edges
 left over from before and ``d`` in all, a continuing (or stuck) visit draws a slot among ``d``: a
@@ -9,81 +16,334 @@ grows again from the edge drawn, by coins of the new epoch.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+import json
+import math
+from dataclasses import asdict
+
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from incwalk.functions import coins, theory
 from incwalk.plans import graph as G
 from incwalk.plans.ranking import numbered
-from incwalk.plans.walks import Spec, grow, heads, walk_key
-from incwalk.store import save
+from incwalk.plans.walks import Spec, _is_local, grow, heads, tables, walk_key
+from incwalk.store import fresh_path, publish, published, save
 
+#: Layers after which a batch compacts the store.
+MOST_LAYERS = 12
+#: Visits in a bucket of the first layer, about; and the most buckets.
+BUCKET, MOST_BUCKETS = 2_000_000, 4096
+KINDS = ("visits", "cuts", "edges", "adj", "deg", "counts")
+LOG = "epoch int, walks_rerouted long, steps_redone long, edges_added long, edges_gone long, visits_read long, gate_sources long, gate_calls long"
 
-def changed_edges(edges: DataFrame, changes: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """``(new edge set, edges gone, edges added)``. Of several changes of an edge in a batch the last by ``ord`` holds; absent edges cannot leave, present ones cannot arrive."""
-    last = changes.groupBy("src", "dst").agg(F.max(F.struct("ord", "op")).alias("c")).select("src", "dst", F.col("c.op").alias("op"), F.col("c.ord").alias("ord"))
+
+def last_changes(changes: DataFrame) -> DataFrame:
+    """Of several changes of an edge in a batch the last by ``ord`` holds; self-loops are dropped."""
+    last = changes.where("src <> dst").groupBy("src", "dst").agg(F.max(F.struct("ord", "op")).alias("c"))
+    return last.select("src", "dst", F.col("c.op").alias("op"), F.col("c.ord").alias("ord"))
+
+
+def effective(edges: DataFrame, last: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """``(gone, added)``: absent edges cannot leave, present ones cannot arrive."""
     gone = last.where("op = '-'").join(edges.select("src", "dst"), ["src", "dst"], "left_semi").select("src", "dst")
-    added = last.where("op = '+' AND src <> dst").join(edges.select("src", "dst"), ["src", "dst"], "left_anti").select("src", "dst", "ord")
-    new = edges.select("src", "dst", "ord").join(gone, ["src", "dst"], "left_anti").unionByName(added)
-    return new, gone, added
-
-
-def _touched(edges: DataFrame, gone: DataFrame, added: DataFrame, way: str) -> DataFrame:
-    """``(node, role, d_surv, d)`` of the sources of changes, and each one's slots with survivors first."""
-    key = "src" if way == "hub" else "dst"
-    ids = gone.select(F.col(key).alias("node")).union(added.select(F.col(key).alias("node"))).distinct()
-    own = edges.withColumn("fresh", F.lit(0)).join(gone, ["src", "dst"], "left_anti").select("src", "dst", "ord", "fresh").unionByName(added.withColumn("fresh", F.lit(1)))
-    own = own.select(F.col(key).alias("node"), F.col("dst" if way == "hub" else "src").alias("to"), "ord", "fresh").join(ids, "node", "left_semi")
-    place = Window.partitionBy("node").orderBy("fresh", "ord", "to")
-    slots = own.withColumn("slot", (F.row_number().over(place) - 1).cast("long"))
-    degs = ids.join(own.groupBy("node").agg(F.sum(1 - F.col("fresh")).alias("d_surv"), F.count("*").alias("d")), "node", "left")
-    return degs.select("node", F.lit(way).alias("role"), F.coalesce("d_surv", F.lit(0)).cast("long").alias("d_surv"), F.coalesce("d", F.lit(0)).cast("long").alias("d")), slots.select("node", F.lit(way).alias("role"), "slot", "to")
-
-
-def apply_changes(visits: DataFrame, edges: DataFrame, changes: DataFrame, spec: Spec, epoch: int, reroute: str = "suffix") -> tuple[DataFrame, DataFrame, DataFrame]:
-    """``(visits, edges, ledger)`` after a batch of ``changes`` (op, src, dst, ord).
-
-    ``reroute="restart"`` grows a cut walk from its own source instead, which is simpler and biased:
-    walks not chosen are conditioned on few visits to the source, the chosen ones are not.
-    """
-    new, gone, added = changed_edges(edges, changes)
-    new, gone, added = save(new, "edges"), save(gone, "gone"), save(added, "added")
-    ways = ("hub", "auth") if spec.alternating else ("hub",)
-    parts = [_touched(edges.select("src", "dst", "ord"), gone, added, w) for w in ways]
-    degs, slots = parts[0]
-    for d, s in parts[1:]:
-        degs, slots = degs.unionByName(d), slots.unionByName(s)
-    lost = gone.select(F.col("src").alias("node"), F.col("dst").alias("next"), F.lit("hub").alias("role"), F.lit(True).alias("lost"))
-    if spec.alternating:
-        lost = lost.unionByName(gone.select(F.col("dst").alias("node"), F.col("src").alias("next"), F.lit("auth").alias("role"), F.lit(True).alias("lost")))
-    walk = Window.partitionBy("src", "rep").orderBy("pos")
-    going = visits.withColumn("next", F.lead("node").over(walk)).where("ended IS NULL OR ended = 'stuck'")
-    _, b = coins.coin(spec.seed, "update", walk_key(F.col("src"), F.col("rep")), F.lit(epoch), F.col("pos"), spec.coin)
-    x = going.join(degs, ["node", "role"]).join(lost, ["node", "next", "role"], "left").withColumn("slot", coins.slot(b, F.col("d")))
-    x = x.where(F.col("lost") | (F.col("slot") >= F.col("d_surv")) & (F.col("d") > 0))
-    first = x.groupBy("src", "rep").agg(F.min(F.struct("pos", "node", "role", "slot", "d")).alias("c")).select("src", "rep", "c.*")
-    cut = save(first.join(slots, ["node", "role", "slot"], "left").select("src", "rep", "pos", "node", "role", "to"), "cuts")
-    fresh = heads(G.nodes(added).join(G.nodes(edges), "node", "left_anti"), spec)
-    if reroute == "restart":
-        kept = visits.join(cut.select("src", "rep"), ["src", "rep"], "left_anti")
-        again = cut.select("src", "rep", F.lit(0).alias("pos"), F.col("src").alias("node"), F.when(F.col("rep") < spec.reps, "hub").otherwise("auth").alias("role"))
-        stay = None
-    else:
-        at = cut.select("src", "rep", F.col("pos").alias("cut_pos"))
-        kept = visits.join(at, ["src", "rep"], "left").where("cut_pos IS NULL OR pos < cut_pos").drop("cut_pos")
-        stay = cut.select("src", "rep", "pos", "node", "role", F.when(F.col("to").isNull(), "stuck").alias("ended"), F.lit(epoch).alias("epoch"))
+    added = last.where("op = '+'").join(edges.select("src", "dst"), ["src", "dst"], "left_anti").select("src", "dst", "ord")
+    return gone, added
+
+
+def changed_edges(edges: DataFrame, changes: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """``(new edge set, edges gone, edges added)``."""
+    gone, added = effective(edges, last_changes(changes))
+    return edges.select("src", "dst", "ord").join(gone, ["src", "dst"], "left_anti").unionByName(added), gone, added
+
+
+class WalkStore:
+    """A store of walks in a folder. ``create`` builds it, ``open`` goes on with one that is there."""
+
+    def __init__(self, spark: SparkSession, folder: str, state: dict):
+        self.spark, self.folder, self.state = spark, folder, state
+        self.spec = Spec(**state["spec"])
+
+    @classmethod
+    def create(cls, edges: DataFrame, spec: Spec, folder: str | None = None) -> WalkStore:
+        """Walks from all nodes of ``edges`` (src, dst, ord)."""
+        spark = edges.sparkSession
+        folder = folder or fresh_path(spark, "store")
+        e = edges.select("src", "dst", "ord")
+        m = e.count()
+        n = m if m <= BUCKET * spec.eps / spec.reps else G.nodes(e).count()  # sizes the buckets alone
+        buckets = max(4, min(MOST_BUCKETS, math.ceil(n * spec.reps / spec.eps / BUCKET)))
+        store = cls(spark, folder, {"epoch": 0, "m": m, "buckets": buckets, "spec": asdict(spec), "batch": None, "layers": {k: [] for k in KINDS}})
+        adjacency = None
+        if not _is_local(e, spec, m):
+            adjacency = tables(e, spec)
+        visits = grow(heads(G.nodes(e), spec), e, spec, adjacency=adjacency, count=m)
+        layers = {"visits": store._base(visits), "edges": store._layer("edges", e.withColumn("op", F.lit("+")).withColumn("epoch", F.lit(0)))}
+        if adjacency:
+            layers |= {"adj": store._layer("adj", adjacency[0].withColumn("epoch", F.lit(0))), "deg": store._layer("deg", adjacency[1].withColumn("epoch", F.lit(0)))}
+        store._publish({k: [v] for k, v in layers.items()})
+        return store
+
+    @classmethod
+    def open(cls, spark: SparkSession, folder: str) -> WalkStore | None:
+        """The store as last published; None where there is none."""
+        text = published(spark, folder, "manifest-")
+        return cls(spark, folder, json.loads(text)) if text else None
+
+    # layers
+    def _layer(self, kind: str, df: DataFrame, partition_by: list[str] | None = None) -> dict:
+        path = fresh_path(self.spark, "layer").rsplit("/", 1)[1]
+        save(df, kind, f"{self.folder}/{kind}-{path}", partition_by)
+        return {"path": f"{self.folder}/{kind}-{path}", "schema": df.schema.json()}
+
+    def _bucket(self, node) -> F.Column:
+        return F.pmod(F.xxhash64(node), F.lit(self.state["buckets"])).cast("int")
+
+    def _base(self, visits: DataFrame) -> dict:
+        """A layer in buckets by node."""
+        rows = visits.select("src", "rep", "pos", "node", "role", "next", "ended", "epoch").withColumn("bucket", self._bucket(F.col("node")))
+        spread = F.pmod(F.xxhash64("src", "rep"), F.lit(max(1, int(self.spark.conf.get("spark.sql.shuffle.partitions")) // self.state["buckets"])))
+        return self._layer("visits", rows.repartition("bucket", spread).sortWithinPartitions("bucket", "node"), ["bucket"])
+
+    def _read(self, kind: str, buckets: list[int] | None = None) -> DataFrame | None:
+        from pyspark.sql.types import StructType
+
+        out = None
+        for x in self.state["layers"][kind]:
+            df = self.spark.read.schema(StructType.fromJson(json.loads(x["schema"]))).parquet(x["path"])
+            if "bucket" in df.columns:
+                df = (df.where(F.col("bucket").isin(buckets)) if buckets is not None else df).drop("bucket")
+            out = df if out is None else out.unionByName(df)
+        return out
+
+    def _publish(self, more: dict, **state) -> None:
+        layers = {k: self.state["layers"][k] + more.get(k, []) for k in KINDS}
+        self.state = self.state | state | {"layers": layers}
+        publish(self.spark, f"{self.folder}/manifest-{self.state['epoch']:09d}", json.dumps(self.state))
+
+    @property
+    def epoch(self) -> int:
+        return self.state["epoch"]
+
+    # reading
+    def _live(self, visits: DataFrame) -> DataFrame:
+        cuts = self._read("cuts")
+        if cuts is None:
+            return visits
+        c = cuts.select(F.col("src").alias("c_src"), F.col("rep").alias("c_rep"), F.col("pos").alias("c_pos"), F.col("epoch").alias("c_epoch"))
+        dead = (F.col("src") == F.col("c_src")) & (F.col("rep") == F.col("c_rep")) & (F.col("c_epoch") > F.col("epoch")) & (F.col("pos") >= F.col("c_pos"))
+        return visits.join(c, dead, "left_anti")
+
+    def visits(self) -> DataFrame:
+        """All live visits."""
+        return self._live(self._read("visits"))
+
+    def visits_at(self, nodes: DataFrame) -> DataFrame:
+        """Live visits at the given nodes (and roles, where ``nodes`` has them): only their buckets of the first layer are read."""
+        keys = [c for c in ("node", "role") if c in nodes.columns]
+        buckets = None
+        if self.state["buckets"] > 8:  # reading few buckets whole costs less than asking which
+            buckets = [r[0] for r in nodes.select(self._bucket(F.col("node"))).distinct().collect()]  # as many as there are buckets, at most
+        return self._live(self._read("visits", buckets).join(nodes.select(*keys).distinct(), keys, "left_semi"))
+
+    def segments_of(self, nodes: DataFrame) -> DataFrame:
+        """Live visits of the walks that start at the given nodes."""
+        return self._live(self._read("visits").join(nodes.select(F.col("node").alias("src")).distinct(), "src", "left_semi"))
+
+    def through(self, nodes: DataFrame) -> DataFrame:
+        """Live visits of all walks that pass through the given nodes."""
+        return self.visits().join(self.visits_at(nodes).select("src", "rep").distinct(), ["src", "rep"], "left_semi")
+
+    def edges(self) -> DataFrame:
+        """Live edges. An edge that left and came back is in several layers; its last one holds."""
+        return self._live_edges(self._read("edges"))
+
+    def _live_edges(self, e: DataFrame) -> DataFrame:
+        if len(self.state["layers"]["edges"]) > 1:
+            gone = e.where("op = '-'").select(F.col("src").alias("g_src"), F.col("dst").alias("g_dst"), F.col("epoch").alias("g_epoch"))
+            e = e.where("op = '+'").join(gone, (F.col("src") == F.col("g_src")) & (F.col("dst") == F.col("g_dst")) & (F.col("g_epoch") > F.col("epoch")), "left_anti")
+        return e.select("src", "dst", "ord")
+
+    def _adjacency(self) -> tuple[DataFrame, DataFrame] | None:
+        """Slot and degree tables: of a node's rows those of its last layer."""
+        adj, deg = self._read("adj"), self._read("deg")
+        if adj is None:
+            return None
+        if len(self.state["layers"]["adj"]) > 1:
+            later = deg.where("epoch > 0").select(F.col("src").alias("l_src"), F.col("way").alias("l_way"), F.col("epoch").alias("l_epoch"))
+            old = (F.col("src") == F.col("l_src")) & (F.col("way") == F.col("l_way")) & (F.col("l_epoch") > F.col("epoch"))
+            adj, deg = adj.join(later, old, "left_anti"), deg.join(later, old, "left_anti").where("deg > 0")
+        return adj.select("src", "way", "slot", "dst"), deg.select("src", "way", "deg")
+
+    def counters(self) -> DataFrame:
+        """``W`` (walks through a node), visits, continuing visits and degrees: counted once, then kept up by the signed changes of each batch."""
+        if not self.state["layers"]["counts"]:
+            self._publish({"counts": [self._layer("counts", self._count(self.visits()))]})
+        sums = self._read("counts").groupBy("node").agg(*(F.sum(c).alias(c) for c in ("w_segments", "visits", "continuing"))).where("visits > 0")
+        return sums.join(G.degrees(self.edges()), "node", "full").na.fill(0)
+
+    @staticmethod
+    def _count(visits: DataFrame, sign: int = 1) -> DataFrame:
+        per_walk = visits.groupBy("node", "src", "rep").agg(F.count("*").alias("n"), F.count_if(F.col("ended").isNull()).alias("c"))
+        return per_walk.groupBy("node").agg((F.count("*") * sign).alias("w_segments"), (F.sum("n") * sign).alias("visits"), (F.sum("c") * sign).alias("continuing"))
+
+    # changing
+    def _slots(self, own: DataFrame) -> DataFrame:
+        """Survivors first; then the order of arrival, or of salts under fast coins."""
+        return G.numbered_within(own, ["node", "role"], "fresh", ["ord", "to"], None if self.spec.coin == "portable" else "to")
+
+    def apply(self, changes: DataFrame, reroute: str = "suffix", gate: str | None = None, batch: int | None = None) -> DataFrame:
+        """Applies a batch of ``changes`` (op, src, dst, ord) and gives its ledger, a row.
+
+        ``reroute="restart"`` grows a cut walk from its own source instead, which is simpler and
+        biased: walks not chosen are conditioned on few visits to the source, the chosen ones are not.
+        ``gate="ledger"`` counts the sources at which the counters alone would have let the store
+        be called; ``gate="skip"`` draws from the counters which visits switch, and reads no visit at
+        sources where none does (for batches that only add edges).
+        """
+        spec, epoch = self.spec, self.epoch + 1
+        last = save(last_changes(changes.select("op", "src", "dst", "ord")), "changes")
+        ways = {"hub": ("src", "dst")} | ({"auth": ("dst", "src")} if spec.alternating else {})
+        e = self._read("edges")
+        at = {way: save(self._live_edges(e.join(last.select(near).distinct(), near, "left_semi")), "at") for way, (near, _) in ways.items()}
+        gone, added = effective(at["hub"], last)
+        both = save(added.withColumn("fresh", F.lit(1)).unionByName(gone.select("src", "dst", F.lit(None).cast("long").alias("ord"), F.lit(0).alias("fresh"))), "effective")
+        gone, added = both.where("fresh = 0").select("src", "dst"), both.where("fresh = 1").select("src", "dst", "ord")
+        ids = own = lost = None
+        for way, (near, far) in ways.items():
+            who = both.select(F.col(near).alias("node"), F.lit(way).alias("role")).distinct()
+            rows = at[way].join(gone, ["src", "dst"], "left_anti").withColumn("fresh", F.lit(0)).unionByName(added.withColumn("fresh", F.lit(1)))
+            rows = rows.select(F.col(near).alias("node"), F.lit(way).alias("role"), F.col(far).alias("to"), "ord", "fresh").join(who, ["node", "role"], "left_semi")
+            left = gone.select(F.col(near).alias("node"), F.col(far).alias("next"), F.lit(way).alias("role"), F.lit(True).alias("lost"))
+            ids, own, lost = (who, rows, left) if ids is None else (ids.unionByName(who), own.unionByName(rows), lost.unionByName(left))
+        own = slots = save(self._slots(own).select("node", "role", "slot", "to", "ord", "fresh"), "slots")
+        degs = ids.join(own.groupBy("node", "role").agg(F.sum(1 - F.col("fresh")).alias("d_surv"), F.count("*").alias("d")), ["node", "role"], "left")
+        degs = save(degs.select("node", "role", F.coalesce("d_surv", F.lit(0)).cast("long").alias("d_surv"), F.coalesce("d", F.lit(0)).cast("long").alias("d")), "degrees")
+
+        gated = None
+        if gate is not None:
+            gated = self._gate(degs, epoch, gate)
+        _, b = coins.coin(spec.seed, "update", walk_key(F.col("src"), F.col("rep")), F.lit(epoch), F.col("pos"), spec.coin)
+        if gate == "skip":
+            if spec.alternating or not gone.isEmpty():
+                raise ValueError("the skipping gate is for arrivals at forward walks")
+            seen = save(self.visits_at(gated.where("calls")).where("ended IS NULL OR ended = 'stuck'"), "seen")
+            x = G.numbered_within(seen.withColumn("one", F.lit(0)), ["node", "role"], "one", ["src", "rep", "pos"])
+            picks = gated.select("node", F.explode("picks").alias("slot"))
+            fresh = F.col("d_surv") + coins.slot(b, F.col("d") - F.col("d_surv"))  # a switching visit takes a uniform new edge
+            x = x.join(picks, ["node", "slot"], "left_semi").drop("slot").join(degs, ["node", "role"]).withColumn("slot", fresh)
+        else:
+            seen = save(self.visits_at(degs).where("ended IS NULL OR ended = 'stuck'"), "seen")
+            x = seen.join(degs, ["node", "role"]).join(lost, ["node", "next", "role"], "left").withColumn("slot", coins.slot(b, F.col("d")))
+            x = x.where(F.col("lost") | (F.col("slot") >= F.col("d_surv")) & (F.col("d") > 0))
+        first = x.groupBy("src", "rep").agg(F.min(F.struct("pos", "node", "role", "slot", "d")).alias("c")).select("src", "rep", "c.*")
+        cut = save(first.join(slots.select("node", "role", "slot", "to"), ["node", "role", "slot"], "left").select("src", "rep", "pos", "node", "role", "to"), "cuts")
+
+        arrived = G.nodes(added)
+        known = self.visits_at(arrived).where("pos = 0 AND rep = 0 AND src = node").select("node")
+        fresh = heads(arrived.join(known, "node", "left_anti"), spec)
         turned = F.when(F.col("role") == "hub", "auth").otherwise("hub") if spec.alternating else F.lit("hub")
-        again = cut.where("to IS NOT NULL").select("src", "rep", (F.col("pos") + 1).alias("pos"), F.col("to").alias("node"), turned.alias("role"))
-    grown = save(grow(again.unionByName(fresh), new, spec, epoch), "grown")
-    after = kept.unionByName(grown) if stay is None else kept.unionByName(stay).unionByName(grown)
-    ledger = cut.agg(F.count("*").alias("walks_rerouted")).crossJoin(grown.agg(F.count("*").alias("steps_redone"))).crossJoin(added.agg(F.count("*").alias("edges_added"))).crossJoin(gone.agg(F.count("*").alias("edges_gone")))
-    return after, new, ledger.withColumn("epoch", F.lit(epoch))
+        if reroute == "restart":
+            again = cut.select("src", "rep", F.lit(0).alias("pos"), F.col("src").alias("node"), F.when(F.col("rep") < spec.reps, "hub").otherwise("auth").alias("role"))
+            stay, marks = None, cut.select("src", "rep", F.lit(0).alias("pos"))
+        else:
+            stay = cut.select("src", "rep", "pos", "node", "role", F.col("to").alias("next"), F.when(F.col("to").isNull(), "stuck").alias("ended"), F.lit(epoch).alias("epoch"))
+            again = cut.where("to IS NOT NULL").select("src", "rep", (F.col("pos") + 1).alias("pos"), F.col("to").alias("node"), turned.alias("role"))
+            marks = cut.select("src", "rep", "pos")
+        n_added, n_gone = both.agg(F.count_if(F.col("fresh") == 1), F.count_if(F.col("fresh") == 0)).first()
+        m = self.state["m"] + n_added - n_gone
+        more = {"edges": [self._layer("edges", added.select("src", "dst", "ord", F.lit("+").alias("op"), F.lit(epoch).alias("epoch")).unionByName(gone.select("src", "dst", F.lit(None).cast("long").alias("ord"), F.lit("-").alias("op"), F.lit(epoch).alias("epoch"))))]}
+        new, adjacency = self._with(more["edges"]).edges(), None
+        if not _is_local(new, spec, m):
+            # the touched nodes' slots again, in the order of arrival that a fresh build has
+            if self.state["layers"]["adj"]:
+                listed = G.numbered_within(own.drop("slot").withColumn("one", F.lit(0)), ["node", "role"], "one", ["ord", "to"], None if spec.coin == "portable" else "to")
+                more["adj"] = [self._layer("adj", listed.select(F.col("node").alias("src"), F.col("role").alias("way"), "slot", F.col("to").alias("dst"), F.lit(epoch).alias("epoch")))]
+                more["deg"] = [self._layer("deg", degs.select(F.col("node").alias("src"), F.col("role").alias("way"), F.col("d").alias("deg"), F.lit(epoch).alias("epoch")))]
+            else:
+                whole = tables(new, spec)
+                more["adj"], more["deg"] = [self._layer("adj", whole[0].withColumn("epoch", F.lit(0)))], [self._layer("deg", whole[1].withColumn("epoch", F.lit(0)))]
+            adjacency = self._with(more["adj"], "adj")._with(more["deg"], "deg")._adjacency()
+        grown = save(grow(again.unionByName(fresh), new, spec, epoch, adjacency=adjacency, count=m), "grown")
+        tail = grown if stay is None else stay.unionByName(grown)
+        more |= {"visits": [self._layer("visits", tail.select("src", "rep", "pos", "node", "role", "next", "ended", "epoch"))], "cuts": [self._layer("cuts", marks.withColumn("epoch", F.lit(epoch)))]}
+        if self.state["layers"]["counts"]:
+            walks = cut.select("src", "rep")
+            before = self._count(self.visits().join(walks, ["src", "rep"], "left_semi"), -1)
+            after = self._with(more["visits"], "visits")._with(more["cuts"], "cuts").visits().where("epoch <= %d" % epoch)
+            now = self._count(after.join(walks.union(fresh.select("src", "rep")), ["src", "rep"], "left_semi"))
+            more["counts"] = [self._layer("counts", before.unionByName(now))]
+        row = (epoch, cut.count(), grown.count(), n_added, n_gone, seen.count(), *(gated.agg(F.count("*"), F.count_if("calls")).first() if gated is not None else (None, None)))
+        self._publish(more, epoch=epoch, m=m, batch=batch if batch is not None else self.state["batch"])
+        if len(self.state["layers"]["visits"]) > MOST_LAYERS:
+            self.compact()
+        return self.spark.createDataFrame([row], LOG)
+
+    def _with(self, layers: list, kind: str = "edges") -> WalkStore:
+        """The store as it will be with these layers."""
+        state = self.state | {"layers": self.state["layers"] | {kind: self.state["layers"][kind] + layers}}
+        return WalkStore(self.spark, self.folder, state)
+
+    def compact(self) -> None:
+        """Merges the layers: live visits in buckets, live edges, slots and counts."""
+        layers = {"visits": [self._base(self.visits())], "cuts": [], "edges": [self._layer("edges", self.edges().withColumn("op", F.lit("+")).withColumn("epoch", F.lit(0)))]}
+        if adjacency := self._adjacency():
+            layers |= {"adj": [self._layer("adj", adjacency[0].withColumn("epoch", F.lit(0)))], "deg": [self._layer("deg", adjacency[1].withColumn("epoch", F.lit(0)))]}
+        if self.state["layers"]["counts"]:
+            layers["counts"] = [self._layer("counts", self._read("counts").groupBy("node").agg(*(F.sum(c).alias(c) for c in ("w_segments", "visits", "continuing"))))]
+        self.state = self.state | {"layers": {k: [] for k in KINDS}}
+        self._publish(layers)
+
+    def _gate(self, degs: DataFrame, epoch: int, how: str) -> DataFrame:
+        """``(node, role, calls, picks)``: by the continuing visits V of a source and its share p of new edges, whether any visit switches, and which.
+
+        The first switching visit is geometric in p, and so is the distance to each next one; a first
+        one beyond V means that the store need not be called.
+        """
+        spec = self.spec
+        v = self.visits_counted().join(degs, "node", "right").na.fill(0, ["going"])
+        p = (F.col("d") - F.col("d_surv")) / F.greatest(F.col("d"), F.lit(1))
+        rows = v.select("node", "role", "going", p.alias("p"))
+        if how == "ledger":
+            a, _ = coins.coin(spec.seed, "gate", F.concat_ws(":", F.col("node").cast("string"), "role"), F.lit(epoch), F.lit(0), spec.coin)
+            return rows.select("node", "role", (a < F.floor((1 - F.pow(1 - F.col("p"), F.col("going"))) * coins.FULL)).alias("calls"))
+
+        def skip(batches):
+            for batch in batches:
+                got = {"node": [], "role": [], "picks": []}
+                for node, role, going, p in zip(*(batch.column(c).to_pylist() for c in ("node", "role", "going", "p")), strict=True):
+                    at, picks, toss = -1, [], 0
+                    while p > 0:
+                        a, b = coins.python_coin(spec.seed, "skip", f"{node}:{role}", epoch, toss)
+                        u, toss = (a * coins.FULL + b + 0.5) / coins.FULL**2, toss + 1
+                        at += 1 + (math.floor(math.log(u) / math.log1p(-p)) if p < 1 else 0)
+                        if at >= going:
+                            break
+                        picks.append(at)
+                    for c, x in zip(got, (node, role, picks), strict=True):
+                        got[c].append(x)
+                yield pa.RecordBatch.from_arrays([pa.array(got["node"], pa.int64()), pa.array(got["role"], pa.string()), pa.array(got["picks"], pa.list_(pa.int64()))], names=list(got))
+
+        drawn = rows.repartition("node").mapInArrow(skip, "node long, role string, picks array<long>")
+        return save(drawn.withColumn("calls", F.size("picks") > 0), "gate")
+
+    def visits_counted(self) -> DataFrame:
+        """``(node, going)``: continuing and stuck visits, which are all that can switch. A stuck visit is the last of its walk."""
+        c = self.counters()
+        stuck = self.visits().where("ended = 'stuck'").groupBy("node").agg(F.count("*").alias("stuck"))
+        return c.join(stuck, "node", "left").select("node", (F.col("continuing") + F.coalesce("stuck", F.lit(0))).alias("going"))
+
+    def size(self) -> dict:
+        """What the store takes: live and stored visits, layers, and bytes of the files."""
+        from incwalk.store import _file_system
+
+        fs, place = _file_system(self.spark, self.folder)
+        return {"live_visits": self.visits().count(), "stored_visits": self._read("visits").count(), "layers": len(self.state["layers"]["visits"]), "bytes": fs.getContentSummary(place).getLength()}
 
 
 def counters(visits: DataFrame, edges: DataFrame) -> DataFrame:
-    """``W`` (walks through a node), visits, continuing visits and degrees."""
-    v = visits.groupBy("node").agg(F.count_distinct("src", "rep").alias("w_segments"), F.count("*").alias("visits"), F.count_if(F.col("ended").isNull()).alias("continuing"))
-    return v.join(G.degrees(edges), "node", "full").na.fill(0)
+    """A recount of what ``WalkStore.counters`` keeps up."""
+    return WalkStore._count(visits).join(G.degrees(edges), "node", "full").na.fill(0)
 
 
 def gate(counter: DataFrame) -> DataFrame:
@@ -97,22 +357,23 @@ def whole_history(m: int, batches: int = 6) -> list[int]:
     return [0, *sorted({-(-m >> i) for i in range(batches)})] if m else [0]
 
 
-def replay(edges: DataFrame, spec: Spec, cuts: list[int]) -> DataFrame:
+def in_batches(m: int, first: int, size: int) -> list[int]:
+    """Cuts of the arrivals after ``first`` into batches of ``size``."""
+    return [first, *range(first + size, m, size), m]
+
+
+def replay(edges: DataFrame, spec: Spec, cuts: list[int], gate: str | None = None) -> DataFrame:
     """Builds on the first ``cuts[0]`` arrivals, then applies the others in batches that end at the further cuts; one ledger row a batch, with the bound of the theory."""
     e = save(numbered(edges.select("src", "dst", "ord"), [F.asc("ord"), F.asc("src"), F.asc("dst")], "t"), "history")
-    now = e.where(F.col("t") <= cuts[0]).select("src", "dst", "ord")
-    from incwalk.plans.walks import build_store
-
-    visits, out = save(build_store(now, spec), "visits"), None
-    n = G.nodes(edges).count()
-    for epoch, (a, b) in enumerate(zip(cuts, cuts[1:], strict=False), 1):
+    store = WalkStore.create(e.where(F.col("t") <= cuts[0]).select("src", "dst", "ord"), spec)
+    n, out = G.nodes(edges).count(), None
+    for a, b in zip(cuts, cuts[1:], strict=False):
         batch = e.where((F.col("t") > a) & (F.col("t") <= b)).select(F.lit("+").alias("op"), "src", "dst", "ord")
-        visits, now, ledger = apply_changes(visits, now, batch, spec, epoch)
-        visits = save(visits, "visits")
+        ledger = store.apply(batch, gate=gate)
         bound = n * spec.reps / spec.eps**2 * (theory.harmonic(b) - theory.harmonic(a)) * (16 if spec.alternating else 1)
-        row = ledger.select("epoch", F.lit(a).alias("from_t"), F.lit(b).alias("to_t"), "walks_rerouted", "steps_redone", F.lit(round(bound, 3)).alias("bound_steps"))
+        row = ledger.select("epoch", F.lit(a).alias("from_t"), F.lit(b).alias("to_t"), "walks_rerouted", "steps_redone", F.lit(round(bound, 3)).alias("bound_steps"), "visits_read")
         out = row if out is None else out.unionByName(row)
-    return out
+    return out if out is not None else edges.sparkSession.createDataFrame([], "epoch int, from_t int, to_t int, walks_rerouted long, steps_redone long, bound_steps double, visits_read long")
 
 
 def update_sql(edges_sql: str, changes_sql: str, spec: Spec, epoch: int = 1, restart: bool = False) -> str:

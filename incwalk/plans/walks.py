@@ -1,7 +1,7 @@
 """The walk store: segments from every node until their first reset, in long form.
 
-A visit is ``(src, rep, pos, node, role, ended, epoch)``: walk ``rep`` of node ``src`` stands at
-``node`` as its ``pos``-th visit. ``ended`` is ``reset``, ``stuck`` (survived its coin where there
+A visit is ``(src, rep, pos, node, role, next, ended, epoch)``: walk ``rep`` of node ``src`` stands
+at ``node`` as its ``pos``-th visit and goes on to ``next``. ``ended`` is ``reset``, ``stuck`` (survived its coin where there
 is no edge) or null. Role ``hub`` flips the reset coin and steps forward; role ``auth``, in
 alternating walks only, steps back without a coin. Two engines take the same walks by the same
 coins: ``rounds`` joins the frontier with the slot table, several steps a job; ``local`` walks in
@@ -23,8 +23,10 @@ from incwalk.store import save
 
 #: Edges that the local engine may broadcast: 16 bytes each, twice for alternating walks.
 LOCAL_EDGES = 2_000_000
-VISIT = "src long, rep int, pos int, node long, role string, ended string, epoch int"
-_ARROW = pa.schema([("src", pa.int64()), ("rep", pa.int32()), ("pos", pa.int32()), ("node", pa.int64()), ("role", pa.string()), ("ended", pa.string()), ("epoch", pa.int32())])
+#: Live walks up to which a round picks the rows of the slot table by the nodes it stands at.
+SMALL_FRONTIER = 200_000
+VISIT = "src long, rep int, pos int, node long, role string, next long, ended string, epoch int"
+_ARROW = pa.schema([("src", pa.int64()), ("rep", pa.int32()), ("pos", pa.int32()), ("node", pa.int64()), ("role", pa.string()), ("next", pa.int64()), ("ended", pa.string()), ("epoch", pa.int32())])
 
 
 @dataclass(frozen=True)
@@ -53,12 +55,19 @@ def heads(nodes: DataFrame, spec: Spec) -> DataFrame:
     return h.select("src", "rep", F.lit(0).alias("pos"), F.col("src").alias("node"), F.when(F.col("rep") < spec.reps, "hub").otherwise("auth").alias("role"))
 
 
-def grow(start: DataFrame, edges: DataFrame, spec: Spec, epoch: int = 0, tag: str = "build") -> DataFrame:
-    """All visits from the heads on, the heads' own included."""
-    engine = spec.engine
-    if engine == "auto":
-        engine = "local" if edges.count() <= LOCAL_EDGES and spec.coin == "portable" else "rounds"
-    return _grow_local(start, edges, spec, epoch, tag) if engine == "local" else _grow_rounds(start, edges, spec, epoch, tag)
+def grow(start: DataFrame, edges: DataFrame, spec: Spec, epoch: int = 0, tag: str = "build", adjacency: tuple[DataFrame, DataFrame] | None = None, count: int | None = None) -> DataFrame:
+    """All visits from the heads on, the heads' own included. ``adjacency``: slot and degree tables, and ``count``: the number of edges, where they are at hand."""
+    if _is_local(edges, spec, count):
+        return _grow_local(start, edges, spec, epoch, tag)
+    return _grow_rounds(start, adjacency or tables(edges, spec), spec, epoch, tag)
+
+
+def _is_local(edges: DataFrame, spec: Spec, count: int | None = None) -> bool:
+    if spec.engine != "auto":
+        if spec.engine == "local" and (count if count is not None else edges.count()) > 4 * LOCAL_EDGES:
+            raise ValueError("too many edges to broadcast; use engine='rounds' or 'auto'")
+        return spec.engine == "local"
+    return spec.coin == "portable" and (count if count is not None else edges.count()) <= LOCAL_EDGES
 
 
 def _step(frontier: DataFrame, adj: DataFrame, deg: DataFrame, spec: Spec, epoch: int, tag: str) -> DataFrame:
@@ -68,12 +77,12 @@ def _step(frontier: DataFrame, adj: DataFrame, deg: DataFrame, spec: Spec, epoch
     key = [F.when(live, F.col("node")).alias("node_key"), "*"]
     x = frontier.select(*key).join(deg.select(F.col("src").alias("node_key"), F.col("way").alias("role"), "deg"), ["node_key", "role"], "left")
     stop = F.when(~live, F.col("ended")).when((F.col("role") == "hub") & (a < coins.threshold(spec.eps)), F.lit("reset")).when(F.col("deg").isNull(), F.lit("stuck"))
-    visit = F.struct("pos", "node", "role", stop.alias("ended"))
-    x = x.select("src", "rep", "pos", "node", "role", F.when(live, F.array_append("path", visit)).otherwise(F.col("path")).alias("path"), stop.alias("ended"), F.when(stop.isNull(), coins.slot(b, F.col("deg"))).alias("slot"))
-    x = x.join(adj.select(F.col("src").alias("node"), F.col("way").alias("role"), "slot", "dst"), ["node", "role", "slot"], "left")
+    x = x.select("src", "rep", "pos", "node", "role", "path", live.alias("live"), stop.alias("ended"), F.when(stop.isNull(), coins.slot(b, F.col("deg"))).alias("slot"))
+    x = x.join(adj.select(F.col("src").alias("node"), F.col("way").alias("role"), "slot", F.col("dst").alias("next")), ["node", "role", "slot"], "left")
+    visit = F.struct("pos", "node", "role", "next", "ended")
     moved = F.col("ended").isNull()
     turned = F.when(F.col("role") == "hub", "auth").otherwise("hub") if spec.alternating else F.lit("hub")
-    return x.select("src", "rep", F.when(moved, F.col("pos") + 1).otherwise(F.col("pos")).alias("pos"), F.when(moved, F.col("dst")).otherwise(F.col("node")).alias("node"), F.when(moved, turned).otherwise(F.col("role")).alias("role"), "path", "ended")
+    return x.select("src", "rep", F.when(moved, F.col("pos") + 1).otherwise(F.col("pos")).alias("pos"), F.when(moved, F.col("next")).otherwise(F.col("node")).alias("node"), F.when(moved, turned).otherwise(F.col("role")).alias("role"), F.when(F.col("live"), F.array_append("path", visit)).otherwise(F.col("path")).alias("path"), "ended")
 
 
 def both_ways(edges: DataFrame, spec: Spec) -> tuple[DataFrame, DataFrame]:
@@ -85,17 +94,26 @@ def both_ways(edges: DataFrame, spec: Spec) -> tuple[DataFrame, DataFrame]:
     return adj, adj.groupBy("src", "way").agg(F.count("*").alias("deg"))
 
 
-def _grow_rounds(start, edges, spec, epoch, tag) -> DataFrame:
+def tables(edges: DataFrame, spec: Spec) -> tuple[DataFrame, DataFrame]:
     adj, deg = both_ways(edges, spec)
-    adj, deg = save(adj, "adj"), save(deg, "deg")
-    empty = F.array().cast("array<struct<pos:int,node:bigint,role:string,ended:string>>")
-    frontier, out = start.select("src", "rep", "pos", "node", "role"), None
+    return save(adj.select("src", "way", "slot", "dst"), "adj"), save(deg, "deg")
+
+
+def _grow_rounds(start, adjacency, spec, epoch, tag) -> DataFrame:
+    """A small frontier first picks the rows of the tables that it can need, by semi joins that its size lets Spark broadcast, so that a repair of few walks shuffles no whole graph."""
+    empty = F.array().cast("array<struct<pos:int,node:bigint,role:string,next:bigint,ended:string>>")
+    frontier, out = save(start.select("src", "rep", "pos", "node", "role"), "frontier"), None
     while True:
+        few = frontier.count() <= SMALL_FRONTIER
         x = frontier.select("*", empty.alias("path"), F.lit(None).cast("string").alias("ended"))
-        for _ in range(spec.fuse):
+        for _ in range(1 if few else spec.fuse):
+            adj, deg = adjacency
+            if few:
+                here = frontier.select(F.col("node").alias("src"), F.col("role").alias("way")).distinct()
+                adj, deg = adj.join(here, ["src", "way"], "left_semi"), deg.join(here, ["src", "way"], "left_semi")
             x = _step(x, adj, deg, spec, epoch, tag)
         x = save(x, "frontier")
-        visits = x.select("src", "rep", F.explode("path").alias("v")).select("src", "rep", "v.pos", "v.node", "v.role", "v.ended", F.lit(epoch).alias("epoch"))
+        visits = x.select("src", "rep", F.explode("path").alias("v")).select("src", "rep", "v.pos", "v.node", "v.role", "v.next", "v.ended", F.lit(epoch).alias("epoch"))
         out = visits if out is None else out.unionByName(visits)
         frontier = x.where("ended IS NULL").select("src", "rep", "pos", "node", "role")
         if frontier.isEmpty():
@@ -138,10 +156,11 @@ def _grow_local(start, edges, spec, epoch, tag) -> DataFrame:
                     a, b = coins.python_coin(seed, tag, f"{src}:{rep}", epoch, pos)
                     deg = g.degree(node, role)
                     ended = "reset" if role == "hub" and a < stop_below else "stuck" if not deg else None
-                    rows.append((src, rep, pos, node, role, ended, epoch))
+                    to = None if ended else g.target(node, b * deg >> 32, role)
+                    rows.append((src, rep, pos, node, role, to, ended, epoch))
                     if ended:
                         break
-                    node = g.target(node, b * deg >> 32, role)
+                    node = to
                     pos, role = pos + 1, ("auth" if role == "hub" else "hub") if alternating else "hub"
             yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], f.type) for i, f in enumerate(_ARROW)], schema=_ARROW)
 

@@ -83,10 +83,13 @@ def handoff_t(spark, sf_dir):
 
 
 def words(spark, sf_dir):
+    """Words in order as strings first: pairs are counted by string, and each distinct word is hashed once."""
     d = table(spark, sf_dir, "documents").select("doc_id", F.regexp_extract_all(F.lower("text"), F.lit(r"([a-zà-ÿ]+)"), 1).alias("w"))
-    pairs = F.arrays_zip(F.slice("w", 1, F.greatest(F.size("w") - 1, F.lit(0))).alias("a"), F.slice("w", 2, F.greatest(F.size("w") - 1, F.lit(0))).alias("b"))
-    rows = d.where(F.size("w") > 1).select("doc_id", F.posexplode(pairs).alias("pos", "p"))
-    return dedup(rows.select(text_id(F.col("p")["0"] if "0" in rows.schema["p"].dataType.names else F.col("p")["a"]).alias("src"), text_id(F.col("p")["1"] if "1" in rows.schema["p"].dataType.names else F.col("p")["b"]).alias("dst"), (F.col("doc_id") * 1_000_000 + F.col("pos")).alias("ord")))
+    # exploded once, with the word after it beside each word
+    rows = d.where(F.size("w") > 1).select("doc_id", F.posexplode(F.expr("transform(w, (x, i) -> struct(x AS a, get(w, i + 1) AS b))")).alias("pos", "p")).where("p.b IS NOT NULL AND p.a <> p.b")
+    pairs = rows.groupBy(F.col("p.a").alias("a"), F.col("p.b").alias("b")).agg(F.min(F.col("doc_id") * 1_000_000 + F.col("pos")).alias("ord"), F.count("*").alias("mult"))
+    e = pairs.select(text_id(F.col("a")).alias("src"), text_id(F.col("b")).alias("dst"), "ord", "mult").where("src <> dst")
+    return e.groupBy("src", "dst").agg(F.min("ord").alias("ord"), F.sum("mult").alias("mult"))
 
 
 def links(spark, sf_dir):

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+import weakref
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -13,10 +14,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir``; a folder of our own only where that is unset."""
+    """``spark.checkpoint.dir``; a folder of our own only where that is unset and the session is local, as in tests."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if root:
         return root
+    if not spark.conf.get("spark.master", "local").startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
     own = spark.conf.get("spark.incwalk.graph.scratch", None)
     if not own:
         own = tempfile.mkdtemp(prefix="incwalk-graph-")
@@ -24,11 +27,56 @@ def scratch_root(spark: SparkSession) -> str:
     return own
 
 
-def save(df: DataFrame, name: str) -> DataFrame:
+def fresh_path(spark: SparkSession, name: str) -> str:
+    return f"{scratch_root(spark)}/incwalk-graph/{name}-{uuid.uuid4().hex}"
+
+
+def save(df: DataFrame, name: str, path: str | None = None, partition_by: list[str] | None = None) -> DataFrame:
     """Writes a table once and reads it back: cuts lineage between rounds and survives lost executors."""
-    path = f"{scratch_root(df.sparkSession)}/incwalk-graph/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    path = path or fresh_path(df.sparkSession, name)
+    writer = df.write.partitionBy(*partition_by) if partition_by else df.write
+    writer.parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    _PATHS[out] = path
+    return out
+
+
+#: Where saved tables lie; a table that is no longer referred to is forgotten, not deleted.
+_PATHS: weakref.WeakKeyDictionary = weakref.WeakKeyDictionary()
+
+
+def _file_system(spark: SparkSession, path: str):
+    place = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return place.getFileSystem(spark._jsc.hadoopConfiguration()), place
+
+
+def discard(*tables: DataFrame | None) -> None:
+    """Deletes saved tables that nothing reads any more: those of earlier rounds of a loop."""
+    for df in tables:
+        if df is not None and (path := _PATHS.pop(df, None)):
+            fs, place = _file_system(df.sparkSession, path)
+            fs.delete(place, True)
+
+
+def publish(spark: SparkSession, path: str, text: str) -> None:
+    """Writes a small text whole or not at all: under another name, then renamed."""
+    fs, place = _file_system(spark, path)
+    _, draft = _file_system(spark, f"{path}.{uuid.uuid4().hex}.draft")
+    out = fs.create(draft, True)
+    out.write(bytearray(text.encode()))
+    out.close()
+    if fs.exists(place):
+        fs.delete(place, False)
+    if not fs.rename(draft, place):
+        raise OSError(f"could not publish {path}")
+
+
+def published(spark: SparkSession, folder: str, prefix: str) -> str | None:
+    """The text of the last file of that prefix, by name; None where there is none."""
+    fs, place = _file_system(spark, folder)
+    names = sorted(s.getPath().getName() for s in fs.listStatus(place)) if fs.exists(place) else []
+    names = [n for n in names if n.startswith(prefix) and not n.endswith(".draft")]
+    return "\n".join(r["value"] for r in spark.read.text(f"{folder}/{names[-1]}").collect()) if names else None
 
 
 def plan_bytes(df: DataFrame) -> int:

@@ -5,25 +5,23 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from incwalk.plans.update import apply_changes
-from incwalk.plans.walks import Spec
-from incwalk.store import save
+from incwalk.plans.update import WalkStore
 
 
 class Maintainer:
-    """State of a maintained store. ``on_batch`` is for ``foreachBatch``: a batch id that was applied before is skipped, so a restart repeats nothing."""
+    """Keeps a walk store up with a stream. ``on_batch`` is for ``foreachBatch``.
 
-    def __init__(self, visits: DataFrame, edges: DataFrame, spec: Spec):
-        self.visits, self.edges, self.spec, self.epoch, self.applied, self.ledgers = visits, edges, spec, 0, set(), []
+    The store's manifest, written after all of a batch, names the last batch applied: one that is
+    sent again is skipped, by this driver or by another that opened the same folder.
+    """
+
+    def __init__(self, store: WalkStore, gate: str | None = None):
+        self.store, self.gate = store, gate
 
     def on_batch(self, changes: DataFrame, batch_id: int) -> None:
-        if batch_id in self.applied or changes.isEmpty():
-            return
-        self.epoch += 1
-        visits, edges, ledger = apply_changes(self.visits, self.edges, save(changes.select("op", "src", "dst", "ord"), "changes"), self.spec, self.epoch)
-        self.visits, self.edges = save(visits, "visits"), save(edges, "edges")
-        self.ledgers.append(ledger.withColumn("batch", F.lit(batch_id)))
-        self.applied.add(batch_id)
+        done = self.store.state["batch"]
+        if done is None or batch_id > done:
+            self.store.apply(changes, gate=self.gate, batch=batch_id)
 
 
 def maintain_stream(source: DataFrame, state: Maintainer, checkpoint: str):

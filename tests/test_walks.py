@@ -39,7 +39,9 @@ def test_arrival_keeps_the_law(spark, tri):
     before = tri.where("ord < 5")
     ch = spark.createDataFrame([("+", 0, 2, 5)], "op string, src long, dst long, ord long")
     spec = Spec(reps=4000)
-    v, e, ledger = update.apply_changes(build_store(before, spec), before, ch, spec, 1)
+    store = update.WalkStore.create(before, spec)
+    ledger = store.apply(ch)
+    v, e = store.visits(), store.edges()
     share = {r["node"]: r["count"] * 0.2 / 12000 for r in v.groupBy("node").count().collect()}
     assert share[0] == pytest.approx(0.4286, abs=0.012) and share[1] == pytest.approx(0.2381, abs=0.012)
     assert e.count() == 5 and ledger.first()["walks_rerouted"] > 0
@@ -52,17 +54,22 @@ def test_deletion_of_last_edge_sticks(spark):
     e = spark.createDataFrame([(0, 1, 1)], "src long, dst long, ord long")
     spec = Spec(reps=50)
     ch = spark.createDataFrame([("-", 0, 1, 9), ("-", 5, 6, 9)], "op string, src long, dst long, ord long")
-    v, new, _ = update.apply_changes(build_store(e, spec), e, ch, spec, 1)
-    assert new.count() == 0 and all(len(r["path"]) == 1 for r in segments(v).collect())
+    store = update.WalkStore.create(e, spec)
+    store.apply(ch)
+    assert store.edges().count() == 0 and all(len(r["path"]) == 1 for r in segments(store.visits()).collect())
 
 
 def test_maintainer_skips_repeated_batches(spark, tri):
     spec = Spec(reps=3)
-    m = Maintainer(build_store(tri, spec), tri, spec)
+    m = Maintainer(update.WalkStore.create(tri, spec))
     ch = spark.createDataFrame([("+", 2, 1, 6)], "op string, src long, dst long, ord long")
     m.on_batch(ch, 0)
     m.on_batch(ch, 0)
-    assert m.epoch == 1 and m.edges.count() == 6
+    assert m.store.epoch == 1 and m.store.edges().count() == 6
+    other = Maintainer(update.WalkStore.open(spark, m.store.folder))  # another driver goes on
+    other.on_batch(ch, 0)
+    other.on_batch(spark.createDataFrame([("-", 2, 1, 7)], "op string, src long, dst long, ord long"), 1)
+    assert other.store.epoch == 2 and other.store.edges().count() == 5 and update.WalkStore.open(spark, m.store.folder).epoch == 2
 
 
 @pytest.mark.parametrize("policy", ["lazy", "once", "literal"])
