@@ -32,6 +32,7 @@ def _grid(spark, sql):
 
 R.add("rem2_numbers", lambda s, d: _grid(s, "SELECT round(walk_length(1e8, 100, 5, 0.75), 4) AS steps, round(topk_fetch_bound(100, 10, 5, 0.75), 6) AS fetches, round(fetch_bound(1e8, 10, 0.75, walk_length(1e8, 100, 5, 0.75)), 6) AS fetches_of_length"), "WITH s AS (SELECT 5 / 0.25::DOUBLE * 100 * pow(1e8::DOUBLE / 100, 0.25) AS s) SELECT round(s, 4) AS steps, round(1 + pow(5::DOUBLE, 1 / 0.75::DOUBLE) * 100 / (0.25 * pow(5::DOUBLE, 1 / 0.75::DOUBLE - 1)), 6) AS fetches, round(1 + pow(2 * 0.25::DOUBLE / (1e8::DOUBLE * 10), 1 / 0.75::DOUBLE - 1) * pow(s, 1 / 0.75::DOUBLE), 6) AS fetches_of_length FROM s")
 _FB = "SELECT CAST(s AS BIGINT) AS s, CAST(r AS INT) AS r, CAST(a AS DOUBLE) AS alpha, round({f}, 6) AS bound FROM (VALUES (100), (200), (500), (1000), (2000), (5000), (10000), (20000), (50000)) AS x(s), (VALUES (5), (10), (20)) AS y(r), (VALUES (0.6), (0.77), (0.9), (1.1)) AS z(a)"
+_TAU = "SELECT CAST(s AS BIGINT) AS s, CAST(r AS INT) AS r, CAST(a AS DOUBLE) AS alpha, round({f}, 6) AS tau FROM (VALUES (100), (1000), (10000), (50000)) AS x(s), (VALUES (5), (10), (20)) AS y(r), (VALUES (0.6), (0.77), (0.9)) AS z(a)"
 R.add("fetch_bound_grid", lambda s, d: _grid(s, _FB.format(f="fetch_bound(1500, r, a, s)")), _FB.format(f="CASE WHEN a < 1 THEN 1 + pow(2 * (1 - a::DOUBLE) / (1500::DOUBLE * r), 1 / a::DOUBLE - 1) * pow(s::DOUBLE, 1 / a::DOUBLE) END"))
 _TK = "SELECT CAST(k AS INT) AS k, CAST(r AS INT) AS r, CAST(a AS DOUBLE) AS alpha, round({f}, 6) AS bound FROM (VALUES (10), (100), (1000)) AS x(k), (VALUES (5), (10), (20)) AS y(r), (VALUES (0.5), (0.75), (0.9)) AS z(a)"
 R.add("topk_bound_grid", lambda s, d: _grid(s, _TK.format(f="topk_fetch_bound(k, r, 5, a)")), _TK.format(f="1 + pow(5::DOUBLE, 1 / a::DOUBLE) * k / ((1 - a::DOUBLE) * pow(r::DOUBLE / 2, 1 / a::DOUBLE - 1))"))
@@ -65,8 +66,10 @@ def cost_table(spark, sf_dir):
 _Q = 1 / math.log(1 / 0.8)
 R.add("cost_table", cost_table, "WITH g AS (" + " UNION ALL ".join(f"SELECT '{g}' AS graph, count(DISTINCT node) AS n, (SELECT count(*) FROM ({edges_sql(g)})) AS m FROM (SELECT src AS node FROM ({edges_sql(g)}) UNION ALL SELECT dst FROM ({edges_sql(g)}))" for g in ("cobuy", "buys", "handoff")) + f") SELECT graph, n, m, round(m::DOUBLE * m / 2 * {_Q!r}::DOUBLE, 2) AS power, round(m::DOUBLE * n / 0.2, 2) AS monte_carlo, round(n::DOUBLE / 0.04 * (ln(m) + 1), 2) AS incremental, round(m::DOUBLE * m / {math.sqrt(0.2)!r}::DOUBLE, 2) AS scan_stitching FROM g")
 R.add("choose_r_table", lambda s, d: s.createDataFrame([(r, n, theory.choose_r(n, 0.2, r)) for r in ("one", "log", "fetch", "level") for n in (1000, 10**6, 10**9)], "rule string, n long, r long"), "SELECT rule, n::BIGINT AS n, CASE rule WHEN 'one' THEN 1 WHEN 'log' THEN ceil(ln(n / 0.2)) WHEN 'fetch' THEN floor(ln(n)) + 1 ELSE ceil(ln(n)) END::BIGINT AS r FROM (VALUES ('one'), ('log'), ('fetch'), ('level')) a(rule), (VALUES (1000), (1000000), (1000000000)) b(n)")
-R.add("update_bounds", lambda s, d: s.createDataFrame([(m, round(theory.update_bound(1500, 2, 0.2, 50_000, m), 3)) for m in ("random", "alternating", "dirichlet", "deletion")], "model string, steps double"), "WITH h AS (SELECT sum(1 / t::DOUBLE) AS h FROM range(1, 50001) x(t)) SELECT m AS model, round(CASE m WHEN 'random' THEN 75000 * h WHEN 'alternating' THEN 1200000 * h WHEN 'dirichlet' THEN 75000 * ln(51500 / 1500::DOUBLE) ELSE 75000 / 50000::DOUBLE END, 3) AS steps FROM h, (VALUES ('random'), ('alternating'), ('dirichlet'), ('deletion')) v(m)")
-R.add("tail_bounds", lambda s, d: s.createDataFrame([(x, round(theory.tail_constant(x, 0.2), 9)) for x in (0.1, 0.25, 0.5, 1.0, 2.0)], "delta double, exponent double"), "SELECT delta, round(greatest(0, max(t * (1 + delta) + 1 - 0.2::DOUBLE * exp(t * 0.2::DOUBLE) / (1 - 0.8::DOUBLE * exp(t * 0.2::DOUBLE)))), 9) AS exponent FROM (SELECT -ln(0.8::DOUBLE) / 0.2::DOUBLE * i / 2000 AS t FROM range(1, 2000) r(i)), (SELECT unnest([0.1, 0.25, 0.5, 1.0, 2.0])::DOUBLE AS delta) GROUP BY delta")
+R.add("update_bounds", lambda s, d: s.createDataFrame([(m, round(theory.update_bound(1500, 2, 0.2, 50_000, m), 3)) for m in ("random", "alternating", "dirichlet", "deletion", "initial", "paid_gate")], "model string, steps double"), "WITH h AS (SELECT sum(1 / t::DOUBLE) AS h FROM range(1, 50001) x(t)) SELECT m AS model, round(CASE m WHEN 'random' THEN 75000 * h WHEN 'alternating' THEN 1200000 * h WHEN 'dirichlet' THEN 75000 * ln(51500 / 1500::DOUBLE) WHEN 'deletion' THEN 75000 / 50000::DOUBLE WHEN 'initial' THEN 1500 * 2 / 0.2::DOUBLE ELSE 50000 + 75000 * h END, 3) AS steps FROM h, (VALUES ('random'), ('alternating'), ('dirichlet'), ('deletion'), ('initial'), ('paid_gate')) v(m)")
+R.add("initial_share", lambda s, d: s.createDataFrame([(m, round(theory.update_bound(1500, 2, 0.2, m, "initial") / theory.update_bound(1500, 2, 0.2, m), 9)) for m in (10, 1000, 100_000)], "m long, share double"), "SELECT m::BIGINT AS m, round(0.2 / (SELECT sum(1 / t::DOUBLE) FROM range(1, 100001) x(t) WHERE t <= m), 9) AS share FROM (VALUES (10), (1000), (100000)) v(m)")
+R.add("fetch_ranks", lambda s, d: _grid(s, _TAU.format(f="fetch_rank(1500, r, a, s)")), _TAU.format(f="pow(1 - a::DOUBLE, 1 / a::DOUBLE) / pow(1500::DOUBLE, 1 / a::DOUBLE - 1) * pow(2 * s::DOUBLE / r, 1 / a::DOUBLE)"))
+R.add("tail_bounds", lambda s, d: s.createDataFrame([(x, round(theory.tail_constant(x, 0.2), 9), round(theory.lower_tail_constant(x, 0.2), 9) if x < 1 else None) for x in (0.1, 0.25, 0.5, 1.0, 2.0)], "delta double, exponent double, lower_exponent double"), "SELECT delta, round(greatest(0, max(t * (1 + delta) + 1 - 0.2::DOUBLE * exp(t * 0.2::DOUBLE) / (1 - 0.8::DOUBLE * exp(t * 0.2::DOUBLE)))), 9) AS exponent, CASE WHEN delta < 1 THEN round(greatest(0, max(1 - 0.2::DOUBLE * exp(-u * 0.2::DOUBLE) / (1 - 0.8::DOUBLE * exp(-u * 0.2::DOUBLE)) - u * (1 - delta))), 9) END AS lower_exponent FROM (SELECT -ln(0.8::DOUBLE) / 0.2::DOUBLE * i / 2000 AS t, 20 * i / 2000::DOUBLE AS u FROM range(1, 2000) r(i)), (SELECT unnest([0.1, 0.25, 0.5, 1.0, 2.0])::DOUBLE AS delta) GROUP BY delta")
 
 
 # statistics of arrivals
@@ -176,32 +179,37 @@ def interpolated_precision(found, truth, retrieved, relevant):
     return every.join(best, ["seed", "level"], "left").groupBy("level").agg(F.avg(F.coalesce("p", F.lit(0.0))).alias("precision"))
 
 
-def exp_w06(spark, sf_dir, short=1000, long=10_000, how_many=10):
+def exp_w06(spark, sf_dir, short=5000, long=50_000, how_many=100, retrieved=1000, relevant=100):
     spec = Spec(reps=5, seed=6)
     e = _e(spark, sf_dir, "cobuy")
     v, seeds = save(build_store(e, spec), "visits"), save(personal.pick_seeds(e, how_many), "seeds")
-    few = personal.exclude_known(personal.frequencies(personal.stitched_walk(v, e, seeds, short, spec)), e)
-    many = personal.exclude_known(personal.frequencies(personal.stitched_walk(v, e, seeds, long, Spec(reps=5, seed=7))), e)
-    return interpolated_precision(few, many, 200, 20)
+    few = personal.exclude_known(personal.frequencies(save(personal.waves(v, e, seeds, short, spec), "walk")), e)
+    many = personal.exclude_known(personal.frequencies(save(personal.waves(v, e, seeds, long, Spec(reps=5, seed=7)), "walk")), e)
+    return interpolated_precision(few, many, retrieved, relevant)
 
 
 R.add("exp_w06", exp_w06)
 R.add("iap_curve", exp_w06)
+LENGTHS = (100, 200, 500, 1000, 2000, 5000, 10_000, 20_000, 50_000)
 
 
-def exp_w07(spark, sf_dir):
-    """Mean fetches at growing lengths for R of 5, 10 and 20, against the summed and the raw bound."""
+def exp_w07(spark, sf_dir, how_many=100):
+    """Mean fetches at growing lengths, prefixes of one walk a seed, for R of 5, 10 and 20; beside them the raw charge (visits beyond R, summed over nodes), the summed bound and the closed one, which is null where the fitted exponent is none of the model's."""
     e = _e(spark, sf_dir, "cobuy")
-    seeds, out = save(personal.pick_seeds(e, 10), "seeds"), None
+    seeds, out = save(personal.pick_seeds(e, how_many), "seeds"), None
     pi = save(exact.power_iteration(e, rounds=10, seeds=seeds), "pi")
+    n, alpha = G.nodes(e).count(), personal.fitted_alpha(e, seeds)
+    lengths = F.explode(F.array(*(F.lit(s) for s in LENGTHS))).alias("s")
     for r in (5, 10, 20):
         spec = Spec(reps=r, seed=8)
-        w = save(personal.stitched_walk(build_store(e, spec), e, seeds, 5000, spec), "walk")
-        for s in (100, 500, 1000, 5000):
-            seen = w.where(F.col("pos") < s).groupBy("seed").agg(F.max("fetches").alias("f")).agg(F.avg("f").alias("fetches"))
-            bound = pi.groupBy("seed").agg((1 + F.coalesce(F.sum(F.when(F.col("score") * s > r / 2, F.col("score") * s)), F.lit(0.0))).alias("b")).agg(F.avg("b").alias("bound"))
-            row = seen.crossJoin(bound).select(F.lit(r).alias("r"), F.lit(s).alias("s"), "fetches", "bound")
-            out = row if out is None else out.unionByName(row)
+        w = save(personal.fetched(personal.waves(build_store(e, spec), e, seeds, max(LENGTHS), spec)).select("seed", "pos", "node", "fetches"), "walk")
+        upto = save(w.select("*", lengths).where("pos < s").groupBy("s", "seed", "node").agg(F.count("*").alias("x"), F.max("fetches").alias("f")), "prefixes")
+        seen = upto.groupBy("s", "seed").agg(F.max("f").alias("f"), F.sum(F.greatest(F.col("x") - r, F.lit(0))).alias("raw")).groupBy("s").agg(F.avg("f").alias("fetches"), F.avg("raw").alias("raw_charge"))
+        sums = pi.select("seed", "score", lengths).groupBy("s", "seed").agg((1 + F.sum(F.when(F.col("score") * F.col("s") > r / 2, F.col("score") * F.col("s")).otherwise(0.0))).alias("b")).groupBy("s").agg(F.avg("b").alias("summed_bound"))
+        closed = F.expr(f"CASE WHEN {alpha!r} > 0 AND {alpha!r} < 1 THEN fetch_bound({n}, {r}, {alpha!r}, s) END") if alpha is not None else F.lit(None).cast("double")
+        theory.register(spark)
+        row = seen.join(sums, "s").select(F.lit(r).alias("r"), "s", "fetches", "raw_charge", "summed_bound", closed.alias("closed_bound"))
+        out = row if out is None else out.unionByName(row)
     return out
 
 
@@ -211,33 +219,38 @@ R.add("fetch_bound_summed", lambda s, d: (lambda e: exact.power_iteration(e, rou
 
 
 # link prediction
-def link_prediction(spark, sf_dir, name="buys", rounds=4, tops=(100, 1000), how_many=40):
-    """Mean number of a user's later links among the top of each method's list; hub side predicts, known links are left out."""
+def link_prediction(spark, sf_dir, name="buys", rounds=10, tops=(100, 1000)):
+    """Mean number of a user's later links among the top of each method's list, over all users who qualify; hub side predicts, known links are left out. ``random`` is the expectation of a list drawn at random."""
     old, new = _snapshots(_e(spark, sf_dir, name))
     popular = old.groupBy("dst").agg(F.count("*").alias("links")).where("links >= 10")
     later = new.join(popular, "dst", "left_semi").select(F.col("src").alias("seed"), F.col("dst").alias("node"))
     grown = later.groupBy("seed").agg(F.count("*").alias("more"))
     seeds = old.groupBy(F.col("src").alias("seed")).agg(F.count("*").alias("friends")).join(grown, "seed")
     seeds = seeds.where((F.col("friends").between(20, 30)) & (F.col("more") >= 0.5 * F.col("friends")) & (F.col("more") <= F.col("friends")))
-    seeds = save(seeds.orderBy(F.md5(F.col("seed").cast("string")), "seed").limit(how_many).select("seed"), "seeds")
+    seeds = save(seeds.select("seed", "friends", "more"), "users")
+    known, links = seeds, personal.top(popular.select(F.lit(0).alias("seed"), F.col("dst").alias("node"), F.col("links").alias("score")), max(tops) + 30)
+    targets = popular.count()
+    seeds = save(seeds.select("seed"), "seeds")
     hits_of = save(exact.alternating_iteration(old, rounds=rounds, seeds=seeds, divide=False), "hits")
     lists = {
         "pagerank": exact.power_iteration(old, rounds=rounds, seeds=seeds, dangling="seed").select("seed", "node", "score"),
         "alternating": exact.alternating_iteration(old, rounds=rounds, seeds=seeds).select("seed", "node", F.col("auth").alias("score")),
         "hits": hits_of.select("seed", "node", F.col("auth").alias("score")),
         "cosine": exact.cosine_authorities(old, exact.cosine_hubs(old, seeds)).select("seed", "node", F.col("auth").alias("score")),
-        "popularity": seeds.crossJoin(popular.select(F.col("dst").alias("node"), F.col("links").cast("double").alias("score"))),
+        # the most popular once, as many as a list and a user's known links together: the rest can't come up
+        "popularity": seeds.crossJoin(F.broadcast(links.select("node", F.col("score").cast("double").alias("score")))),
     }
     out = None
     for method, x in lists.items():
         best = save(personal.top(personal.exclude_known(x.where("score > 0"), old), max(tops)), method).join(later, ["seed", "node"], "left_semi")
         row = seeds.join(best, "seed", "left").agg(*((F.sum(F.when(F.col("rank") <= k, 1).otherwise(0)) / F.count_distinct("seed")).alias(f"top_{k}") for k in tops)).withColumn("method", F.lit(method))
         out = row if out is None else out.unionByName(row)
-    return out
+    chance = known.agg(*(F.avg(F.col("more") * F.least(F.lit(1.0), k / (targets - F.col("friends")))).alias(f"top_{k}") for k in tops)).withColumn("method", F.lit("random"))
+    return out.unionByName(chance)
 
 
 R.add("exp_w08", link_prediction)
-R.add("captured_links", lambda s, d: link_prediction(s, d, "cobuy", tops=(20, 100), how_many=20))
+R.add("captured_links", lambda s, d: link_prediction(s, d, "cobuy", tops=(20, 100)))
 
 
 # maintenance

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from incwalk.functions import theory
 from incwalk.operators.registry_of import Registry
 from incwalk.plans import exact, personal, update
 from incwalk.plans import graph as G
@@ -121,33 +122,64 @@ R.add("replay_ledger", replay_ledger)
 TOP = 10
 
 
-def _personal(spark, sf_dir, policy="lazy", fetch="full", length: int | None = 400, reps=5, how_many=10, kind="pagerank", name="cobuy"):
-    spec = Spec(reps=reps, seed=4, kind=kind)
-    e, v = _store(spark, sf_dir, spec, name)
+def _personal(spark, sf_dir, policy="lazy", length: int | None = 400, reps=5, how_many=100, kind="pagerank", name="cobuy"):
+    spec = Spec(reps=reps or 1, seed=4, kind=kind)
+    e = _e(spark, sf_dir, name)
     seeds = save(personal.pick_seeds(e, how_many), "seeds")
     length = personal.topk_length(e, seeds, TOP, spec) if length is None else length
-    return e, seeds, personal.stitched_walk(v if reps else None, e, seeds, length, spec, policy, fetch)
+    visits = build_store(e, spec) if reps else None
+    return e, seeds, save(personal.waves(visits, e, seeds, length, spec, policy), "walk")
+
+
+def _personal_sql(policy="lazy", length: int | None = 400, reps=5, how_many=100, kind="pagerank", name="cobuy"):
+    spec = Spec(reps=reps or 1, seed=4, kind=kind)
+    seeds = f"SELECT src AS seed, friends FROM (SELECT src, count(*) AS friends FROM e0 GROUP BY src) WHERE friends BETWEEN 20 AND 30 ORDER BY md5('seed|' || src), src LIMIT {how_many}"
+    text = personal.waves_sql(f"SELECT src, dst, ord FROM ({edges_sql(name)})", spec, seeds, str(length) if length else personal.topk_length_sql(TOP, spec), policy, bool(reps))
+    return "WITH RECURSIVE " + text
 
 
+_COUNTS = " SELECT seed, node, count(*) AS visits FROM pw GROUP BY 1, 2"
 for _p in ("lazy", "once", "literal"):
-    R.add(f"stitched_counts_{_p}", lambda s, d, p=_p: personal.frequencies(_personal(s, d, p)[2]).select("seed", "node", "visits"))
+    R.add(f"stitched_counts_{_p}", lambda s, d, p=_p: personal.frequencies(_personal(s, d, p)[2]).select("seed", "node", "visits"), _personal_sql(_p) + _COUNTS)
+_LEDGER = "SELECT seed, max(fetches)::BIGINT AS fetches, count(*) FILTER (how = 'segment') AS segment_steps, count(*) FILTER (how = 'step') AS hand_steps, count(*) FILTER (how = 'reset') AS resets FROM pf GROUP BY seed"
 for _f in ("full", "edge"):
-    R.add(f"fetch_ledger_{_f}", lambda s, d, f=_f: _personal(s, d, fetch=f)[2].groupBy("seed").agg(F.max("fetches").alias("fetches"), F.count_if(F.col("how") == "segment").alias("segment_steps"), F.count_if(F.col("how") == "step").alias("hand_steps"), F.count_if(F.col("how") == "reset").alias("resets")))
-R.add("ppr_topk", lambda s, d: personal.top(personal.frequencies(_personal(s, d, length=None, how_many=100)[2]), TOP))
-R.add("ppr_topk_no_friends", lambda s, d: (lambda x: personal.top(personal.exclude_known(personal.frequencies(x[2]), x[0]), TOP))(_personal(s, d, length=None, how_many=100)))
-R.add("alt_ppr_topk", lambda s, d: personal.top(personal.frequencies(_personal(s, d, length=None, how_many=100, kind="alternating", reps=2)[2].where("role = 'auth'")), TOP))
-R.add("recommend_alt", lambda s, d: (lambda x: personal.top(personal.exclude_known(personal.frequencies(x[2].where("role = 'auth'")), x[0]), TOP))(_personal(s, d, length=None, how_many=100, kind="alternating", reps=2, name="buys")))
+    R.add(f"fetch_ledger_{_f}", lambda s, d, f=_f: personal.fetched(_personal(s, d)[2], f).groupBy("seed").agg(F.max("fetches").alias("fetches"), F.count_if(F.col("how") == "segment").alias("segment_steps"), F.count_if(F.col("how") == "step").alias("hand_steps"), F.count_if(F.col("how") == "reset").alias("resets")), f"{_personal_sql()}, {personal.fetched_sql(_f)} {_LEDGER}")
+
+
+def _top(scores):
+    return personal.top(scores, TOP).select("seed", "node", "visits", F.col("rank").cast("long").alias("rank"))
+
+
+def _top_sql(role="", known=False):
+    friends = " ANTI JOIN (SELECT src AS seed, dst AS node FROM e0) USING (seed, node)" if known else ""
+    keep = "WHERE seed <> node" if known else ""
+    return f" SELECT * FROM (SELECT seed, node, visits, row_number() OVER (PARTITION BY seed ORDER BY visits DESC, node) AS rank FROM (SELECT seed, node, count(*) AS visits FROM pw {role} GROUP BY 1, 2){friends} {keep}) WHERE rank <= {TOP}"
+
+
+_ALT4 = {"length": None, "kind": "alternating", "reps": 2}
+_AUTH = "WHERE role = 'auth'"
+R.add("ppr_topk", lambda s, d: _top(personal.frequencies(_personal(s, d, length=None)[2])), _personal_sql(length=None) + _top_sql())
+R.add("ppr_topk_no_friends", lambda s, d: (lambda x: _top(personal.exclude_known(personal.frequencies(x[2]), x[0])))(_personal(s, d, length=None)), _personal_sql(length=None) + _top_sql(known=True))
+R.add("alt_ppr_topk", lambda s, d: _top(personal.frequencies(_personal(s, d, **_ALT4)[2].where("role = 'auth'"))), _personal_sql(**_ALT4) + _top_sql(_AUTH))
+R.add("recommend_alt", lambda s, d: (lambda x: _top(personal.exclude_known(personal.frequencies(x[2].where("role = 'auth'")), x[0])))(_personal(s, d, **_ALT4, name="buys")), _personal_sql(**_ALT4, name="buys") + _top_sql(_AUTH, known=True))
+R.add("waves_counts", lambda s, d: personal.frequencies(_personal(s, d, length=None)[2]).select("seed", "node", "visits"), _personal_sql(length=None) + _COUNTS)
+R.add("crude_walk_queries", lambda s, d: personal.fetched(_personal(s, d, reps=0)[2], "edge").groupBy("seed").agg(F.count_if("hand").alias("queries"), F.count_if(F.col("how") == "reset").alias("resets")), _personal_sql(reps=0) + " SELECT seed, count(*) FILTER (hand) AS queries, count(*) FILTER (how = 'reset') AS resets FROM pw GROUP BY seed")
 
 
-def waves_counts(spark, sf_dir):
+def topk_fetches(spark, sf_dir):
+    """Mean fetches of the walks that give the top k, beside the bound for that length and the bound of the top-k rule."""
     spec = Spec(reps=5, seed=4)
-    e, v = _store(spark, sf_dir, spec)
+    e = _e(spark, sf_dir)
     seeds = save(personal.pick_seeds(e, 100), "seeds")
-    return personal.waves(save(v, "visits"), e, seeds, personal.topk_length(e, seeds, TOP, spec), spec).groupBy("seed", "node").agg(F.count("*").alias("visits"))
+    n, alpha = G.nodes(e).count(), personal.usable_alpha(e, seeds, spec)
+    length = personal.topk_length(e, seeds, TOP, spec)
+    walk = personal.fetched(personal.waves(build_store(e, spec), e, seeds, length, spec))
+    seen = walk.groupBy("seed").agg(F.max("fetches").alias("f")).agg(F.round(F.avg("f"), 6).alias("fetches"))
+    return seen.select(F.lit(length).cast("long").alias("steps"), F.lit(round(alpha, 5)).alias("alpha"), "fetches", F.lit(round(theory.fetch_bound(n, spec.reps, alpha, length), 3)).alias("bound_of_length"), F.lit(round(theory.topk_fetch_bound(TOP, spec.reps, 5, alpha), 3)).alias("bound_of_k"))
 
 
-R.add("waves_counts", waves_counts)
-R.add("crude_walk_queries", lambda s, d: _personal(s, d, reps=0)[2].groupBy("seed").agg(F.max("fetches").alias("queries")))
+_FB = "SELECT (SELECT len FROM lg) AS steps, round((SELECT alpha FROM fa), 5) AS alpha, (SELECT round(avg(f), 6) FROM (SELECT max(fetches) AS f FROM pf GROUP BY seed)) AS fetches, round(1 + pow(2 * (1 - (SELECT alpha FROM fa)) / ((SELECT count(*) FROM n0)::DOUBLE * 5), 1 / (SELECT alpha FROM fa) - 1) * pow((SELECT len FROM lg)::DOUBLE, 1 / (SELECT alpha FROM fa)), 3) AS bound_of_length, round(1 + pow(5::DOUBLE, 1 / (SELECT alpha FROM fa)) * 10 / ((1 - (SELECT alpha FROM fa)) * pow(2.5::DOUBLE, 1 / (SELECT alpha FROM fa) - 1)), 3) AS bound_of_k"
+R.add("topk_fetches", topk_fetches, f"{_personal_sql(length=None)}, fa AS ({personal.alpha_sql(Spec())}), {personal.fetched_sql()} {_FB}")
 _SEEDS = "SELECT src AS seed, friends FROM (SELECT src, count(*) AS friends FROM e0 GROUP BY src) WHERE friends BETWEEN 20 AND 30 ORDER BY md5('seed|' || src), src LIMIT 10"
 R.add("seeds", lambda s, d: personal.pick_seeds(edges(s, d, "cobuy"), 10), f"WITH e0 AS ({COBUY}) {_SEEDS}")
 R.add("segment_frequency", lambda s, d: (lambda r: personal.segment_frequency(r[1], personal.pick_seeds(r[0], 10)))(_store(s, d)), f"{_W} SELECT src AS seed, node, count(*) AS visits FROM w0 WHERE src IN (SELECT seed FROM ({_SEEDS})) GROUP BY 1, 2")

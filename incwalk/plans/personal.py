@@ -1,15 +1,16 @@
 """Personalised walks stitched out of stored segments, their fetch ledgers, and what is read off them.
 
-``sequential`` walks each seed alone against broadcast tables of a checked size and is the
-reference. ``waves`` has no such bound: a walk falls into independent excursions at its resets, all
+``waves`` is what the queries run: a walk falls into independent excursions at its resets, all
 excursions of all seeds advance together, and the first unused segments of a node go to the lowest
-excursion numbers.
+excursion numbers, so that nothing is broadcast that grows with the graph. ``stitched_walk`` walks
+each seed alone, step by step, against broadcast tables of a checked size, as a reference for tests.
 """
 
 from __future__ import annotations
 
 import math
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -17,8 +18,8 @@ from pyspark.sql import functions as F
 from incwalk.functions import coins, theory
 from incwalk.plans import exact
 from incwalk.plans import graph as G
-from incwalk.plans.walks import LOCAL_EDGES, Adjacency, Spec, segments
-from incwalk.store import save
+from incwalk.plans.walks import LOCAL_EDGES, Adjacency, Spec, both_ways, segments
+from incwalk.store import discard, save
 
 #: Stored visits that the sequential mode may broadcast.
 LOCAL_VISITS = 4_000_000
@@ -113,45 +114,217 @@ def stitched_walk(visits: DataFrame | None, edges: DataFrame, seeds: DataFrame,
     return seeds.select("seed").repartition("seed").mapInArrow(run, WALK)
 
 
-def waves(visits: DataFrame, edges: DataFrame, seeds: DataFrame, length: int, spec: Spec) -> DataFrame:
-    """``(seed, pos, node, how)`` of walks of ``length`` visits, by joins alone (policy ``lazy``, forward walks).
+def waves(visits: DataFrame | None, edges: DataFrame, seeds: DataFrame, length: int, spec: Spec, policy: str = "lazy") -> DataFrame:
+    """``(seed, pos, node, role, how, asks, hand)`` of walks of ``length`` visits.
 
-    Seeds whose excursions fall short of ``length``, as beside nodes without out-edges, start as many again until none does.
+    ``how`` a visit came about (``reset``, ``step`` by hand, inside a ``segment``); ``asks`` marks
+    visits from which the walk went on by what a fetch at that node brought, ``hand`` those that went on by hand.
+    Policies as in ``stitched_walk``; alternating walks take segments that start in their role.
+    Without ``visits`` every step is by hand. Seeds whose excursions fall short of ``length``, as
+    beside nodes without out-edges, start as many again until none does.
+
+    Two engines take the same walks: joins round by round, and, where edges and stored visits are
+    under a checked number, one task a seed against broadcast arrays.
     """
-    usable = segments(visits).where((F.size("path") > 1) & (F.col("rep") < spec.reps))
-    usable = save(usable.select(F.col("src").alias("node"), F.row_number().over(Window.partitionBy("src").orderBy("rep")).alias("k"), F.slice("path", 2, 1 << 30).alias("tail")), "usable")
-    number = G.slots if spec.coin == "portable" else G.salted_slots
-    adj = save(number(edges).select(F.col("src").alias("node"), "slot", "dst"), "adj")
-    deg = save(adj.groupBy("node").agg(F.count("*").alias("deg")), "deg")
-    many = math.ceil(1.3 * length * spec.eps) + 20
-    used = edges.sparkSession.createDataFrame([], "seed long, node long, used long")
+    visits = save(visits, "visits") if visits is not None else None
+    local = spec.engine == "local" or spec.engine == "auto" and spec.coin == "portable" and edges.count() <= LOCAL_EDGES and (visits is None or visits.count() <= LOCAL_VISITS)
+    return (_waves_local if local else _waves_joined)(visits, edges, seeds, length, spec, policy)
+
+
+class Stored:
+    """Tails of the usable segments by node and role, as arrays for broadcast: 8 bytes a stored visit and some 40 a segment."""
+
+    def __init__(self, visits: DataFrame | None, spec: Spec, policy: str):
+        self.at, self.flat, self.place = {}, np.zeros(0, np.int64), np.zeros(1, np.int64)
+        if visits is None:
+            return
+        t = visits.select("src", "rep", "pos", "node").toArrow()
+        src, rep, pos, node = (t.column(c).to_numpy() for c in ("src", "rep", "pos", "node"))
+        order = np.lexsort((pos, rep, src))
+        src, rep, pos, node = src[order], rep[order], pos[order], node[order]
+        first = np.flatnonzero(pos == 0)
+        size = np.diff(np.r_[first, len(pos)])
+        keep = (size > 1) | (rep[first] >= spec.reps) if policy == "lazy" else np.ones(len(first), bool)
+        inside = np.repeat(keep, size) & (pos > 0)
+        self.flat, first, size = node[inside], first[keep], size[keep] - 1
+        self.place = np.r_[0, np.cumsum(size)]
+        for n, (a, r) in enumerate(zip(src[first].tolist(), rep[first].tolist(), strict=True)):
+            key = (a, "hub" if r < spec.reps else "auth")
+            self.at[key] = (self.at[key][0], self.at[key][1] + 1) if key in self.at else (n, 1)
+
+    def tail(self, node: int, role: str, k: int) -> list[int] | None:
+        n, many = self.at.get((node, role), (0, 0))
+        return self.flat[self.place[n + k - 1] : self.place[n + k]].tolist() if k <= many else None
+
+
+_WAVES = pa.schema([("seed", pa.int64()), ("pos", pa.int64()), ("node", pa.int64()), ("role", pa.string()), ("how", pa.string()), ("asks", pa.bool_()), ("hand", pa.bool_())])
+
+
+def _waves_local(visits: DataFrame | None, edges: DataFrame, seeds: DataFrame, length: int, spec: Spec, policy: str) -> DataFrame:
+    sc = edges.sparkSession.sparkContext
+    graph, store = sc.broadcast(Adjacency(edges, spec.alternating)), sc.broadcast(Stored(visits, spec, policy))
+    stop, many = coins.threshold(spec.eps), excursions(length, spec, policy)
+
+    def other(role):
+        return ("auth" if role == "hub" else "hub") if spec.alternating else "hub"
+
+    def one_wave(seed, heads, used, out):
+        """All heads a step on; gives the next ones."""
+        after, count, took = [], {}, {}
+        for exc, at, node, role, how in heads:
+            key = (node, role)
+            a, b = coins.python_coin(spec.seed, "wave", f"{seed}:{exc}", 0, at)
+            alive = role == "auth" or a >= stop
+            asks, k = policy == "once" or alive, 0
+            if asks:
+                count[key] = count.get(key, 0) + 1
+                k = used.get(key, 0) + count[key]
+                if policy == "literal" and k == 1 and role != "auth" and coins.python_coin(spec.seed, "wave-again", f"{seed}:{exc}", 0, at)[0] < stop:
+                    k, alive = 0, False
+            if k:
+                took[key] = max(k, took.get(key, 0))
+            tail = store.value.tail(node, role, k) if k else None
+            hand = alive and tail is None
+            out.append((exc, at, node, role, how, asks and (alive or tail is not None), hand))
+            r = role
+            for i, x in enumerate(tail or ()):
+                r = other(r)
+                out.append((exc, at + i + 1, x, r, "segment", False, False))
+            if hand and (deg := graph.value.degree(node, role)):
+                after.append((exc, at + 1, graph.value.target(node, b * deg >> 32, role), other(role), "step"))
+        used.update(took)
+        return after
+
+    def run(batches):
+        for batch in batches:
+            for seed in batch.column("seed").to_pylist():
+                used, out, begun, more = {}, [], 0, many
+                while len(out) < length:
+                    heads = [(exc, 0, seed, "hub", "reset") for exc in range(begun, begun + more)]
+                    while heads:
+                        heads = one_wave(seed, heads, used, out)
+                    begun, more = begun + more, begun + more
+                out.sort(key=lambda x: x[:2])
+                del out[length:]
+                yield pa.RecordBatch.from_arrays([pa.array([seed] * len(out), pa.int64()), pa.array(range(len(out)), pa.int64()), *(pa.array([x[i] for x in out], _WAVES.field(i).type) for i in range(2, 7))], schema=_WAVES)
+
+    return seeds.select("seed").repartition("seed").mapInArrow(run, "seed long, pos long, node long, role string, how string, asks boolean, hand boolean")
+
+
+def _waves_joined(visits: DataFrame | None, edges: DataFrame, seeds: DataFrame, length: int, spec: Spec, policy: str) -> DataFrame:
+    keys = ["node", "role"]
+    if visits is not None:
+        start = F.when(F.col("rep") < spec.reps, "hub").otherwise("auth")
+        own = segments(visits).withColumn("role", start)
+        if policy == "lazy":  # survival is decided before, so segments without a step are passed over
+            own = own.where((F.size("path") > 1) | (F.col("role") == "auth"))
+        own = own.select(F.col("src").alias("node"), "role", F.row_number().over(Window.partitionBy("src", "role").orderBy("rep")).alias("k"), F.slice("path", 2, 1 << 30).alias("tail"))
+    else:
+        own = edges.sparkSession.createDataFrame([], "node long, role string, k int, tail array<long>")
+    stored = save(own, "stored")
+    adj, deg = both_ways(edges, spec)
+    adj = save(adj.select(F.col("src").alias("node"), F.col("way").alias("role"), "slot", "dst"), "adj")
+    deg = save(adj.groupBy(*keys).agg(F.count("*").alias("deg")), "deg")
+    many = excursions(length, spec, policy)
+    used = save(edges.sparkSession.createDataFrame([], "seed long, node long, role string, used long"), "used")
+    other = F.when(F.col("role") == "hub", "auth").otherwise("hub") if spec.alternating else F.lit("hub")
+    survives = lambda tag: (F.col("role") == "auth") | (coins.coin(spec.seed, tag, F.concat_ws(":", F.col("seed").cast("string"), F.col("exc").cast("string")), F.lit(0), F.col("at"), spec.coin)[0] >= coins.threshold(spec.eps))
     done, short, begun = None, seeds.select("seed"), 0
     while True:
-        frontier = short.select("seed", F.explode(F.sequence(F.lit(begun), F.lit(begun + many - 1))).alias("exc"), F.col("seed").alias("node"), F.lit(0).alias("at"), F.lit("reset").alias("how"))
+        frontier = short.select("seed", F.explode(F.sequence(F.lit(begun), F.lit(begun + many - 1))).alias("exc"), F.col("seed").alias("node"), F.lit("hub").alias("role"), F.lit(0).alias("at"), F.lit("reset").alias("how"))
         while True:
-            a, b = coins.coin(spec.seed, "wave", F.concat_ws(":", F.col("seed").cast("string"), F.col("exc").cast("string")), F.lit(0), F.col("at"), spec.coin)
-            x = frontier.withColumn("alive", a >= coins.threshold(spec.eps)).withColumn("b", b)
-            turn = Window.partitionBy("seed", "node").orderBy("exc")
-            alive = x.where("alive").join(used, ["seed", "node"], "left").withColumn("k", (F.row_number().over(turn) + F.coalesce("used", F.lit(0))).cast("int"))
-            alive = alive.join(usable, ["node", "k"], "left").join(deg, "node", "left")
-            slot = F.when(F.col("tail").isNull() & F.col("deg").isNotNull(), coins.slot(F.col("b"), F.col("deg")))
-            alive = save(alive.withColumn("slot", slot).join(adj, ["node", "slot"], "left").select("seed", "exc", "node", "at", "how", "tail", "dst"), "wave")
-            here = save(x.where("NOT alive").select("seed", "exc", "at", "node", "how").unionByName(alive.select("seed", "exc", "at", "node", "how")), "here")
-            tails = alive.where("tail IS NOT NULL").select("seed", "exc", "at", F.posexplode("tail").alias("i", "node")).select("seed", "exc", (F.col("at") + F.col("i") + 1).alias("at"), "node", F.lit("segment").alias("how"))
-            seen = here.unionByName(tails)
+            b = coins.coin(spec.seed, "wave", F.concat_ws(":", F.col("seed").cast("string"), F.col("exc").cast("string")), F.lit(0), F.col("at"), spec.coin)[1]
+            x = frontier.withColumn("alive", survives("wave")).withColumn("again", survives("wave-again") if policy == "literal" else F.lit(True)).withColumn("b", b)
+            turn = Window.partitionBy("seed", "node", "role", "asks").orderBy("exc")
+            x = x.withColumn("asks", F.lit(True) if policy == "once" else F.col("alive"))
+            x = x.join(used, ["seed", *keys], "left").withColumn("k", F.when(F.col("asks"), F.row_number().over(turn) + F.coalesce("used", F.lit(0))).cast("int"))
+            if policy == "literal":  # the coin is flipped again after the fetch
+                x = x.withColumn("k", F.when((F.col("k") > 1) | F.col("again"), F.col("k"))).withColumn("alive", F.col("alive") & ((F.coalesce("k", F.lit(0)) > 0)))
+            x = x.join(stored, [*keys, "k"], "left").join(deg, keys, "left")
+            goes = F.col("alive") & F.col("tail").isNull()
+            slot = F.when(goes & F.col("deg").isNotNull(), coins.slot(F.col("b"), F.col("deg")))
+            x = x.withColumn("hand", goes).withColumn("asks", F.col("asks") & (F.col("alive") | F.col("tail").isNotNull())).withColumn("slot", slot)
+            x = save(x.join(adj, [*keys, "slot"], "left").select("seed", "exc", "at", "node", "role", "how", "asks", "hand", "k", "tail", "dst"), "wave")
+            tails = x.where("tail IS NOT NULL").select("seed", "exc", "at", "role", F.posexplode("tail").alias("i", "node"))
+            tails = tails.select("seed", "exc", (F.col("at") + F.col("i") + 1).alias("at"), "node", F.when(F.col("i") % 2 == 1, F.col("role")).otherwise(other).alias("role"), F.lit("segment").alias("how"), F.lit(False).alias("asks"), F.lit(False).alias("hand"))
+            seen = x.select("seed", "exc", "at", "node", "role", "how", "asks", "hand").unionByName(tails)
             done = seen if done is None else done.unionByName(seen)
-            took = alive.where("tail IS NOT NULL").groupBy("seed", "node").agg(F.count("*").alias("more"))
-            used = save(used.join(took, ["seed", "node"], "full").select("seed", "node", (F.coalesce("used", F.lit(0)) + F.coalesce("more", F.lit(0))).cast("long").alias("used")), "used")
-            frontier = alive.where("dst IS NOT NULL").select("seed", "exc", F.col("dst").alias("node"), (F.col("at") + 1).alias("at"), F.lit("step").alias("how"))
+            frontier = x.where("dst IS NOT NULL").select("seed", "exc", F.col("dst").alias("node"), other.alias("role"), (F.col("at") + 1).alias("at"), F.lit("step").alias("how"))
             if frontier.isEmpty():
                 break
+            took = x.where("k IS NOT NULL").groupBy("seed", *keys).agg(F.max("k").alias("used"))
+            used, old = save(used.unionByName(took).groupBy("seed", *keys).agg(F.max("used").cast("long").alias("used")), "used"), used
+            discard(old)
         full = done.groupBy("seed").count().where(F.col("count") >= length)
         short = save(short.join(full, "seed", "left_anti"), "short")
         if short.isEmpty():
             break
         begun, many = begun + many, begun + many
     place = Window.partitionBy("seed").orderBy("exc", "at")
-    return done.withColumn("pos", F.row_number().over(place) - 1).where(F.col("pos") < length).select("seed", F.col("pos").cast("long").alias("pos"), "node", "how")
+    return done.withColumn("pos", F.row_number().over(place) - 1).where(F.col("pos") < length).select("seed", F.col("pos").cast("long").alias("pos"), "node", "role", "how", "asks", "hand")
+
+
+def margin(policy: str) -> float:
+    """The literal policy resets more often than ``eps`` says."""
+    return 2.0 if policy == "literal" else 1.3
+
+
+def excursions(length: int, spec: Spec, policy: str) -> int:
+    """How many a walk of ``length`` visits starts with: a margin over the share of resets."""
+    return math.ceil(margin(policy) * length * spec.eps) + 20
+
+
+def fetched(walk: DataFrame, fetch: str = "full") -> DataFrame:
+    """Adds ``fetches`` up to each visit: one where a walk first goes on from a node (and role); with ``fetch="edge"`` also one for each later step by hand, since a call brings the segments or one edge."""
+    first = F.row_number().over(Window.partitionBy("seed", "node", "role", "asks").orderBy("pos")) == 1
+    x = walk.withColumn("__call", ((first & F.col("asks")) | (F.col("hand") & F.lit(fetch == "edge"))).cast("long"))
+    upto = Window.partitionBy("seed").orderBy("pos").rowsBetween(Window.unboundedPreceding, 0)
+    return x.withColumn("fetches", F.sum("__call").over(upto)).drop("__call")
+
+
+def waves_sql(edges_sql: str, spec: Spec, seeds_sql: str, length: str, policy: str = "lazy", stitched: bool = True) -> str:
+    """CTEs up to ``pw``, the visits of ``waves`` by the same coins, for SQL engines: all excursions advance together, and segments in use are counted by rows that travel with them. Graphs on which no seed falls short."""
+    from incwalk.plans.walks import walks_sql
+
+    t = coins.threshold(spec.eps)
+    h = coins.sql_digest(spec.seed, "wave", "(seed || ':' || exc)", "0", "stp")
+    h2 = coins.sql_digest(spec.seed, "wave-again", "(seed || ':' || exc)", "0", "stp")
+    turn = "CASE WHEN role = 'hub' THEN 'auth' ELSE 'hub' END" if spec.alternating else "'hub'"
+    usable = "(size > 1 OR role = 'auth')" if policy == "lazy" else "true"
+    asks = "true" if policy == "once" else "alive"
+    kept = "k > 1 OR again" if policy == "literal" else "true"
+    none = "" if stitched else " WHERE false"
+    return f"""{walks_sql(edges_sql, spec)},
+sd AS ({seeds_sql}),
+lg AS (SELECT ({length})::BIGINT AS len),
+sg AS (SELECT src AS node, role, row_number() OVER (PARTITION BY src, role ORDER BY rep) AS k, tail FROM
+  (SELECT src, rep, CASE WHEN rep < {spec.reps} THEN 'hub' ELSE 'auth' END AS role, count(*) AS size, list(node ORDER BY pos)[2:] AS tail FROM w0 GROUP BY 1, 2) WHERE {usable}),
+wv AS (
+  SELECT 0 AS round, 'head' AS kind, seed, exc, seed AS node, 'hub' AS role, 0::BIGINT AS stp, 'reset' AS how, false AS asks, false AS hand, 0::BIGINT AS k, NULL::BIGINT AS dst, NULL::BIGINT[] AS tail
+  FROM sd, range((SELECT ceil({margin(policy)}::DOUBLE * len * {spec.eps}::DOUBLE)::BIGINT + 20 FROM lg)) e(exc)
+  UNION ALL
+  SELECT * FROM (
+    WITH hd AS (SELECT *, role = 'auth' OR {coins.sql_a("h")} >= {t} AS alive, role = 'auth' OR {coins.sql_a("h2")} >= {t} AS again FROM
+                 (SELECT round, seed, exc, node, role, stp, how, {h} AS h, {h2} AS h2 FROM wv WHERE kind = 'head')),
+    us AS (SELECT seed, node, role, max(k) AS used FROM wv WHERE kind = 'used' GROUP BY 1, 2, 3),
+    ks AS (SELECT hd.*, {asks} AS asks0, CASE WHEN {asks} THEN row_number() OVER (PARTITION BY hd.seed, hd.node, hd.role, {asks} ORDER BY exc) + coalesce(us.used, 0) END AS k0 FROM hd LEFT JOIN us ON us.seed = hd.seed AND us.node = hd.node AND us.role = hd.role),
+    kk AS (SELECT * REPLACE (alive AND {"coalesce(" + "CASE WHEN k0 > 1 OR again THEN k0 END, 0) > 0" if policy == "literal" else "true"} AS alive), CASE WHEN {kept.replace("k >", "k0 >")} THEN k0 END AS k FROM ks),
+    sx AS (SELECT kk.*, sg.tail FROM kk LEFT JOIN (SELECT * FROM sg{none}) sg ON sg.node = kk.node AND sg.role = kk.role AND sg.k = kk.k),
+    gx AS (SELECT sx.*, d.deg, alive AND tail IS NULL AS hand, asks0 AND (alive OR tail IS NOT NULL) AS asks FROM sx LEFT JOIN d0 d ON d.src = sx.node AND d.way = sx.role),
+    nx AS (SELECT gx.*, a.dst FROM gx LEFT JOIN a0 a ON gx.hand AND a.src = gx.node AND a.way = gx.role AND a.slot = ({coins.sql_b("gx.h")} * gx.deg) >> 32),
+    gone AS (SELECT max(round) + 1 AS round, count(dst) AS n FROM nx)
+    SELECT gone.round, 'done', seed, exc, node, role, stp, how, asks, hand, k, dst, tail FROM nx, gone
+    UNION ALL SELECT gone.round, 'head', seed, exc, dst, {turn}, stp + 1, 'step', false, false, 0, NULL, NULL FROM nx, gone WHERE dst IS NOT NULL
+    UNION ALL SELECT gone.round, 'used', seed, 0, node, role, 0, '', false, false, max(k), NULL, NULL FROM (SELECT seed, node, role, k FROM nx WHERE k IS NOT NULL UNION ALL SELECT seed, node, role, used FROM us), gone WHERE gone.n > 0 GROUP BY ALL)),
+vs AS (SELECT seed, exc, stp, node, role, how, asks, hand FROM wv WHERE kind = 'done'
+  UNION ALL SELECT seed, exc, stp + i, tail[i], CASE WHEN i % 2 = 0 THEN role ELSE {turn} END, 'segment', false, false FROM (SELECT *, unnest(range(1, len(tail) + 1)) AS i FROM wv WHERE kind = 'done' AND tail IS NOT NULL)),
+pw AS (SELECT * FROM (SELECT seed, row_number() OVER (PARTITION BY seed ORDER BY exc, stp) - 1 AS pos, node, role, how, asks, hand FROM vs), lg WHERE pos < len)"""
+
+
+def fetched_sql(fetch: str = "full") -> str:
+    """CTE ``pf``: ``pw`` with the running count of ``fetched``."""
+    more = " OR hand" if fetch == "edge" else ""
+    return f"pf AS (SELECT *, sum(call) OVER (PARTITION BY seed ORDER BY pos) AS fetches FROM (SELECT *, ((asks AND row_number() OVER (PARTITION BY seed, node, role, asks ORDER BY pos) = 1){more})::INT AS call FROM pw))"
 
 
 def frequencies(walk: DataFrame) -> DataFrame:
@@ -183,18 +356,49 @@ def fitted_alpha(edges: DataFrame, seeds: DataFrame, alternating: bool = False,
     return fits.where("points >= 3").agg(F.avg("alpha")).first()[0]
 
 
-def topk_length(edges: DataFrame, seeds: DataFrame, k: int, spec: Spec, c: float = 5.0) -> int:
-    """Visits after which the k-th node of a seed is expected ``c`` times, by the fitted exponent; 0.75 where that is none of the model's.
+def usable_alpha(edges: DataFrame, seeds: DataFrame, spec: Spec) -> float:
+    """The fitted exponent; 0.75 where that is none of the model's."""
+    alpha = fitted_alpha(edges, seeds, spec.alternating)
+    return alpha if alpha is not None and 0 < alpha < 1 else 0.75
+
+
+def topk_length(edges: DataFrame, seeds: DataFrame, k: int, spec: Spec, c: float = 5.0, alpha: float | None = None) -> int:
+    """Visits after which the k-th node of a seed is expected ``c`` times, by the fitted exponent or the one given.
 
     Of the visits of an alternating walk ``(1 - eps) / (2 - eps)`` are to authorities, which are what it ranks.
     """
-    alpha = fitted_alpha(edges, seeds, spec.alternating)
-    if alpha is None or not 0 < alpha < 1:
-        alpha = 0.75
+    alpha = usable_alpha(edges, seeds, spec) if alpha is None else alpha
     every = (2 - spec.eps) / (1 - spec.eps) if spec.alternating else 1
     return math.ceil(every * theory.walk_length(max(G.nodes(edges).count(), k), k, c, alpha))
 
 
+def topk_personalised(visits: DataFrame, edges: DataFrame, seeds: DataFrame, k: int, spec: Spec, c: float = 5.0, alpha: float | None = None, exclude: str | None = None) -> DataFrame:
+    """``(seed, node, visits, score, rank)``: the ``k`` nodes visited most by a stitched walk of the length that the rule asks for; ``exclude="friends"`` leaves out the seed and its neighbours. Alternating walks rank authorities."""
+    walk = waves(visits, edges, seeds, topk_length(edges, seeds, k, spec, c, alpha), spec)
+    scores = frequencies(walk.where("role = 'auth'") if spec.alternating else walk)
+    return top(exclude_known(scores, edges) if exclude == "friends" else scores, k)
+
+
+def alpha_sql(spec: Spec, rounds: int = 5) -> str:
+    """``alpha`` as ``usable_alpha`` has it, out of ``e0`` and ``sd``."""
+    w = "SELECT src, dst, 1 / count(*) OVER (PARTITION BY src) AS ow, 1 / count(*) OVER (PARTITION BY dst) AS iw FROM e0"
+    if spec.alternating:
+        step = ", ".join(f"m{i} AS (SELECT seed, dst AS node, sum(s * ow) AS s FROM y{i - 1} JOIN ew ON src = node GROUP BY 1, 2), y{i} AS (SELECT seed, node, sum(s) AS s FROM (SELECT seed, src AS node, s * iw * {1 - spec.eps!r}::DOUBLE AS s FROM m{i} JOIN ew ON dst = node UNION ALL SELECT seed, node, {spec.eps!r}::DOUBLE * s FROM y0) GROUP BY 1, 2)" for i in range(1, rounds + 1))
+        last = f"SELECT seed, dst AS node, sum(s * ow) AS s FROM y{rounds} JOIN ew ON src = node GROUP BY 1, 2"
+    else:
+        step = ", ".join(f"y{i} AS (SELECT seed, node, sum(s) AS s FROM (SELECT seed, dst AS node, s * ow * {1 - spec.eps!r}::DOUBLE AS s FROM y{i - 1} JOIN ew ON src = node UNION ALL SELECT seed, node, {spec.eps!r}::DOUBLE * s FROM y0) GROUP BY 1, 2)" for i in range(1, rounds + 1))
+        last = f"SELECT seed, node, s FROM y{rounds}"
+    return f"""WITH ew AS ({w}), y0 AS (SELECT seed, seed AS node, 1.0::DOUBLE AS s FROM sd), {step},
+  rk AS (SELECT seed, s, row_number() OVER (PARTITION BY seed ORDER BY s DESC, node) AS rank FROM ({last}) WHERE node <> seed AND s > 0),
+  ft AS (SELECT seed, -regr_slope(ln(s), ln(rank)) AS a, count(*) AS points FROM rk JOIN sd USING (seed) WHERE rank BETWEEN 2 * friends AND 20 * friends GROUP BY 1)
+  SELECT CASE WHEN avg(a) > 0 AND avg(a) < 1 THEN avg(a) ELSE 0.75 END AS alpha FROM ft WHERE points >= 3"""
+
+
+def topk_length_sql(k: int, spec: Spec, c: float = 5.0) -> str:
+    every = f"{(2 - spec.eps) / (1 - spec.eps)!r}::DOUBLE" if spec.alternating else "1"
+    return f"SELECT ceil({every} * {c!r}::DOUBLE / (1 - alpha) * {k} * pow(greatest((SELECT count(*) FROM n0), {k})::DOUBLE / {k}, 1 - alpha)) FROM ({alpha_sql(spec)})"
+
+
 def segment_frequency(visits: DataFrame, seeds: DataFrame) -> DataFrame:
     own = visits.join(seeds.select(F.col("seed").alias("src")), "src", "left_semi").where("rep >= 0")
     return own.groupBy(F.col("src").alias("seed"), "node").agg(F.count("*").alias("visits"))

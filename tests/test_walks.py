@@ -82,6 +82,17 @@ def test_stitched_walk(tri, spark, policy):
     assert w.agg({"fetches": "max"}).first()[0] <= 3
 
 
+@pytest.mark.parametrize(("policy", "kind"), [("lazy", "alternating"), ("once", "pagerank"), ("literal", "pagerank")])
+def test_wave_engines_take_the_same_walks(tri, spark, policy, kind):
+    seeds = spark.createDataFrame([(0,), (1,)], "seed long")
+    got = []
+    for engine in ("local", "rounds"):
+        spec = Spec(reps=4, eps=0.7, kind=kind, engine=engine)
+        w = personal.fetched(personal.waves(build_store(tri, spec), tri, seeds, 12, spec, policy), "edge")
+        got.append(sorted(map(tuple, w.collect())))
+    assert got[0] == got[1] and len(got[0]) == 24
+
+
 def test_waves_agree_in_law(tri, spark):
     seeds = spark.createDataFrame([(0,)], "seed long")
     spec = Spec(reps=20)
