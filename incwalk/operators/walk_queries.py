@@ -107,7 +107,7 @@ R.add("arrive_ledger", lambda s, d: _applied(s, d)[1].select("walks_rerouted", "
 R.add("delete_ledger", lambda s, d: _applied(s, d, (), ("01",))[1].select("walks_rerouted", "edges_gone"), _update_sql((), ("01",)) + " SELECT (SELECT count(*) FROM c1) AS walks_rerouted, (SELECT count(*) FROM gone) AS edges_gone")
 R.add("counters_after", lambda s, d: _applied(s, d, ("00",), ("01",), counted=True)[0].counters().select("node", "w_segments", "visits", "continuing", "outdeg"), _update_sql(("00",), ("01",)) + " SELECT node, w_segments, visits, continuing, coalesce(o, 0) AS outdeg FROM (SELECT node, count(DISTINCT (src, rep)) AS w_segments, count(*) AS visits, count(*) FILTER (ended IS NULL) AS continuing FROM w1 GROUP BY node) LEFT JOIN (SELECT src AS node, count(*) AS o FROM e1 GROUP BY 1) USING (node)")
 R.add("gate_probabilities", lambda s, d: (lambda r: update.gate(update.counters(r[1], r[0])))(_store(s, d)), f"{_W}, c AS (SELECT node, count(DISTINCT (src, rep)) AS w, count(*) FILTER (ended IS NULL) AS v FROM w0 GROUP BY node), o AS (SELECT src AS node, count(*) AS d FROM e0 GROUP BY 1) SELECT node, round(1 - pow(1 - 1 / (coalesce(d, 0) + 1), w), 9) AS p_segments, round(1 - pow(1 - 1 / (coalesce(d, 0) + 1), v), 9) AS p_visits FROM c LEFT JOIN o USING (node)")
-R.add("alt_arrive_batch", lambda s, d: _applied(s, d, spec=ALT)[0].groupBy("role", "ended").count())
+R.add("alt_arrive_batch", lambda s, d: _applied(s, d, spec=ALT)[0].visits().groupBy("role", "ended").count())
 
 
 def replay_ledger(spark, sf_dir):
