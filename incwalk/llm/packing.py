@@ -131,20 +131,30 @@ def best_fit(sizes: list[int], room: int) -> list[list[int]]:
     return bins
 
 
-def local_search(sizes: list[int], bins: list[list[int]], room: int, rounds: int = 12) -> list[list[int]]:
+def give_ups(own: list[int], sizes: list[int]) -> list[tuple[int, ...]]:
+    """What a bin can give up in a step: nothing, one document or two, one choice for each size or pair of sizes.
+
+    A bin of room r holds fewer than sqrt(2 r) distinct sizes, so there are about r pairs at most.
+    """
+    of_size: dict[int, list[int]] = {}
+    for i in own:
+        of_size.setdefault(sizes[i], []).append(i)
+    one = [of_size[s] for s in sorted(of_size)]
+    two = [(a[0], b[0]) for n, a in enumerate(one) for b in one[n + 1 :]] + [(a[0], a[1]) for a in one if len(a) > 1]
+    return [()] + [(a[0],) for a in one] + two
+
+
+def local_search(sizes: list[int], bins: list[list[int]], room: int) -> list[list[int]]:
     """Fills underfull bins, fullest first, out of emptier ones until bins empty.
 
     A step takes one document from an emptier bin for none, one or two smaller ones of the bin being
     filled, whichever leaves the least free space. Fill moves from an emptier to a fuller bin, so the
-    sum of squared fills rises with each step. A round passes over all underfull bins; rounds end
-    when none gains or at the lower bound, the total over the room.
+    sum of squared fills rises with each step, and the search ends. A round passes over all underfull
+    bins; rounds end when none gains or at the lower bound, the total over the room.
     """
     fill = [sum(sizes[i] for i in b) for b in bins]
     least = -(-sum(fill) // room)
-    for _ in range(rounds):
-        live = sum(1 for b in bins if b)
-        if live <= least:
-            break
+    while sum(1 for b in bins if b) > least:
         under = sorted((b for b in range(len(bins)) if bins[b] and fill[b] < room), key=lambda b: -fill[b])
         where: dict[int, int] = {}
         by_size: list[set[int]] = [set() for _ in range(room + 1)]
@@ -168,9 +178,7 @@ def local_search(sizes: list[int], bins: list[list[int]], room: int, rounds: int
                 drop(i)
             while bins[b] and fill[b] < room and mask:
                 free, best = room - fill[b], None
-                own = sorted(bins[b], key=lambda k: sizes[k])[:24]  # two of more would not end nearer to full
-                gives = [()] + [(x,) for x in own] + [(x, y) for n, x in enumerate(own) for y in own[n + 1 :]]
-                for give in gives:
+                for give in give_ups(bins[b], sizes):
                     out = sum(sizes[k] for k in give)
                     top = min(room, out + free)
                     at = (mask & ((1 << (top + 1)) - 1)).bit_length() - 1
@@ -181,7 +189,7 @@ def local_search(sizes: list[int], bins: list[list[int]], room: int, rounds: int
                 if best is None:
                     break
                 gain, at, give = best
-                i = min(by_size[at], key=lambda k: (fill[where[k]], k)) if len(by_size[at]) <= 64 else next(iter(by_size[at]))
+                i = min(by_size[at], key=lambda k: (fill[where[k]], k))
                 e = where[i]
                 drop(i)
                 bins[e].remove(i)

@@ -221,6 +221,15 @@ def test_local_search_gains():
     assert max(sum(sizes[i] for i in b) for b in last) <= 4096
 
 
+def test_local_search_tries_every_size():
+    small = list(range(10, 34))  # 24 documents smaller than the one to give up
+    sizes = [*small, 2000, 2100, 616]
+    last = packing.local_search(sizes, [list(range(25)), [25], [26]], 2616)  # 2000 for 2100, then 2000 and 616
+    assert sorted(i for b in last for i in b) == list(range(27))
+    assert [sum(sizes[i] for i in b) for b in last] == [2616, 2616]
+    assert packing.give_ups([0, 1, 2], [5, 5, 7]) == [(), (0,), (2,), (0, 2), (0, 1)]
+
+
 def test_secrets(spark, empty):
     texts = [None, "", "Password = 'abcdefghijkl' x", "secret: token: abcdefghijklmnop", "AKIAABCDEFGHIJKLMN and deadbeefdeadbeef00", "é api_key=" + "a1" * 9, "Password = 'abcdefghijkl' x", "ſecret: token=abcdefghijklmnop", "to\u212aen=abcdefghijklmnop APİ_KEY PASSWD:ABCDEFGHIJKL", "x " * 40_000 + "token=abcdefghijklmnop"]
     df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
