@@ -139,12 +139,13 @@ def _postings(num: int, den: int):
     return tidy(run)
 
 
-def link_block(n: np.ndarray, tokens: list[np.ndarray], levels: list[np.ndarray], num: int, den: int, side: np.ndarray | None = None, verified: list | None = None) -> list[tuple[int, int]]:
-    """Links that connect whatever is connected by links among these documents, or by links between the two values of ``side``.
+def link_block(n: np.ndarray, tokens: list[np.ndarray], levels: list[np.ndarray], num: int, den: int, side: np.ndarray | None = None, verified: list | None = None, every: bool = False) -> list[tuple[int, int]]:
+    """Links that connect whatever is connected by links among these documents, or by links between the two values of ``side``; all links with ``every``.
 
     Breadth-first over documents not reached so far: a document's prefix postings give candidates,
     the length, positional and suffix filters drop most, the rest are verified together. A document
-    closes before it is looked from, so no pair is verified twice; ``verified`` gathers them.
+    closes before it is looked from, so no pair is verified twice; ``verified`` gathers them. With
+    ``every`` a document only closes when it has been looked from itself, so each pair is met once.
     """
     size = np.array([len(t) for t in tokens])
     key, inverse = np.unique(np.concatenate(tokens), return_inverse=True)
@@ -209,19 +210,20 @@ def link_block(n: np.ndarray, tokens: list[np.ndarray], levels: list[np.ndarray]
             marked[own] = False
             for z in y[common >= need].tolist():
                 edges.append((x, z))
-                open_[z] = False
-                queue.append(z)
+                if not every:
+                    open_[z] = False
+                    queue.append(z)
     return edges
 
 
-def _link_groups(num: int, den: int):
+def _link_groups(num: int, den: int, every: bool = False):
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
     def close(key, rows):
         if len(rows) < 2:
             return None
         side = np.array([r[4] for r in rows]) if key[1] != key[2] else None  # pairs inside a block are met where it stands alone
-        edges = link_block(np.array([r[1] for r in rows]), [np.frombuffer(r[2], np.uint64) for r in rows], [np.frombuffer(r[3], np.uint16) for r in rows], num, den, side)
+        edges = link_block(np.array([r[1] for r in rows]), [np.frombuffer(r[2], np.uint64) for r in rows], [np.frombuffer(r[3], np.uint16) for r in rows], num, den, side, every=every)
         return pa.RecordBatch.from_arrays([pa.array([rows[a][0] for a, _ in edges], pa.int64()), pa.array([rows[b][0] for _, b in edges], pa.int64())], schema=schema) if edges else None
 
     def run(batches):
@@ -239,17 +241,8 @@ def _link_groups(num: int, den: int):
     return tidy(run)
 
 
-def ngram_jaccard_join(docs: DataFrame, size: int = 5, num: int = 80, den: int = 100, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row for each row of ``docs``: ``doc_id``, ``n_shingles`` and ``component_id``.
-
-    ``row_hash`` tells rows apart by id and text; ``is_first`` marks the row that stands for its group.
-    Two documents link when ``den * |A and B| >= num * |A or B|`` over their sets of ``size``-word
-    n-grams; a text with fewer words is one n-gram as a whole. ``component_id`` is the smallest id
-    that links reach, the row's own included. Texts that are null or hold no word have an empty set
-    and link with nothing. Rows with a null id take part and can only have a null
-    ``component_id`` where no row with an id is reached. Repeated rows give a row each. Other
-    columns are not read. An empty table gives an empty result.
-    """
+def _linked(docs: DataFrame, size: int, num: int, den: int, id_col: str, text_col: str, every: bool):
+    """Profiles of all rows, classes of equal sets, and links ``a, b`` between representatives of classes."""
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     rows = rows.select("doc_id", "text", F.xxhash64("doc_id", "text").alias("rid"))
     parts = part_count(rows)
@@ -270,7 +263,22 @@ def ngram_jaccard_join(docs: DataFrame, size: int = 5, num: int = 80, den: int =
     dealt = member.join(weight, "cluster").withColumn("own", F.pmod(F.xxhash64("rid"), F.col("blocks")).cast("int")).withColumn("other", other)
     dealt = dealt.select("cluster", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "rid", "n", "tokens", "levels", "own")
     dealt = dealt.repartition("cluster", "i", "j").sortWithinPartitions("cluster", "i", "j", "rid")
-    links = dealt.mapInArrow(_link_groups(num, den), "a long, b long")
+    links = dealt.mapInArrow(_link_groups(num, den, every), "a long, b long")
+    return profile, classes, links
+
+
+def ngram_jaccard_join(docs: DataFrame, size: int = 5, num: int = 80, den: int = 100, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """One row for each row of ``docs``: ``doc_id``, ``n_shingles`` and ``component_id``.
+
+    ``row_hash`` tells rows apart by id and text; ``is_first`` marks the row that stands for its group.
+    Two documents link when ``den * |A and B| >= num * |A or B|`` over their sets of ``size``-word
+    n-grams; a text with fewer words is one n-gram as a whole. ``component_id`` is the smallest id
+    that links reach, the row's own included. Texts that are null or hold no word have an empty set
+    and link with nothing. Rows with a null id take part and can only have a null
+    ``component_id`` where no row with an id is reached. Repeated rows give a row each. Other
+    columns are not read. An empty table gives an empty result.
+    """
+    profile, classes, links = _linked(docs, size, num, den, id_col, text_col, every=False)
     found = connected_components(links)
 
     keyed = profile.select("rid", "doc_id", "n", "s1", "s2").join(classes, ["s1", "s2"], "left")
@@ -287,6 +295,22 @@ def ngram_jaccard_join(docs: DataFrame, size: int = 5, num: int = 80, den: int =
     )
 
 
+def ngram_jaccard_links(docs: DataFrame, size: int = 5, num: int = 80, den: int = 100, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
+    """All links, between classes of equal sets: ``(members, links)``.
+
+    ``members`` has a row for each row of ``docs``: ``doc_id``, ``n_shingles``, ``class_id`` (null
+    without words) and ``n_links``, the other classes that the row's class is linked with. ``links`` has each linked
+    pair of classes once: ``class_a < class_b``. Links inside a class are not spelled out: all its rows are
+    linked. Work grows with the links, so for groups alone ``ngram_jaccard_join`` is cheaper. Nulls, empty
+    texts, repeated rows and empty tables are as there.
+    """
+    profile, classes, links = _linked(docs, size, num, den, id_col, text_col, every=True)
+    links = save(links.select(F.least("a", "b").alias("class_a"), F.greatest("a", "b").alias("class_b")), "links")
+    ends = links.select(F.col("class_a").alias("cls")).unionAll(links.select(F.col("class_b").alias("cls")))
+    members = profile.join(classes, ["s1", "s2"], "left").join(ends.groupBy("cls").agg(F.count("*").alias("n_links")), "cls", "left")
+    return members.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("cls")).alias("class_id"), F.when(F.col("n") > 0, F.coalesce("n_links", F.lit(0))).otherwise(0).alias("n_links")), links
+
+
 def keep_one_of_each(docs: DataFrame, size: int = 5, num: int = 80, den: int = 100, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``docs`` with one row of each group of linked documents: the smallest id's; rows without words all stay, once each."""
     found = ngram_jaccard_join(docs.select(id_col, text_col), size, num, den, id_col, text_col).where("is_first").select(F.col("row_hash").alias("__rid"))

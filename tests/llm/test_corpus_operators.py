@@ -116,6 +116,30 @@ def test_ngram_join_with_hot_keys(docs, monkeypatch):
     assert Counter(map(tuple, got)) == _components(rows, 4, 85, 100)
 
 
+@pytest.mark.parametrize("block", [1_000_000, 150])
+def test_ngram_links_are_all_links(docs, empty, monkeypatch, block):
+    monkeypatch.setattr(ngram_join, "BLOCK", block)
+    members, links = ngram_join.ngram_jaccard_links(docs, 4, 60, 100)
+    sets = defaultdict(list)
+    for r in docs.collect():
+        sets[frozenset(ngram_join.shingle_set(r["text"].encode() if r["text"] else None, 4).tolist())].append(r["doc_id"])
+    distinct = [s for s in sets if s]
+    linked = Counter()
+    for x, a in enumerate(distinct):
+        for b in distinct[:x]:
+            if 100 * len(a & b) >= 60 * len(a | b):
+                linked[a] += 1
+                linked[b] += 1
+    want = Counter((i, len(s), linked[s]) for s, own in sets.items() for i in own)
+    rows = members.collect()
+    assert Counter((r["doc_id"], r["n_shingles"], r["n_links"]) for r in rows) == want
+    pairs = [tuple(r) for r in links.collect()]
+    assert len(pairs) == len(set(pairs)) == sum(linked.values()) // 2 and all(a < b for a, b in pairs)
+    assert all((r["class_id"] is None) == (r["n_shingles"] == 0) for r in rows)
+    none = ngram_join.ngram_jaccard_links(empty)
+    assert none[0].count() == none[1].count() == 0
+
+
 def test_keep_one_of_each(docs, empty):
     kept = ngram_join.keep_one_of_each(docs, 5, 80, 100)
     assert kept.columns == docs.columns
