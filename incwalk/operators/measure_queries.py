@@ -309,11 +309,11 @@ def exp_w15(spark, sf_dir):
 R.add("exp_w15", exp_w15)
 
 
-def exp_w16(spark, sf_dir):
+def exp_w16(spark, sf_dir, name="cobuy", reps=(1, 2, 5, 10, 20)):
     """Error of the walk-store estimate against exact scores, by R."""
-    e = _e(spark, sf_dir, "cobuy")
+    e = _e(spark, sf_dir, name)
     truth, n, out = save(exact.power_iteration(e, rounds=25).select("node", F.col("score").alias("t")), "truth"), G.nodes(e).count(), None
-    for r in (1, 2, 5, 10, 20):
+    for r in reps:
         c = build_store(e, Spec(reps=r, seed=16)).groupBy("node").agg((F.count("*") * 0.2 / (n * r)).alias("score"))
         x = truth.join(c, "node", "left").na.fill(0.0)
         row = x.agg(F.round(F.sum(F.abs(F.col("score") - F.col("t"))), 9).alias("l1"), F.round(F.max(F.abs(F.col("score") - F.col("t"))), 10).alias("linf"), F.round(F.corr("score", "t"), 9).alias("corr"), F.round(F.avg((F.abs(F.col("score") / F.col("t") - 1) > 0.5).cast("double")), 9).alias("share_off_by_half")).withColumn("r", F.lit(r))
@@ -321,13 +321,13 @@ def exp_w16(spark, sf_dir):
     return out
 
 
-def _w16_sql():
+def _w16_sql(name="cobuy", reps=(1, 2, 5, 10, 20)):
     from incwalk.plans.walks import walks_sql
 
-    e = f"SELECT src, dst, ord FROM ({_CB})"
+    e = f"SELECT src, dst, ord FROM ({edges_sql(name)})"
     truth = f"e AS ({e}), w AS (SELECT src, dst, 1 / count(*) OVER (PARTITION BY src) AS ow FROM e), n AS (SELECT src AS node FROM e UNION SELECT dst FROM e), x0 AS (SELECT node, 1 / (SELECT count(*) FROM n) AS s FROM n), " + ", ".join(f"x{i} AS (SELECT node, sum(s) AS s FROM (SELECT dst AS node, s * ow * 0.8 AS s FROM x{i - 1} JOIN w ON src = node UNION ALL SELECT node, 0.2 * s FROM x0) GROUP BY node)" for i in range(1, 26))
-    counts = " UNION ALL ".join(f"SELECT {r} AS r, * FROM (WITH RECURSIVE {walks_sql(e, Spec(reps=r, seed=16))} SELECT node, count(*) AS k FROM w0 GROUP BY node)" for r in (1, 2, 5, 10, 20))
-    return f"WITH {truth}, c AS ({counts}), j AS (SELECT r, s AS t, coalesce(k, 0) * 0.2 / ((SELECT count(*) FROM n) * r) AS score FROM (SELECT node, s, unnest([1, 2, 5, 10, 20]) AS r FROM x25) LEFT JOIN c USING (node, r)) SELECT r, round(sum(abs(score - t)), 9) AS l1, round(max(abs(score - t)), 10) AS linf, round(corr(score, t), 9) AS corr, round(avg((abs(score / t - 1) > 0.5)::INT), 9) AS share_off_by_half FROM j GROUP BY r"
+    counts = " UNION ALL ".join(f"SELECT {r} AS r, * FROM (WITH RECURSIVE {walks_sql(e, Spec(reps=r, seed=16))} SELECT node, count(*) AS k FROM w0 GROUP BY node)" for r in reps)
+    return f"WITH {truth}, c AS ({counts}), j AS (SELECT r, s AS t, coalesce(k, 0) * 0.2 / ((SELECT count(*) FROM n) * r) AS score FROM (SELECT node, s, unnest({list(reps)}) AS r FROM x25) LEFT JOIN c USING (node, r)) SELECT r, round(sum(abs(score - t)), 9) AS l1, round(max(abs(score - t)), 10) AS linf, round(corr(score, t), 9) AS corr, round(avg((abs(score / t - 1) > 0.5)::INT), 9) AS share_off_by_half FROM j GROUP BY r"
 
 
 R.add("exp_w16", exp_w16, _w16_sql())

@@ -5,11 +5,11 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from incwalk.operators import baseline_queries, measure_queries, stream_queries, table_queries, walk_queries
+from incwalk.operators import baseline_queries, measure_queries, snapshot_queries, stream_queries, surface_queries, table_queries, walk_queries
 from incwalk.plans import exact
 from incwalk.sources.graphs import edges
 
-_MODULES = (walk_queries, measure_queries, baseline_queries, table_queries, stream_queries)
+_MODULES = (walk_queries, measure_queries, baseline_queries, table_queries, stream_queries, snapshot_queries, surface_queries)
 
 
 def queries() -> dict:
