@@ -66,7 +66,7 @@ def block_start_gain(spark, sf_dir):
 
 
 R.add("block_start", block_start_gain)
-R.add("svd_recommend", lambda s, d: (lambda e: personal.top(personal.exclude_known(low_rank_scores(e, save(personal.pick_seeds(e, 10), "seeds")), e), 20))(W._e(s, d, "buys")))
+R.add("svd_recommend", lambda s, d: (lambda e: personal.top(personal.exclude_known(low_rank_scores(e, save(personal.pick_seeds(e), "seeds")), e), 20))(W._e(s, d, "buys")))
 
 # costs of starting again
 R.add("pass_count", lambda s, d: W._store(s, d)[1].groupBy("pos").agg(F.count("*").alias("live_walks")).crossJoin(W._e(s, d).agg(F.count("*").alias("edges_scanned"))).select(F.col("pos").cast("long").alias("pass"), "live_walks", "edges_scanned"), f"{_W} SELECT pos AS pass, count(*) AS live_walks, (SELECT count(*) FROM e0) AS edges_scanned FROM w0 GROUP BY pos")
@@ -144,4 +144,4 @@ def exp_w11(spark, sf_dir):
 
 
 R.add("exp_w11", exp_w11)
-R.add("friends_excluded", lambda s, d: (lambda e, sd: e.select(F.col("src").alias("seed"), F.col("dst").alias("mid")).join(F.broadcast(sd.select("seed")), "seed", "left_semi").join(e.select(F.col("src").alias("mid"), F.col("dst").alias("node")), "mid").groupBy("seed", "node").agg(F.count("*").alias("paths")).where("seed <> node").join(e.select(F.col("src").alias("seed"), F.col("dst").alias("node")), ["seed", "node"], "left_anti"))(W._e(s, d), personal.pick_seeds(edges(s, d, "cobuy"), 20)), f"WITH e AS ({COBUY}), sd AS (SELECT src AS seed FROM (SELECT src, count(*) AS f FROM e GROUP BY src) WHERE f BETWEEN 20 AND 30 ORDER BY md5('seed|' || src), src LIMIT 20) SELECT * FROM (SELECT a.src AS seed, b.dst AS node, count(*) AS paths FROM e a JOIN e b ON a.dst = b.src WHERE a.src IN (SELECT seed FROM sd) AND b.dst <> a.src GROUP BY 1, 2) ANTI JOIN (SELECT src AS seed, dst AS node FROM e) USING (seed, node)")
+R.add("friends_excluded", lambda s, d: (lambda e, sd: e.select(F.col("src").alias("seed"), F.col("dst").alias("mid")).join(F.broadcast(sd.select("seed")), "seed", "left_semi").join(e.select(F.col("src").alias("mid"), F.col("dst").alias("node")), "mid").groupBy("seed", "node").agg(F.count("*").alias("paths")).where("seed <> node").join(e.select(F.col("src").alias("seed"), F.col("dst").alias("node")), ["seed", "node"], "left_anti"))(W._e(s, d), personal.pick_seeds(edges(s, d, "cobuy"))), f"WITH e AS ({COBUY}), sd AS (SELECT src AS seed FROM (SELECT src, count(*) AS f FROM e GROUP BY src) WHERE f BETWEEN 20 AND 30 ORDER BY md5('seed|' || src), src LIMIT 100) SELECT * FROM (SELECT a.src AS seed, b.dst AS node, count(*) AS paths FROM e a JOIN e b ON a.dst = b.src WHERE a.src IN (SELECT seed FROM sd) AND b.dst <> a.src GROUP BY 1, 2) ANTI JOIN (SELECT src AS seed, dst AS node FROM e) USING (seed, node)")

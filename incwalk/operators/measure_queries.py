@@ -214,8 +214,8 @@ def exp_w07(spark, sf_dir, how_many=100):
 
 
 R.add("exp_w07", exp_w07)
-_FBS = f"WITH e AS ({_CB}), w AS (SELECT src, dst, 1 / count(*) OVER (PARTITION BY src) AS ow FROM e), x0 AS (SELECT src AS seed, src AS node, 1.0::DOUBLE AS s FROM (SELECT src, count(*) AS f FROM e GROUP BY src) WHERE f BETWEEN 20 AND 30 ORDER BY md5('seed|' || src), src LIMIT 5), " + ", ".join(f"x{i} AS (SELECT seed, node, sum(s) AS s FROM (SELECT seed, dst AS node, s * ow * 0.8 AS s FROM x{i - 1} JOIN w ON src = node UNION ALL SELECT seed, node, 0.2 * s FROM x0) GROUP BY 1, 2)" for i in range(1, 7)) + " SELECT seed, round(1 + sum(CASE WHEN s * 1000 > 2.5 THEN s * 1000 ELSE 0 END), 6) AS bound FROM x6 GROUP BY seed"
-R.add("fetch_bound_summed", lambda s, d: (lambda e: exact.power_iteration(e, rounds=6, seeds=save(personal.pick_seeds(e, 5), "seeds")).groupBy("seed").agg(F.round(1 + F.sum(F.when(F.col("score") * 1000 > 2.5, F.col("score") * 1000).otherwise(0.0)), 6).alias("bound")))(_e(s, d, "cobuy")), _FBS)
+_FBS = f"WITH e AS ({_CB}), w AS (SELECT src, dst, 1 / count(*) OVER (PARTITION BY src) AS ow FROM e), x0 AS (SELECT src AS seed, src AS node, 1.0::DOUBLE AS s FROM (SELECT src, count(*) AS f FROM e GROUP BY src) WHERE f BETWEEN 20 AND 30 ORDER BY md5('seed|' || src), src LIMIT 100), " + ", ".join(f"x{i} AS (SELECT seed, node, sum(s) AS s FROM (SELECT seed, dst AS node, s * ow * 0.8 AS s FROM x{i - 1} JOIN w ON src = node UNION ALL SELECT seed, node, 0.2 * s FROM x0) GROUP BY 1, 2)" for i in range(1, 7)) + " SELECT seed, round(1 + sum(CASE WHEN s * 1000 > 2.5 THEN s * 1000 ELSE 0 END), 6) AS bound FROM x6 GROUP BY seed"
+R.add("fetch_bound_summed", lambda s, d: (lambda e: exact.power_iteration(e, rounds=6, seeds=save(personal.pick_seeds(e), "seeds")).groupBy("seed").agg(F.round(1 + F.sum(F.when(F.col("score") * 1000 > 2.5, F.col("score") * 1000).otherwise(0.0)), 6).alias("bound")))(_e(s, d, "cobuy")), _FBS)
 
 
 # link prediction

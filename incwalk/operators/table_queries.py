@@ -49,7 +49,7 @@ add("labelled_docs", lambda s, d: DO(s, d).select("doc_id").join(LA(s, d), "doc_
 add("unlabelled_docs", lambda s, d: DO(s, d).select("doc_id").join(LA(s, d), "doc_id", "left_anti"), "SELECT doc_id FROM documents ANTI JOIN labels USING (doc_id)")
 add("old_nodes_only", lambda s, d: (lambda e: e.where(F.col("ord") >= CUT).join(e.where(F.col("ord") < CUT).select("src"), "src", "left_semi").select("src", "dst"))(cb(s, d)), f"WITH e AS ({CB}) SELECT src, dst FROM e WHERE ord >= {CUT} AND src IN (SELECT src FROM e WHERE ord < {CUT})")
 add("reciprocal_edges", lambda s, d: (lambda e: e.select("src", "dst").join(e.select(F.col("dst").alias("src"), F.col("src").alias("dst")), ["src", "dst"]).where("src < dst"))(cb(s, d)), f"WITH e AS ({CB}) SELECT a.src, a.dst FROM e a JOIN e b ON a.src = b.dst AND a.dst = b.src WHERE a.src < a.dst")
-add("common_neighbours", lambda s, d: (lambda e: e.join(pick_seeds(e, 20).select(F.col("seed").alias("src")), "src", "left_semi").select(F.col("src").alias("a"), "dst").join(e.select(F.col("src").alias("b"), "dst"), "dst").where("a <> b").groupBy("a", "b").count())(cb(s, d)), f"WITH e AS ({CB}), sd AS (SELECT src FROM (SELECT src, count(*) AS f FROM e GROUP BY src) WHERE f BETWEEN 20 AND 30 ORDER BY md5('seed|' || src), src LIMIT 20) SELECT x.src AS a, y.src AS b, count(*) AS count FROM e x JOIN e y ON x.dst = y.dst WHERE x.src IN (SELECT src FROM sd) AND x.src <> y.src GROUP BY 1, 2")
+add("common_neighbours", lambda s, d: (lambda e: e.join(pick_seeds(e).select(F.col("seed").alias("src")), "src", "left_semi").select(F.col("src").alias("a"), "dst").join(e.select(F.col("src").alias("b"), "dst"), "dst").where("a <> b").groupBy("a", "b").count())(cb(s, d)), f"WITH e AS ({CB}), sd AS (SELECT src FROM (SELECT src, count(*) AS f FROM e GROUP BY src) WHERE f BETWEEN 20 AND 30 ORDER BY md5('seed|' || src), src LIMIT 100) SELECT x.src AS a, y.src AS b, count(*) AS count FROM e x JOIN e y ON x.dst = y.dst WHERE x.src IN (SELECT src FROM sd) AND x.src <> y.src GROUP BY 1, 2")
 add("two_hop_counts", lambda s, d: (lambda e: e.select("src", F.col("dst").alias("mid")).join(e.groupBy(F.col("src").alias("mid")).agg(F.count("*").alias("k")), "mid").groupBy("src").agg(F.sum("k").alias("paths")))(cb(s, d)), f"WITH e AS ({CB}), k AS (SELECT src AS mid, count(*) AS k FROM e GROUP BY 1) SELECT src, sum(k)::BIGINT AS paths FROM e JOIN k ON dst = mid GROUP BY 1")
 
 

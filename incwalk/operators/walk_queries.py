@@ -180,10 +180,10 @@ def topk_fetches(spark, sf_dir):
 
 _FB = "SELECT (SELECT len FROM lg) AS steps, round((SELECT alpha FROM fa), 5) AS alpha, (SELECT round(avg(f), 6) FROM (SELECT max(fetches) AS f FROM pf GROUP BY seed)) AS fetches, round(1 + pow(2 * (1 - (SELECT alpha FROM fa)) / ((SELECT count(*) FROM n0)::DOUBLE * 5), 1 / (SELECT alpha FROM fa) - 1) * pow((SELECT len FROM lg)::DOUBLE, 1 / (SELECT alpha FROM fa)), 3) AS bound_of_length, round(1 + pow(5::DOUBLE, 1 / (SELECT alpha FROM fa)) * 10 / ((1 - (SELECT alpha FROM fa)) * pow(2.5::DOUBLE, 1 / (SELECT alpha FROM fa) - 1)), 3) AS bound_of_k"
 R.add("topk_fetches", topk_fetches, f"{_personal_sql(length=None)}, fa AS ({personal.alpha_sql(Spec())}), {personal.fetched_sql()} {_FB}")
-_SEEDS = "SELECT src AS seed, friends FROM (SELECT src, count(*) AS friends FROM e0 GROUP BY src) WHERE friends BETWEEN 20 AND 30 ORDER BY md5('seed|' || src), src LIMIT 10"
-R.add("seeds", lambda s, d: personal.pick_seeds(edges(s, d, "cobuy"), 10), f"WITH e0 AS ({COBUY}) {_SEEDS}")
-R.add("segment_frequency", lambda s, d: (lambda r: personal.segment_frequency(r[1], personal.pick_seeds(r[0], 10)))(_store(s, d)), f"{_W} SELECT src AS seed, node, count(*) AS visits FROM w0 WHERE src IN (SELECT seed FROM ({_SEEDS})) GROUP BY 1, 2")
-R.add("segment_endpoints", lambda s, d: (lambda r: personal.segment_endpoints(r[1], personal.pick_seeds(r[0], 10)))(_store(s, d)), f"{_W} SELECT src AS seed, node, count(*) AS visits FROM w0 WHERE ended IS NOT NULL AND src IN (SELECT seed FROM ({_SEEDS})) GROUP BY 1, 2")
+_SEEDS = "SELECT src AS seed, friends FROM (SELECT src, count(*) AS friends FROM e0 GROUP BY src) WHERE friends BETWEEN 20 AND 30 ORDER BY md5('seed|' || src), src LIMIT 100"
+R.add("seeds", lambda s, d: personal.pick_seeds(edges(s, d, "cobuy")), f"WITH e0 AS ({COBUY}) {_SEEDS}")
+R.add("segment_frequency", lambda s, d: (lambda r: personal.segment_frequency(r[1], personal.pick_seeds(r[0])))(_store(s, d)), f"{_W} SELECT src AS seed, node, count(*) AS visits FROM w0 WHERE src IN (SELECT seed FROM ({_SEEDS})) GROUP BY 1, 2")
+R.add("segment_endpoints", lambda s, d: (lambda r: personal.segment_endpoints(r[1], personal.pick_seeds(r[0])))(_store(s, d)), f"{_W} SELECT src AS seed, node, count(*) AS visits FROM w0 WHERE ended IS NOT NULL AND src IN (SELECT seed FROM ({_SEEDS})) GROUP BY 1, 2")
 
 
 # exact iterations, unrolled for SQL
@@ -194,20 +194,20 @@ def _rounds(body, n):
 _WE = f"e AS ({COBUY}), w AS (SELECT src, dst, 1 / count(*) OVER (PARTITION BY src) AS ow, 1 / count(*) OVER (PARTITION BY dst) AS iw FROM e), n AS (SELECT DISTINCT node FROM (SELECT src AS node FROM e UNION ALL SELECT dst FROM e))"
 _PR = f"WITH {_WE}, x0 AS (SELECT node, 1 / (SELECT count(*) FROM n) AS s FROM n), " + _rounds(lambda i: f"x{i} AS (SELECT node, sum(s) AS s FROM (SELECT dst AS node, s * ow * 0.8 AS s FROM x{i - 1} JOIN w ON src = node UNION ALL SELECT node, 0.2 * s FROM x0) GROUP BY node)", 10)
 R.add("power_iteration", lambda s, d: exact.power_iteration(_e(s, d)).select("node", F.round("score", 10).alias("score")), f"{_PR} SELECT node, round(s, 10) AS score FROM x10")
-_P0 = f"WITH {_WE}, sd AS (SELECT src AS seed FROM (SELECT src, count(*) AS f FROM e GROUP BY src) WHERE f BETWEEN 20 AND 30 ORDER BY md5('seed|' || src), src LIMIT 5), x0 AS (SELECT seed, seed AS node, 1.0::DOUBLE AS s FROM sd), "
-R.add("ppr_power", lambda s, d: (lambda e: exact.power_iteration(e, rounds=6, seeds=save(personal.pick_seeds(e, 5), "seeds")).select("seed", "node", F.round("score", 10).alias("score")))(_e(s, d)), _P0 + _rounds(lambda i: f"x{i} AS (SELECT seed, node, sum(s) AS s FROM (SELECT seed, dst AS node, s * ow * 0.8 AS s FROM x{i - 1} JOIN w ON src = node UNION ALL SELECT seed, node, 0.2 * s FROM x0) GROUP BY 1, 2)", 6) + " SELECT seed, node, round(s, 10) AS score FROM x6")
+_P0 = f"WITH {_WE}, sd AS (SELECT src AS seed FROM (SELECT src, count(*) AS f FROM e GROUP BY src) WHERE f BETWEEN 20 AND 30 ORDER BY md5('seed|' || src), src LIMIT 100), x0 AS (SELECT seed, seed AS node, 1.0::DOUBLE AS s FROM sd), "
+R.add("ppr_power", lambda s, d: (lambda e: exact.power_iteration(e, rounds=6, seeds=save(personal.pick_seeds(e), "seeds")).select("seed", "node", F.round("score", 10).alias("score")))(_e(s, d)), _P0 + _rounds(lambda i: f"x{i} AS (SELECT seed, node, sum(s) AS s FROM (SELECT seed, dst AS node, s * ow * 0.8 AS s FROM x{i - 1} JOIN w ON src = node UNION ALL SELECT seed, node, 0.2 * s FROM x0) GROUP BY 1, 2)", 6) + " SELECT seed, node, round(s, 10) AS score FROM x6")
 _AL = lambda n, ow, iw: _rounds(lambda i: f"a{i} AS (SELECT seed, dst AS node, sum(s * {ow}) AS s FROM x{i - 1} JOIN w ON src = node GROUP BY 1, 2), x{i} AS (SELECT seed, node, sum(s) AS s FROM (SELECT seed, src AS node, s * {iw} * 0.8 AS s FROM a{i} JOIN w ON dst = node UNION ALL SELECT seed, node, 0.2 * s FROM x0) GROUP BY 1, 2)", n) + f", af AS (SELECT seed, dst AS node, sum(s * {ow}) AS s FROM x{n} JOIN w ON src = node GROUP BY 1, 2)"
 _AF = " SELECT coalesce(x.seed, a.seed) AS seed, coalesce(x.node, a.node) AS node, round(coalesce(x.s, 0), 10) AS hub, round(coalesce(a.s, 0), 10) AS auth FROM x{n} x FULL JOIN af a ON a.seed = x.seed AND a.node = x.node"
-R.add("alt_ppr_power", lambda s, d: (lambda e: exact.alternating_iteration(e, rounds=4, seeds=save(personal.pick_seeds(e, 5), "seeds")).select("seed", "node", F.round("hub", 10).alias("hub"), F.round("auth", 10).alias("auth")))(_e(s, d)), _P0 + _AL(4, "ow", "iw") + _AF.format(n=4))
+R.add("alt_ppr_power", lambda s, d: (lambda e: exact.alternating_iteration(e, rounds=4, seeds=save(personal.pick_seeds(e), "seeds")).select("seed", "node", F.round("hub", 10).alias("hub"), F.round("auth", 10).alias("auth")))(_e(s, d)), _P0 + _AL(4, "ow", "iw") + _AF.format(n=4))
 R.add("alt_power", lambda s, d: exact.alternating_iteration(_e(s, d), rounds=6).select("node", F.round("hub", 10).alias("hub"), F.round("auth", 10).alias("auth")), f"WITH {_WE}, x0 AS (SELECT -1 AS seed, node, 1 / (SELECT count(*) FROM n) AS s FROM n), " + _AL(6, "ow", "iw") + _AF.format(n=6).replace("coalesce(x.seed, a.seed) AS seed, ", ""))
-R.add("hits_ppr", lambda s, d: (lambda e: personal.top(exact.alternating_iteration(e, rounds=4, seeds=save(personal.pick_seeds(e, 5), "seeds"), divide=False), 10, "auth").select("seed", "node", "rank"))(_e(s, d)), _P0 + _AL(4, "1", "1") + ", rk AS (SELECT seed, node, row_number() OVER (PARTITION BY seed ORDER BY s DESC, node) AS rank FROM af) SELECT * FROM rk WHERE rank <= 10")
+R.add("hits_ppr", lambda s, d: (lambda e: personal.top(exact.alternating_iteration(e, rounds=4, seeds=save(personal.pick_seeds(e), "seeds"), divide=False), 10, "auth").select("seed", "node", "rank"))(_e(s, d)), _P0 + _AL(4, "1", "1") + ", rk AS (SELECT seed, node, row_number() OVER (PARTITION BY seed ORDER BY s DESC, node) AS rank FROM af) SELECT * FROM rk WHERE rank <= 10")
 _CO = _P0 + "d AS (SELECT src, count(*) AS d FROM e GROUP BY 1), h AS (SELECT a.src AS seed, b.src AS node, count(*) AS k FROM e a JOIN e b ON a.dst = b.dst WHERE a.src IN (SELECT seed FROM sd) GROUP BY 1, 2), hub AS (SELECT seed, node, k / sqrt(x.d * y.d) AS hub FROM h JOIN d x ON x.src = seed JOIN d y ON y.src = node)"
-R.add("cosine_scores", lambda s, d: (lambda e: exact.cosine_hubs(e, personal.pick_seeds(e, 5)).select("seed", "node", F.round("hub", 10).alias("hub")))(_e(s, d)), _CO + " SELECT seed, node, round(hub, 10) AS hub FROM hub")
-R.add("cosine_authority", lambda s, d: (lambda e: exact.cosine_authorities(e, exact.cosine_hubs(e, personal.pick_seeds(e, 5))).select("seed", "node", F.round("auth", 8).alias("auth")))(_e(s, d)), _CO + " SELECT seed, dst AS node, round(sum(hub), 8) AS auth FROM hub JOIN e ON src = node GROUP BY 1, 2")
+R.add("cosine_scores", lambda s, d: (lambda e: exact.cosine_hubs(e, personal.pick_seeds(e)).select("seed", "node", F.round("hub", 10).alias("hub")))(_e(s, d)), _CO + " SELECT seed, node, round(hub, 10) AS hub FROM hub")
+R.add("cosine_authority", lambda s, d: (lambda e: exact.cosine_authorities(e, exact.cosine_hubs(e, personal.pick_seeds(e))).select("seed", "node", F.round("auth", 8).alias("auth")))(_e(s, d)), _CO + " SELECT seed, dst AS node, round(sum(hub), 8) AS auth FROM hub JOIN e ON src = node GROUP BY 1, 2")
 R.add("popularity", lambda s, d: edges(s, d, "buys").groupBy(F.col("dst").alias("node")).agg(F.count("*").alias("links")), f"SELECT dst AS node, count(*) AS links FROM ({edges_sql('buys')}) GROUP BY 1")
-_DP = f"WITH {_WE}, b AS (SELECT node, node AS target, 0.2::DOUBLE AS s FROM (SELECT src AS node FROM (SELECT src, count(*) AS f FROM e GROUP BY src) WHERE f BETWEEN 20 AND 30 ORDER BY md5('seed|' || src), src LIMIT 5)), x0 AS (SELECT * FROM b), " + _rounds(lambda i: f"x{i} AS (SELECT * FROM (SELECT node, target, sum(s) AS s FROM (SELECT src AS node, target, s * ow * 0.8 AS s FROM x{i - 1} JOIN w ON dst = node UNION ALL SELECT * FROM b) GROUP BY 1, 2) WHERE s >= {{keep}})", 3) + " SELECT node, target, round(s, 10) AS score FROM x3"
-R.add("neighbour_dp", lambda s, d: (lambda e: exact.neighbour_mean(e, personal.pick_seeds(e, 5).select(F.col("seed").alias("node")), depth=3).select("node", "target", F.round("score", 10).alias("score")))(_e(s, d)), _DP.format(keep="0"))
-R.add("rounded_dp", lambda s, d: (lambda e: exact.neighbour_mean(e, personal.pick_seeds(e, 5).select(F.col("seed").alias("node")), depth=3, keep=0.0005).select("node", "target", F.round("score", 10).alias("score")))(_e(s, d)), _DP.format(keep="0.0005"))
+_DP = f"WITH {_WE}, b AS (SELECT node, node AS target, 0.2::DOUBLE AS s FROM (SELECT src AS node FROM (SELECT src, count(*) AS f FROM e GROUP BY src) WHERE f BETWEEN 20 AND 30 ORDER BY md5('seed|' || src), src LIMIT 100)), x0 AS (SELECT * FROM b), " + _rounds(lambda i: f"x{i} AS (SELECT * FROM (SELECT node, target, sum(s) AS s FROM (SELECT src AS node, target, s * ow * 0.8 AS s FROM x{i - 1} JOIN w ON dst = node UNION ALL SELECT * FROM b) GROUP BY 1, 2) WHERE s >= {{keep}})", 3) + " SELECT node, target, round(s, 10) AS score FROM x3"
+R.add("neighbour_dp", lambda s, d: (lambda e: exact.neighbour_mean(e, personal.pick_seeds(e).select(F.col("seed").alias("node")), depth=3).select("node", "target", F.round("score", 10).alias("score")))(_e(s, d)), _DP.format(keep="0"))
+R.add("rounded_dp", lambda s, d: (lambda e: exact.neighbour_mean(e, personal.pick_seeds(e).select(F.col("seed").alias("node")), depth=3, keep=0.0005).select("node", "target", F.round("score", 10).alias("score")))(_e(s, d)), _DP.format(keep="0.0005"))
 R.add("aitken_power", lambda s, d: exact.aitken(_e(s, d)).select("node", F.round("score", 9).alias("score")))
 
 
