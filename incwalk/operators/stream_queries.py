@@ -124,3 +124,16 @@ def stream_replay(spark, sf_dir):
 _CB = f"SELECT src, dst, ord FROM ({edges_sql('cobuy')})"
 _LATE = "substr(md5(src || '|' || dst), 1, 2)"
 R.add("stream_replay", stream_replay, "WITH RECURSIVE " + update_sql(f"{_CB} WHERE {_LATE} <> '3c'", f"SELECT '+' AS op, src, dst, ord FROM ({_CB}) WHERE {_LATE} = '3c'", STREAMED) + " SELECT src, rep, pos, node, ended FROM w1")
+
+
+def stream_rate(spark, sf_dir, rows: int = 1000):
+    """A rate source's ticks joined with the customers of those keys: one micro-batch, counted by nation into a memory sink, which holds a row a nation."""
+    name = "rate_" + uuid.uuid4().hex
+    ticks = spark.readStream.format("rate-micro-batch").option("rowsPerBatch", rows).option("numPartitions", 4).load()
+    hit = ticks.select((F.col("value") + 1).alias("c_custkey")).join(table(spark, sf_dir, "customer").select("c_custkey", "c_nationkey"), "c_custkey")
+    counted = hit.groupBy("c_nationkey").agg(F.count("*").alias("n"), F.max("c_custkey").alias("last"))
+    counted.writeStream.format("memory").queryName(name).outputMode("complete").option("checkpointLocation", _folder(spark, "rate")).trigger(availableNow=True).start().awaitTermination()
+    return spark.table(name)
+
+
+R.add("stream_rate", stream_rate, "SELECT c_nationkey, count(*) AS n, max(c_custkey) AS last FROM customer WHERE c_custkey BETWEEN 1 AND 1000 GROUP BY 1")

@@ -176,3 +176,16 @@ add("visit_maps", lambda s, d: EV(s, d).groupBy("user_id", "event_type").count()
 add("event_struct", lambda s, d: EV(s, d).select("event_id", F.from_json("props", "k long").alias("p")).select("event_id", F.to_json("p").alias("json"), F.col("p.k").alias("k")), "SELECT event_id, '{\"k\":' || json_extract_string(props, '$.k') || '}' AS json, json_extract_string(props, '$.k')::BIGINT AS k FROM events")
 add("approx_degree", lambda s, d: cb(s, d).groupBy("src").agg(F.approx_count_distinct("dst", 0.02).alias("about"), F.count("*").alias("deg")))
 add("hinted_joins", lambda s, d: (lambda e, c: e.join(c.hint("merge"), "src").groupBy("seg").count().withColumn("way", F.lit("merge")).unionByName(e.join(c.hint("shuffle_hash"), "src").groupBy("seg").count().withColumn("way", F.lit("hash"))))(cb(s, d).select("src"), CU(s, d).select(F.col("c_custkey").alias("src"), F.col("c_mktsegment").alias("seg"))), f"SELECT c_mktsegment AS seg, count(*) AS count, way FROM ({CB}) JOIN customer ON c_custkey = src, (VALUES ('merge'), ('hash')) v(way) GROUP BY ALL")
+
+
+def near_pairs(spark, sf_dir, seconds: int = 60):
+    """Events of one type and different users within a minute: a band join, by equality of bands of that width and the band behind."""
+    x = table(spark, sf_dir, "events").select("event_id", "user_id", "event_type", F.unix_micros(F.col("ts").cast("timestamp")).alias("t"))
+    band = F.floor(F.col("t") / F.lit(seconds * 1_000_000))
+    left = x.select(F.col("event_id").alias("a"), F.col("user_id").alias("ua"), "event_type", F.col("t").alias("ta"), F.explode(F.array(band, band + 1)).alias("band"))
+    right = x.select(F.col("event_id").alias("b"), F.col("user_id").alias("ub"), "event_type", F.col("t").alias("tb"), band.alias("band"))
+    near = (F.col("tb") - F.col("ta")).between(0, seconds * 1_000_000) & ((F.col("tb") > F.col("ta")) | (F.col("a") < F.col("b"))) & (F.col("ua") != F.col("ub"))
+    return left.join(right, ["event_type", "band"]).where(near).select("event_type", "a", "b")
+
+
+add("near_pairs", near_pairs, "SELECT x.event_type, x.event_id AS a, y.event_id AS b FROM events x JOIN events y ON x.event_type = y.event_type AND x.user_id <> y.user_id AND y.ts >= x.ts AND y.ts <= x.ts + INTERVAL 60 SECOND AND (y.ts > x.ts OR x.event_id < y.event_id)")
