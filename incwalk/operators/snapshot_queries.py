@@ -36,14 +36,20 @@ def _in_order_sql(name: str, permuted: bool = False) -> str:
     return f"SELECT src, dst, ord, row_number() OVER (ORDER BY {first}, src, dst) AS t FROM ({edges_sql(name)})"
 
 
+def before_cut(cut, m: int, t="t"):
+    """Whether arrival ``t`` of ``m`` is among the first ``cut`` hundredths; the product is a long, which 32 bits would not hold from 27 million arrivals on."""
+    return F.col(t) <= F.expr(f"{cut} * {m}L div 100")
+
+
 def snapshots(spark, sf_dir) -> DataFrame:
     """``(g, src, dst, old)``: every arrival of every graph once for each of its cuts."""
     out = None
     for name, permuted, cuts in CUTS:
         x = save(in_order(spark, sf_dir, name, permuted), "arrivals")
         label = F.concat(F.lit(f"{name} {'permuted ' if permuted else ''}"), F.col("cut").cast("string"))
-        x = x.select("src", "dst", "t", F.lit(x.count()).alias("m"), F.explode(F.array(*map(F.lit, cuts))).alias("cut"))
-        x = x.select(label.alias("g"), "src", "dst", (F.col("t") <= F.expr("cut * m div 100")).alias("old"))
+        m = x.count()
+        x = x.select("src", "dst", "t", F.explode(F.array(*map(F.lit, cuts))).alias("cut"))
+        x = x.select(label.alias("g"), "src", "dst", before_cut("cut", m).alias("old"))
         out = x if out is None else out.unionByName(x)
     return save(out, "snapshots")
 
