@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from incwalk.functions.theory import harmonic
 from incwalk.operators import measure_queries as M
 from incwalk.operators.registry_of import Registry
-from incwalk.plans import exact, update
+from incwalk.plans import dense, exact, update
 from incwalk.plans import graph as G
 from incwalk.plans.ranking import numbered
 from incwalk.plans.walks import Spec, build_store, walks_sql
@@ -27,8 +27,15 @@ def _digest():
 
 def in_order(spark, sf_dir, name: str, permuted: bool = False) -> DataFrame:
     """``(src, dst, ord, t)``: arrivals numbered from 1, by time or by a digest of the edge."""
-    e = edges(spark, sf_dir, name).select("src", "dst", "ord")
-    return numbered(e, [*([_digest()] if permuted else [F.asc("ord")]), F.asc("src"), F.asc("dst")], "t")
+    return numbered(edges(spark, sf_dir, name).select("src", "dst", "ord"), _order(permuted), "t")
+
+
+def _order(permuted: bool):
+    return [*([_digest()] if permuted else [F.asc("ord")]), F.asc("src"), F.asc("dst")]
+
+
+def _label(name: str, permuted: bool) -> str:
+    return f"{name} {'permuted ' if permuted else ''}"
 
 
 def _in_order_sql(name: str, permuted: bool = False) -> str:
@@ -41,12 +48,12 @@ def before_cut(cut, m: int, t="t"):
     return F.col(t) <= F.expr(f"{cut} * {m}L div 100")
 
 
-def snapshots(spark, sf_dir) -> DataFrame:
+def snapshots(spark, sf_dir, of=CUTS) -> DataFrame:
     """``(g, src, dst, old)``: every arrival of every graph once for each of its cuts."""
     out = None
-    for name, permuted, cuts in CUTS:
+    for name, permuted, cuts in of:
         x = save(in_order(spark, sf_dir, name, permuted), "arrivals")
-        label = F.concat(F.lit(f"{name} {'permuted ' if permuted else ''}"), F.col("cut").cast("string"))
+        label = F.concat(F.lit(_label(name, permuted)), F.col("cut").cast("string"))
         m = x.count()
         x = x.select("src", "dst", "t", F.explode(F.array(*map(F.lit, cuts))).alias("cut"))
         x = x.select(label.alias("g"), "src", "dst", before_cut("cut", m).alias("old"))
@@ -79,14 +86,47 @@ def _snapshots_sql() -> str:
     return "z AS (" + " UNION ALL ".join(parts) + "), o AS (SELECT g, src, dst FROM z WHERE old), d AS (SELECT g, src, count(*) AS d FROM o GROUP BY 1, 2)"
 
 
-def arrivals_by_graph(spark, sf_dir):
-    """m times the mean of score over out-degree at the sources of arrivals, near 1 where they come in random order."""
-    z = snapshots(spark, sf_dir)
+def _arrivals_joined(z: DataFrame) -> DataFrame:
     old, new = z.where("old"), z.where("NOT old")
     d = old.groupBy("g", F.col("src").alias("node")).agg(F.count("*").alias("d"))
     x = new.select("g", F.col("src").alias("node")).join(scores_by_graph(old).join(d, ["g", "node"]), ["g", "node"])
     x = x.groupBy("g").agg(F.avg(F.col("score") / F.col("d")).alias("mean"), F.count("*").alias("arrivals"))
-    return x.join(old.groupBy("g").agg(F.count("*").alias("m")), "g").select("g", "m", "arrivals", F.round(F.col("m") * F.col("mean"), 6).alias("mx"))
+    return x.join(old.groupBy("g").agg(F.count("*").alias("m")), "g").select("g", "m", "arrivals", (F.col("m") * F.col("mean")).alias("mx"))
+
+
+def _first_by_digest(e: DataFrame, k: int):
+    """Whether an edge is among the ``k`` first by digest, source and target: the last of them is looked up among the edges whose digests begin as its own does."""
+    head, seen = F.substring(_digest(), 1, 4), 0
+    for h, n in sorted(map(tuple, e.groupBy(head).count().collect())):
+        if seen + n >= k > 0:
+            d, src, dst = sorted(map(tuple, e.where(head == h).select(_digest(), "src", "dst").collect()))[k - seen - 1]
+            return (_digest() < d) | (_digest() == d) & ((F.col("src") < src) | (F.col("src") == src) & (F.col("dst") <= dst))
+        seen += n
+    return F.lit(False)
+
+
+def _arrivals_on_arrays(e: DataFrame, of) -> DataFrame:
+    """The cuts of one graph, whose edges are made once, in either order; a bit of ``old`` for each cut."""
+    m, names, old = e.count(), [], F.lit(0)
+    for name, permuted, cuts in of:
+        for cut in cuts:
+            first = _first_by_digest(e, cut * m // 100) if permuted else before_cut(cut, m)
+            old = old + first.cast("int") * (1 << len(names))
+            names.append(f"{_label(name, permuted)}{cut}")
+    x = numbered(e, _order(False), "t")
+    return dense.arrival_means(save(x.select("src", "dst", old.cast("byte").alias("old")), "arrivals"), names)
+
+
+def arrivals_by_graph(spark, sf_dir):
+    """m times the mean of score over out-degree at the sources of arrivals, near 1 where they come in random order. Graphs of a checked size are broadcast, one at a time."""
+    out = None
+    for name in dict.fromkeys(cut[0] for cut in CUTS):
+        of = [cut for cut in CUTS if cut[0] == name]
+        e = save(edges(spark, sf_dir, name).select("src", "dst", "ord"), "edges")
+        row = _arrivals_on_arrays(e, of) if dense.fits(e, ways=2) else _arrivals_joined(snapshots(spark, sf_dir, of))
+        row = save(row, "means")
+        out = row if out is None else out.unionByName(row)
+    return out.select("g", "m", "arrivals", F.round("mx", 6).alias("mx"))
 
 
 R.add("exp_w01_graphs", arrivals_by_graph, f"WITH {_snapshots_sql()}, {_rounds_sql()}, m AS (SELECT g, count(*) AS m FROM o GROUP BY 1) SELECT z.g, any_value(m) AS m, count(*) AS arrivals, round(any_value(m) * avg(s / d), 6) AS mx FROM z JOIN d ON d.g = z.g AND d.src = z.src JOIN x10 ON x10.g = z.g AND node = z.src JOIN m ON m.g = z.g WHERE NOT old GROUP BY z.g")
