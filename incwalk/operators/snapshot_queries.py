@@ -13,7 +13,7 @@ from incwalk.plans import graph as G
 from incwalk.plans.ranking import numbered
 from incwalk.plans.walks import Spec, build_store, walks_sql
 from incwalk.sources.graphs import edges, edges_sql
-from incwalk.store import save
+from incwalk.store import discard, save
 
 R = Registry()
 #: Graph, whether its arrivals come in permuted order, and the percentages of arrivals at which it is cut.
@@ -114,7 +114,10 @@ def _arrivals_on_arrays(e: DataFrame, of) -> DataFrame:
             old = old + first.cast("int") * (1 << len(names))
             names.append(f"{_label(name, permuted)}{cut}")
     x = numbered(e, _order(False), "t")
-    return dense.arrival_means(save(x.select("src", "dst", old.cast("byte").alias("old")), "arrivals"), names)
+    x = save(x.select("src", "dst", old.cast("byte").alias("old")), "arrivals")
+    out = dense.arrival_means(x, names)
+    discard(x)  # read by now
+    return out
 
 
 def arrivals_by_graph(spark, sf_dir):
@@ -125,6 +128,7 @@ def arrivals_by_graph(spark, sf_dir):
         e = save(edges(spark, sf_dir, name).select("src", "dst", "ord"), "edges")
         row = _arrivals_on_arrays(e, of) if dense.fits(e, ways=2) else _arrivals_joined(snapshots(spark, sf_dir, of))
         row = save(row, "means")
+        discard(e)
         out = row if out is None else out.unionByName(row)
     return out.select("g", "m", "arrivals", F.round("mx", 6).alias("mx"))
 
